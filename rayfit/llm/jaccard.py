@@ -24,7 +24,8 @@ from .components import connected
 from .textkit import Words, mix
 
 BLOCK = 256
-CELLS = 256
+#: A set's histogram has about a cell for four elements, between these numbers; counts stop at 15.
+FEWEST, MOST = 16, 8192
 #: Most bytes of class ids that may be broadcast; beyond, they are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -103,6 +104,38 @@ def _only(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
     return docs.join(F.broadcast(ids) if small else ids.hint("merge"), "id", how)
 
 
+def packed(x: np.ndarray) -> bytes:
+    """Histogram of a set's hashes, two cells to a byte."""
+    c = FEWEST
+    while 4 * c < len(x) and c < MOST:
+        c *= 2
+    v = np.minimum(np.bincount(((x >> np.uint64(40)) & np.uint64(c - 1)).astype(np.int64), minlength=c), 15).astype(np.uint8)
+    return (v[0::2] | (v[1::2] << 4)).tobytes()
+
+
+def unpacked(held: list[bytes], to: int) -> np.ndarray:
+    """Histograms of one length as rows, folded to a shorter one; sums of stopped counts still bound differences."""
+    b = np.frombuffer(b"".join(held), np.uint8).reshape(len(held), -1)
+    v = np.empty((len(held), 2 * b.shape[1]), np.int16)
+    v[:, 0::2], v[:, 1::2] = b & 15, b >> 4
+    while v.shape[1] > to:
+        half = v.shape[1] // 2
+        v = v[:, :half] + v[:, half:]
+    return v
+
+
+def differ(a: list[bytes], b: list[bytes]) -> np.ndarray:
+    """For pairs of packed histograms, a number of elements by which their sets differ at least."""
+    sizes = np.array([(len(x), len(y)) for x, y in zip(a, b, strict=True)])
+    out = np.zeros(len(a), np.int64)
+    for la, lb in {tuple(x) for x in sizes.tolist()}:
+        own, to = np.flatnonzero((sizes == (la, lb)).all(1)), 2 * min(la, lb)
+        for low in range(0, len(own), 2048):
+            at = own[low : low + 2048]
+            out[at] = np.abs(unpacked([a[i] for i in at], to) - unpacked([b[i] for i in at], to)).sum(1)
+    return out
+
+
 def _survey(width: int):
     """Of each document: size, fingerprint of the set, histogram; and shingles that are common within a batch."""
 
@@ -117,10 +150,8 @@ def _survey(width: int):
                 more = mix(x ^ np.uint64(0x6A09E667F3BCC909))
                 sums = [np.r_[np.uint64(0), np.cumsum(v, dtype=np.uint64)] for v in (mix(x), more)]
                 f1, f2 = ((s[at[1:]] - s[at[:-1]]).view(np.int64) for s in sums)
-                row = np.repeat(np.arange(high - low), n)
-                grid = np.bincount(row * CELLS + ((x >> np.uint64(40)) & np.uint64(CELLS - 1)).astype(np.int64), minlength=(high - low) * CELLS)
-                cells = np.minimum(grid, 255).astype(np.uint8).reshape(high - low, CELLS)
-                yield pa.record_batch([pa.array(np.zeros(high - low, np.int8)), ids.slice(low, high - low), pa.array(n), pa.array(f1), pa.array(f2), pa.array([c.tobytes() for c in cells], pa.binary())], schema=kinds)
+                cells = [packed(x[at[i] : at[i + 1]]) for i in range(high - low)]
+                yield pa.record_batch([pa.array(np.zeros(high - low, np.int8)), ids.slice(low, high - low), pa.array(n), pa.array(f1), pa.array(f2), pa.array(cells, pa.binary())], schema=kinds)
             if kept:
                 value, count = np.unique(np.concatenate(kept), return_counts=True)
                 often = count >= max(3, batch.num_rows // 400)
@@ -194,9 +225,10 @@ def _bound(rule: Rule):
     def run(batches):
         for batch in batches:
             a, b, na, nb = (batch.column(i).to_numpy() for i in range(4))
-            ca, cb = (np.frombuffer(b"".join(batch.column(i).to_pylist()), np.uint8).reshape(-1, CELLS).astype(np.int16) for i in (4, 5))
-            least = np.abs(ca - cb).sum(1)
-            yield pa.record_batch([pa.array(a), pa.array(b), pa.array(na), pa.array(nb), pa.array(least.astype(np.int64)), pa.array(least <= rule.most(na, nb))], ["a", "b", "na", "nb", "least", "may"])
+            if not len(a):
+                continue
+            least = differ(batch.column(4).to_pylist(), batch.column(5).to_pylist())
+            yield pa.record_batch([pa.array(a), pa.array(b), pa.array(na), pa.array(nb), pa.array(least), pa.array(least <= rule.most(na, nb))], ["a", "b", "na", "nb", "least", "may"])
 
     return run
 
@@ -226,15 +258,23 @@ def _across(rule: Rule):
     def of(rows):
         blk, bi, bj, d, comp, n, low, high, cells = rows
         first, second = np.flatnonzero(blk == bi), np.flatnonzero(blk == bj)
-        if not len(first) or not len(second):
-            return None
+        size = np.array([2 * len(c) for c in cells])
+        level = {}
+        for c in set(size.tolist()):
+            grid = np.zeros((len(cells), c), np.int16)
+            for s in {s for s in size.tolist() if s >= c}:
+                at = np.flatnonzero(size == s)
+                grid[at] = unpacked([cells[i] for i in at], c)
+            level[c] = grid
         out = []
         for i in first:
             js = second[second > i] if bi == bj else second
             js = js[(comp[js] != comp[i]) & (n[js] * rule.den >= n[i] * rule.num) & (n[i] * rule.den >= n[js] * rule.num) & (low[js] - high[i] <= reach) & (low[i] - high[js] <= reach)]
-            if len(js):
-                js = js[np.abs(cells[js].astype(np.int16) - cells[i].astype(np.int16)).sum(1) <= rule.most(n[js], n[i])]
-                out += [(d[i], d[j]) for j in js]
+            shared = np.minimum(size[js], size[i])
+            for c in set(shared.tolist()):
+                at = js[shared == c]
+                at = at[np.abs(level[c][at] - level[c][i]).sum(1) <= rule.most(n[at], n[i])]
+                out += [(d[i], d[j]) for j in at]
         return out
 
     def run(batches):
@@ -243,7 +283,7 @@ def _across(rule: Rule):
             if batch is not None and not batch.num_rows:
                 continue
             if batch is not None:
-                cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(9)] + [np.frombuffer(b"".join(batch.column(9).to_pylist()), np.uint8).reshape(-1, CELLS)]
+                cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(9)] + [np.array([*batch.column(9).to_pylist(), None], object)[:-1]]
                 held = cols if held is None else [np.concatenate([x, y]) for x, y in zip(held, cols, strict=True)]
             if held is None:
                 return
@@ -255,7 +295,7 @@ def _across(rule: Rule):
             for a, b in zip(cut[:whole], ends[:whole], strict=True):
                 if b - a > 1:
                     got = of([held[3][a:b], bi[a], bj[a], *(x[a:b] for x in held[4:])])
-                    found += [p for p in got or () if p not in seen]
+                    found += [p for p in got if p not in seen]
                     if len(seen) < 1_000_000:
                         seen.update(found)
             if found:
