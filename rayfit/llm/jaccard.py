@@ -185,7 +185,8 @@ def _sign(width: int, rule: Rule, common: np.ndarray, parts: int):
 
 
 def _buckets(batches):
-    """kind 0: star pairs of the buckets of this task, each once; kind 1: members of buckets of three or more."""
+    """kind 0: pairs that are a whole bucket of this task, each once; kind 1: members of larger buckets, of equal ones one;
+    kind 2: in how many buckets of this task, of two or more, a document is."""
     s, o = [], []
     for batch in batches:
         s += [np.frombuffer(x, np.uint64) for x in batch.column(1).to_pylist()]
@@ -193,6 +194,12 @@ def _buckets(batches):
     schema = pa.schema([("kind", pa.int8()), ("bucket", pa.int64()), ("a", pa.int64()), ("b", pa.int64())])
     if not s:
         return
+
+    def rows(kind, bucket, a, b):
+        for low in range(0, len(b), 50_000):
+            n = len(b[low : low + 50_000])
+            yield pa.record_batch([pa.array(np.full(n, kind, np.int8)), *(pa.nulls(n, pa.int64()) if x is None else pa.array(x[low : low + 50_000]) for x in (bucket, a, b))], schema=schema)
+
     s, o = np.concatenate(s), np.concatenate(o)
     order = np.lexsort((o, s))
     s, o = s[order], o[order]
@@ -200,23 +207,18 @@ def _buckets(batches):
     s, o = s[new], o[new]
     cut = np.flatnonzero(np.r_[True, s[1:] != s[:-1]])
     size = np.diff(np.r_[cut, len(s)])
-    several = np.repeat(size > 1, size)
-    head = np.repeat(o[cut], size)
-    star = several & (head != o)
-    pairs = np.unique(np.stack([head[star], o[star]], 1), axis=0)
-    for low in range(0, len(pairs), 50_000):
-        p = pairs[low : low + 50_000]
-        yield pa.record_batch([pa.array(np.zeros(len(p), np.int8)), pa.nulls(len(p), pa.int64()), pa.array(p[:, 0]), pa.array(p[:, 1])], schema=schema)
-    sums = np.add.reduceat(mix(o.view(np.uint64)), cut)  # equal memberships count once
+    two = cut[size == 2]
+    pairs = np.unique(np.stack([o[two], o[two + 1]], 1), axis=0)
+    yield from rows(0, None, pairs[:, 0], pairs[:, 1])
+    sums = np.add.reduceat(mix(o.view(np.uint64)), cut)
     _, first = np.unique(np.where(size > 2, sums, 0), return_index=True)
     take = np.zeros(len(cut), bool)
     take[first] = True
     take &= size > 2
-    rows = np.flatnonzero(np.repeat(take, size))
-    name = np.repeat(sums, size)[rows].view(np.int64)
-    for low in range(0, len(rows), 50_000):
-        r = rows[low : low + 50_000]
-        yield pa.record_batch([pa.array(np.ones(len(r), np.int8)), pa.array(name[low : low + 50_000]), pa.array(head[r]), pa.array(o[r])], schema=schema)
+    held = np.flatnonzero(np.repeat(take, size))
+    yield from rows(1, np.repeat(sums, size)[held].view(np.int64), None, o[held])
+    who, times = np.unique(o[np.repeat(size > 2, size)], return_counts=True)
+    yield from rows(2, None, who, times.astype(np.int64))
 
 
 def _bound(rule: Rule):
@@ -344,7 +346,13 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
         forget(held)
         return out
 
-    pairs = found.filter("kind = 0").select("a", "b").distinct()
+    # the head of a bucket is the member found in most buckets: the original of a group of altered copies, if it is there
+    sets = found.filter("kind = 1").select("bucket", "b").distinct()
+    degree = found.filter("kind = 2").groupBy(F.col("a").alias("b")).agg(F.sum("b").alias("degree"))
+    sets = staged(sets.join(degree, "b").select("bucket", "b", "degree"), "sets")
+    heads = sets.groupBy("bucket").agg(F.max(F.struct("degree", (-F.col("b")).alias("minus"))).alias("h")).select("bucket", (-F.col("h.minus")).alias("head"))
+    stars = staged(sets.join(heads, "bucket").select("bucket", "head", "b", F.least("head", "b").alias("x"), F.greatest("head", "b").alias("y")), "stars")
+    pairs = found.filter("kind = 0").select("a", "b").union(stars.filter("x < y").select("x", "y")).distinct()
     one = sketch.dropDuplicates(["id"])
     sized = both(pairs, one, ["n", "cells"]).filter(F.least("a_n", "b_n") * rule.den >= F.greatest("a_n", "b_n") * rule.num)
     bounded = staged(sized.select("a", "b", "a_n", "b_n", "a_cells", "b_cells").mapInArrow(_bound(rule), "a long, b long, na long, nb long, least long, may boolean"), "bounded")
@@ -354,15 +362,14 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
     comps = staged(connected(links), "components")
 
     # what a bucket holds beyond one component
-    sets = found.filter("kind = 1").select("bucket", "a", "b").distinct()
-    placed = sets.join(comps.withColumnRenamed("id", "b"), "b", "left").select("bucket", "a", "b", F.coalesce("component", "b").alias("comp"))
+    placed = stars.join(comps.withColumnRenamed("id", "b"), "b", "left").select("bucket", F.col("x").alias("a"), F.col("y").alias("c"), "b", F.coalesce("component", "b").alias("comp"))
     mixed = placed.groupBy("bucket").agg(F.count("*").alias("m"), F.min("comp").alias("c0"), F.max("comp").alias("c1")).filter("c0 < c1").select("bucket", "m")
     # distance to the head: exact where checked; else at least what the histogram says; sizes alone where they rule it out
     known = bounded.select("a", "b", "na", "nb", "least").join(star.select("a", "b", "inter"), ["a", "b"], "left")
     far = lambda inter: 1 - F.greatest(inter, F.lit(0.0)) / (F.col("na") + F.col("nb") - F.greatest(inter, F.lit(0.0)))
-    known = known.select("a", "b", far(F.coalesce(F.col("inter").cast("double"), (F.col("na") + F.col("nb") - F.col("least")) / 2)).alias("low"), F.when(F.col("inter").isNotNull(), far(F.col("inter").cast("double"))).otherwise(1.0).alias("high"))
-    side = placed.join(mixed, "bucket").join(known, ["a", "b"], "left").join(one.withColumnRenamed("id", "b"), "b")
-    side = side.select("bucket", "m", "b", "comp", "n", F.when(F.col("a") == F.col("b"), 0.0).otherwise(F.coalesce("low", F.lit(0.0))).alias("low"), F.when(F.col("a") == F.col("b"), 0.0).otherwise(F.coalesce("high", F.lit(1.0))).alias("high"), "cells")
+    known = known.select("a", F.col("b").alias("c"), far(F.coalesce(F.col("inter").cast("double"), (F.col("na") + F.col("nb") - F.col("least")) / 2)).alias("low"), F.when(F.col("inter").isNotNull(), far(F.col("inter").cast("double"))).otherwise(1.0).alias("high"))
+    side = placed.join(mixed, "bucket").join(known, ["a", "c"], "left").join(one.withColumnRenamed("id", "b"), "b")
+    side = side.select("bucket", "m", "b", "comp", "n", F.when(F.col("a") == F.col("c"), 0.0).otherwise(F.coalesce("low", F.lit(0.0))).alias("low"), F.when(F.col("a") == F.col("c"), 0.0).otherwise(F.coalesce("high", F.lit(1.0))).alias("high"), "cells")
     count = F.ceil(F.col("m") / BLOCK).cast("int")
     blk = F.pmod(F.xxhash64("b"), count).cast("int")
     side = side.withColumn("blk", blk).withColumn("other", F.explode(F.sequence(F.lit(0), count - 1)))
