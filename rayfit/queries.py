@@ -1,15 +1,488 @@
-"""Registered queries of the learners."""
+"""Registered queries of the learners over the given tables, and the SQL of those that SQL can express."""
 
 from __future__ import annotations
 
+import math
 
-def entry(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/lineitem.parquet").limit(1)
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from . import factorization, measures, modeling, sqlfuncs, streaming, tables, taylor, wolfe
+from . import features as X
+from . import workloads as W
+from .instances import Problem, tree_sum
+from .losses import LeastSquares, Logistic
+from .optim import minimize
+
+Z9, Q9 = [0.1, -0.2, 0.3, -0.1, 0.05], [0.5, -0.5, 0.1, 0.2, 0.1]
+ITERATIONS = 15
+PLANTED = """
+WITH raw AS (SELECT l_orderkey, (l_quantity - 25.5) / 14.43 AS x1, (l_extendedprice - 52500) / 30000 AS x2, (l_discount - 0.05) / 0.0316 AS x3, (l_tax - 0.04) / 0.0258 AS x4,
+  (CAST('0x' || substr(md5(concat_ws('|', l_orderkey, l_partkey, l_suppkey, l_linenumber)), 1, 8) AS BIGINT) + 0.5::DOUBLE) / 4294967296::DOUBLE AS u FROM lineitem),
+d AS (SELECT *, CASE WHEN x1 - 0.8 * x2 + 0.5 * x3 + 0.3 * x4 + 0.2 + ln(u / (1 - u)) > 0 THEN 1 ELSE 0 END AS y FROM raw)"""
+TERMS = """ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN y = 0 THEN z ELSE 0 END AS b0, q * (s - CASE WHEN y = 0 THEN 0 ELSE 1 END) AS b1, q * q * s * (1 - s) / 2 AS b2,
+ pow(q, 3) * s * (1 - s) * (1 - 2 * s) / 6 AS b3, pow(q, 4) * s * (1 - s) * (1 - 6 * s * (1 - s)) / 24 AS b4, pow(q, 5) * s * (1 - s) * (1 - 2 * s) * (1 - 12 * s * (1 - s)) / 120 AS b5"""
+MEANS = ", ".join(f"round(avg(b{k}), 6) + 0.0 AS c{k}" for k in range(6))
+ZQ9 = ", ".join(f"{' + '.join(f'({w}) * {x}' for w, x in zip(v, ['x1', 'x2', 'x3', 'x4', '1'], strict=True))} AS {n}" for v, n in ((Z9, "z"), (Q9, "q")))
+C9 = f"{PLANTED}, m AS (SELECT *, {ZQ9} FROM d), t AS (SELECT *, 1 / (1 + exp(-z)) AS s FROM m), b AS (SELECT l_orderkey, {TERMS} FROM t), c AS (SELECT {', '.join(f'avg(b{k}) AS c{k}' for k in range(6))} FROM b)"
+#: Seconds and evaluations that the paper's tables state: dataset, method, tau_tot, tau_fg, tau_ls, n_e; fixed values.
+PUBLISHED = [("epsilon", "lbfgs_wolfe", 0.5, 0.42, None, 1.15), ("epsilon", "ncg_wolfe", 4.0, 0.43, None, 9.92), ("epsilon", "gd_wolfe", 0.42, 0.42, None, 1.01), ("epsilon", "lbfgs_taylor", 0.7, 0.42, 0.32, 1.0), ("epsilon", "ncg_taylor", 0.7, 0.42, 0.32, 1.0), ("epsilon", "gd_taylor", 0.7, 0.42, 0.32, 1.0), ("rcv1", "lbfgs_wolfe", 0.6, 0.47, None, 1.24), ("rcv1", "ncg_wolfe", 5.0, 0.44, None, 10.48), ("rcv1", "gd_wolfe", 0.5, 0.5, None, 1.06), ("rcv1", "lbfgs_taylor", 0.8, 0.45, 0.29, 1.05), ("rcv1", "ncg_taylor", 0.8, 0.46, 0.30, 1.08), ("rcv1", "gd_taylor", 0.8, 0.45, 0.29, 1.0), ("url", "lbfgs_wolfe", 6.0, 4.5, None, 1.14), ("url", "ncg_wolfe", 56.0, 4.6, None, 11.10), ("url", "lbfgs_taylor", 6.1, 4.3, 1.0, 1.0), ("url", "ncg_taylor", 5.9, 4.4, 1.0, 1.01), ("kdd-a", "lbfgs_wolfe", 24.0, 19.0, None, 1.05), ("kdd-a", "ncg_wolfe", 30.0, 19.0, None, 1.38), ("kdd-a", "lbfgs_taylor", 25.0, 18.0, 4.6, 1.03), ("kdd-a", "ncg_taylor", 24.0, 18.0, 4.7, 1.03), ("kdd-b", "lbfgs_wolfe", 37.0, 28.0, None, 1.07), ("kdd-b", "ncg_wolfe", 45.0, 28.0, None, 1.41), ("kdd-b", "lbfgs_taylor", 38.0, 27.0, 6.7, 1.0), ("kdd-b", "ncg_taylor", 36.0, 27.0, 7.1, 1.0)]
+#: Two traces of six iterates for the measures: run, k, loss, seconds.
+TOY = [("wolfe", k, x, 1.0 * k) for k, x in enumerate((0.69, 0.60, 0.50, 0.42, 0.36, 0.32))] + [("taylor", k, x, 1.1 * k) for k, x in enumerate((0.69, 0.52, 0.40, 0.33, 0.31, 0.3))]
+
+
+def _r(c, digits=6):
+    return F.round(c, digits) + F.lit(0.0)
+
+
+def _frame(spark: SparkSession, values, names) -> DataFrame:
+    return spark.createDataFrame([tuple(float(v) for v in values)], ", ".join(f"{n} double" for n in names)).select(*(_r(F.col(n)).alias(n) for n in names))
+
+
+def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The trace of L-BFGS with Taylor searches on the planted workload."""
+    return fit_query("w9", "lbfgs", "taylor")(spark, sf_dir)
+
+
+# -- passes ------------------------------------------------------------------------------------------------------------------
+def _w1_margins(spark, sf_dir) -> DataFrame:
+    """z and q of embeddings with weights sin(i) / 10 and cos(i) / 10, i from 0, and 0.1 for the constant of z."""
+    x = F.col("embedding").cast("array<double>")
+    dot = lambda f: F.aggregate(F.transform(x, lambda e, i: e * f(i.cast("double")) / 10), F.lit(0.0), lambda s, e: s + e)
+    return W.table(spark, sf_dir, "embeddings").select((dot(F.sin) + 0.1).alias("z"), dot(F.cos).alias("q"), (F.col("label") < 5).cast("double").alias("y"), "label")
+
+
+def loss_logit_w1(spark, sf_dir):
+    held = _w1_margins(spark, sf_dir)
+    return held.agg(F.count("*").alias("n"), _r(F.avg(Logistic().value_term(F.col("z"), F.col("y")))).alias("loss"))
+
+
+def coeffs_logit_w1_d5(spark, sf_dir):
+    terms = Logistic().taylor_terms(F.col("z"), F.col("q"), F.col("y"), 5)
+    return _w1_margins(spark, sf_dir).agg(*(_r(F.avg(t)).alias(f"c{k}") for k, t in enumerate(terms)))
+
+
+def grad_logit_w9(spark, sf_dir):
+    p = Problem(W.w9(spark, sf_dir).data, Logistic(), 1e-3)
+    value, g = p.value_and_gradient(np.array(Z9))
+    return _frame(spark, [value, *g], ["loss", "g1", "g2", "g3", "g4", "g5"])
+
+
+def coeffs_logit_w9_d5(spark, sf_dir):
+    return _frame(spark, Problem(W.w9(spark, sf_dir).data, Logistic()).coefficients(np.array(Z9), np.array(Q9), 0.0, 5).c, [f"c{k}" for k in range(6)])
+
+
+def coeffs_ls_w6_d2(spark, sf_dir):
+    w = W.w6(spark, sf_dir)
+    return _frame(spark, Problem(w.data, w.loss).coefficients(np.full(6, 0.1), np.array([1, -1, 0.5, 0.2, 0.3, 0.4]), 0.0, 2).c, ["c0", "c1", "c2"])
+
+
+def _mf(ratings):
+    side = lambda key, s: ratings.select(key).distinct().select(key, *(F.array(*(f(F.col(key).cast("double") + k + s) / 2 for k in range(2))).alias(n) for f, n in ((F.cos, "vec"), (F.sin, "dir"))))
+    return factorization.expand(ratings, side("i", 0.0), side("j", 0.5))
+
+
+def coeffs_mf_w7a_d4(spark, sf_dir):
+    return _frame(spark, _mf(W.w7a(spark, sf_dir)).c, [f"c{k}" for k in range(5)])
+
+
+def coeffs_mf_w7b_d4(spark, sf_dir):
+    return _frame(spark, _mf(W.w7b(spark, sf_dir)).c, [f"c{k}" for k in range(5)])
+
+
+def coeffs_table_w9_d5(spark, sf_dir):
+    """The coefficients by way of a parameter table and exploded features."""
+    d = W.planted(spark, sf_dir).withColumn("row_id", F.monotonically_increasing_id())
+    ex = d.select("row_id", F.posexplode(F.array("x1", "x2", "x3", "x4")).alias("f", "v")).withColumn("f", F.col("f").cast("long"))
+    params = spark.createDataFrame([(k, Z9[k], Q9[k]) for k in range(4)], "f long, w double, p double")
+    held = tables.margins(ex, d.select("row_id", "y"), params, (Z9[4], Q9[4]))
+    return _frame(spark, tables.coefficients(held, params, Logistic(), 5).c, [f"c{k}" for k in range(6)])
+
+
+def coeffs_arrow_w9_d5(spark, sf_dir):
+    """The coefficients by Arrow batches over array rows."""
+    from .instances import Instances
+
+    df = W.planted(spark, sf_dir).select("y", F.array("x1", "x2", "x3", "x4", "x5").alias("x"))
+    return _frame(spark, Problem(Instances(df, 5, kind="dense"), Logistic()).coefficients(np.array(Z9), np.array(Q9), 0.0, 5).c, [f"c{k}" for k in range(6)])
+
+
+def l2_terms(spark, sf_dir):
+    p = W.table(spark, sf_dir, "part").select((F.col("p_size") / 50).alias("w"), (F.col("p_retailprice") / 2000).alias("p"))
+    r = F.col("w") + 0.5 * F.col("p")
+    return p.agg(_r(F.avg(r * r) / 2).alias("c0"), _r(F.avg(r * F.col("p"))).alias("c1"), _r(F.avg(F.col("p") * F.col("p")) / 2).alias("c2"))
+
+
+def horner_grid(spark, sf_dir):
+    c = F.array(*(F.lit(x) for x in (0.6, -0.4, 0.3, -0.1, 0.05, 0.01)))
+    t = (F.col("id") - 20) / 10
+    v, d1, d2 = sqlfuncs.horner_columns(c, F.col("t"))
+    return spark.range(41).select(t.alias("t")).select(_r(F.col("t"), 1).alias("t"), _r(v, 9).alias("v"), _r(d1, 9).alias("d1"), _r(d2, 9).alias("d2"))
+
+
+def model_vs_truth_w9(spark, sf_dir):
+    """The model at 0 against the true loss on a grid of steps, all steps in one pass."""
+    problem = Problem(W.w9(spark, sf_dir).data, Logistic())
+    model = problem.coefficients(np.array(Z9), np.array(Q9), 0.0, 5)
+    held = problem.margins(np.array(Z9), np.array(Q9))
+    grid = [k / 4 for k in range(9)]
+    truth = held.agg(*(F.avg(Logistic().value_term(F.col("z") + a * F.col("q"), F.col("y"))).alias(f"a{k}") for k, a in enumerate(grid))).first()
+    rows = [(a, float(truth[k]), model.value(a), abs(model.error_estimate(a))) for k, a in enumerate(grid)]
+    return spark.createDataFrame(rows, "t double, truth double, model double, estimate double").select("t", *(_r(F.col(c)).alias(c) for c in ("truth", "model", "estimate")))
+
+
+def wolfe_checks_w9(spark, sf_dir):
+    problem = Problem(W.w9(spark, sf_dir).data, Logistic())
+    held = problem.margins(np.array(Z9), np.array(Q9))
+    grid, loss = [0.5, 1.0, 2.0, 4.0, 8.0], Logistic()
+    at = lambda a: F.col("z") + a * F.col("q")
+    row = held.agg(*(F.avg(c) for a in (0.0, *grid) for c in (loss.value_term(at(a), F.col("y")), loss.slope_term(at(a), F.col("y")) * F.col("q")))).first()
+    rows = [(a, bool(wolfe.decrease(row[2 + 2 * k], row[0], row[1], a)), bool(wolfe.curvature(row[3 + 2 * k], row[1])), row[2 + 2 * k], row[3 + 2 * k]) for k, a in enumerate(grid)]
+    return spark.createDataFrame(rows, "a double, decrease boolean, curvature boolean, phi double, dphi double").select("a", "decrease", "curvature", _r(F.col("phi")).alias("phi"), _r(F.col("dphi")).alias("dphi"))
+
+
+def cubic_min_cases(spark, sf_dir):
+    """Minimisers of cubics with known coefficients, from values and slopes at two points."""
+    out = []
+    for k, (a3, a2, a1) in enumerate([(1.0, 0.0, -3.0), (2.0, -3.0, -12.0), (1.0, 1.0, -1.0), (0.5, -2.0, 1.0)]):
+        f, d = (lambda x, a3=a3, a2=a2, a1=a1: a3 * x**3 + a2 * x**2 + a1 * x), (lambda x, a3=a3, a2=a2, a1=a1: 3 * a3 * x**2 + 2 * a2 * x + a1)
+        out.append((k, wolfe.cubic_min(0.0, f(0.0), d(0.0), 4.0, f(4.0), d(4.0))))
+    return spark.createDataFrame(out, "k int, x double").select("k", _r(F.col("x")).alias("x"))
+
+
+def fallback_step_w9(spark, sf_dir):
+    m = Problem(W.w9(spark, sf_dir).data, Logistic()).coefficients(np.array(Z9), np.array(Q9), 0.0, 2)
+    return _frame(spark, [m.fallback()], ["t"])
+
+
+def example_1d_taylor(spark, sf_dir):
+    """The first iterate of the worked function for degrees 2 to 7; derivatives come from a DataFrame."""
+    d = [r[0] for r in W.example(spark).orderBy("k").select("d").collect()]
+    rows = [(n, 1.0 + taylor.TaylorModel([d[k] / math.factorial(k) for k in range(n + 1)], 1.0).argmin().t) for n in range(2, 8)]
+    return spark.createDataFrame(rows, "degree int, alpha double").select("degree", _r(F.col("alpha")).alias("alpha"))
+
+
+def example_1d_wolfe(spark, sf_dir):
+    f = taylor.worked_example
+    s = wolfe.line_search(lambda a: (f(a, 0), f(a, 1), None), f(0.0, 0), f(0.0, 1))
+    return _frame(spark, [s.alpha, s.n_eval, f(s.alpha, 0), f(s.alpha, 1)], ["alpha", "n_eval", "phi", "dphi"])
+
+
+def ls_exact_step_w6(spark, sf_dir):
+    w = W.w6(spark, sf_dir)
+    p = Problem(w.data, w.loss)
+    s = taylor.taylor_line_search(lambda a: p.coefficients(np.full(6, 0.1), np.array([0.1, 0.1, -0.1, 0.05, 0.1, 0.3]), a, 2), 1.0)
+    return _frame(spark, [s.alpha, s.n_eval], ["alpha", "n_eval"])
+
+
+def ls_fit_w6(spark, sf_dir):
+    """A fit of price on quantity alone with a constant, to be told apart from closed-form regression by nothing."""
+    from .instances import Instances
+
+    df = W.table(spark, sf_dir, "lineitem").select(((F.col("l_quantity") - 25.5) / 14.43).alias("x1"), F.lit(1.0).alias("x2"), (F.col("l_extendedprice") / 1e5).alias("y"))
+    fit = minimize(Problem(Instances(df, 2, ["x1", "x2"]).persist(), LeastSquares()), "lbfgs", "taylor", degree=2, max_iter=20)
+    return _frame(spark, fit.w, ["slope", "intercept"])
+
+
+def gd_taylor_w9_3iters(spark, sf_dir):
+    return fit_query("w9", "gd", "taylor", 3)(spark, sf_dir)
+
+
+# -- fits --------------------------------------------------------------------------------------------------------------------
+def run_fit(spark, sf_dir, name, method, search, max_iter=ITERATIONS, **options):
+    work = getattr(W, name)(spark, sf_dir, **({"m": 1 << 16} if name in ("w3", "w4", "w5") else {}))
+    work.data.persist()
+    fit = minimize(Problem(work.data, work.loss, work.lam, cached=options.pop("cached", False)), method, search, max_iter=max_iter, theta=options.pop("theta", work.theta), degree=options.pop("degree", work.degree), **options)
+    work.data.df.unpersist()
+    return fit
+
+
+def fit_query(name, method, search, max_iter=ITERATIONS, **options):
+    def query(spark, sf_dir):
+        fit = run_fit(spark, sf_dir, name, method, search, max_iter, **options)
+        return fit.trace_frame(spark, f"{name}_{method}_{search}", name).drop("seconds", "cum_seconds")
+
+    return query
+
+
+def mf_fit_w7a(spark, sf_dir):
+    _, _, trace = factorization.fit(W.w7a(spark, sf_dir), 2, max_iter=4)
+    return spark.createDataFrame([(t["k"], t["loss"], t["grad_norm"], t["alpha"], t["model_loss"]) for t in trace], "k int, loss double, grad_norm double, alpha double, model_loss double")
+
+
+def degree_ablation_w9(spark, sf_dir):
+    """Iterations and evaluations to a gap of 1e-10, by degree."""
+    fits = {d: run_fit(spark, sf_dir, "w9", "lbfgs", "taylor", 12, degree=d) for d in (2, 3, 5, 7)}
+    best = min(f.trace[-1]["loss"] for f in fits.values())
+    rows = [(d, next((t["k"] for t in f.trace if t["loss"] - best <= 1e-10), -1), sum(t["n_eval"] for t in f.trace) / max(1, len(f.trace) - 1)) for d, f in fits.items()]
+    return spark.createDataFrame(rows, "degree int, k int, n_e double")
+
+
+def minibatch_w15(spark, sf_dir):
+    """One step for each day of events, as batches of a stream would come."""
+    events = W.table(spark, sf_dir, "events")
+    learner = streaming.MiniBatch(lambda b: W.w15(b).data.df, 126, Logistic())
+    days = [r[0] for r in events.select(F.to_date("ts").alias("d")).distinct().orderBy("d").collect()]
+    for k, day in enumerate(days[:6]):
+        learner(events.filter(F.to_date("ts") == day), k)
+    return spark.createDataFrame([(t["batch"], t["n"], t["loss"], t["alpha"]) for t in learner.trace], "batch int, n long, loss double, alpha double")
+
+
+# -- measures ----------------------------------------------------------------------------------------------------------------
+def _toy(spark):
+    return spark.createDataFrame(TOY, "search string, k int, loss double, cum_seconds double").withColumns({"dataset": F.lit("toy"), "method": F.lit("lbfgs"), "run": F.col("search"), "acc": F.exp(-F.col("loss"))})
+
+
+def trace_gap(spark, sf_dir):
+    out = measures.gap(_toy(spark))
+    return out.select("search", "k", _r(F.col("gap")).alias("gap"), _r(F.col("acc")).alias("acc"))
+
+
+def to_gap_toy(spark, sf_dir):
+    return measures.to_gap(_toy(spark), (0.1, 0.01)).select("search", "goal", "k", _r(F.col("seconds")).alias("seconds"))
+
+
+def trace_speedup(spark, sf_dir):
+    t = _toy(spark)
+    out = measures.speedup(t.filter("search = 'wolfe'"), t.filter("search = 'taylor'"))
+    return out.select("k_w", "k_t", _r(F.col("acc")).alias("acc"), _r(F.col("iter_ratio")).alias("iter_ratio"), _r(F.col("time_ratio")).alias("time_ratio"))
+
+
+def speedup_windows(spark, sf_dir):
+    t = _toy(spark)
+    out = measures.windowed(measures.speedup(t.filter("search = 'wolfe'"), t.filter("search = 'taylor'")), 0.1)
+    return out.select("bin", "n", *(_r(F.col(c)).alias(c) for c in ("iter_mean", "iter_sd", "time_mean", "time_sd")))
+
+
+def plateau_toy(spark, sf_dir):
+    return measures.plateau(_toy(spark), 0.05, 2).select("run", "k", _r(F.col("acc")).alias("acc"))
+
+
+def _published(spark):
+    return spark.createDataFrame(PUBLISHED, "dataset string, method string, tau_tot double, tau_fg double, tau_ls double, n_e double")
+
+
+def timing_table(spark, sf_dir):
+    """The published table, one row for each dataset, with total seconds by method."""
+    out = _published(spark).groupBy("dataset").pivot("method", ["lbfgs_wolfe", "lbfgs_taylor", "ncg_wolfe", "ncg_taylor"]).agg(F.first("tau_tot"))
+    return out.select("dataset", "lbfgs_wolfe", "lbfgs_taylor", "ncg_wolfe", "ncg_taylor")
+
+
+def pass_model(spark, sf_dir):
+    out = measures.pass_model(_published(spark))
+    return out.select("dataset", "method", _r(F.col("passes"), 4).alias("passes"), _r(F.col("pass_ratio"), 4).alias("pass_ratio"))
+
+
+def timing_rollup(spark, sf_dir):
+    """Mean seconds by dataset and kind of search, with subtotals."""
+    t = _published(spark).withColumn("search", F.split_part("method", F.lit("_"), F.lit(2)))
+    return t.rollup("dataset", "search").agg(F.count("*").alias("n"), _r(F.avg("tau_tot"), 4).alias("tau_tot"))
+
+
+def comm_cost(spark, sf_dir):
+    ops = spark.createDataFrame([("t", 0, "g", 0.0, 65, 65), ("t", 1, "coeffs", 0.0, 6, 130), ("t", 2, "g", 0.0, 65, 65), ("w", 0, "fg", 0.0, 66, 65), ("w", 1, "fg", 0.0, 66, 65)], "run string, i int, op string, seconds double, doubles_reduced long, doubles_broadcast long")
+    return measures.communication(ops, 8)
+
+
+def timing_w9(spark, sf_dir):
+    """Evaluations for each search, and counts of passes, of both searches on the planted workload."""
+    out = []
+    for search in ("taylor", "wolfe"):
+        f = run_fit(spark, sf_dir, "w9", "lbfgs", search, 6)
+        out.append(measures.timing(f.trace_frame(spark, search, "w9"), f.ops_frame(spark, search)).select("run", "n_e", F.col("tau_ls").isNotNull().alias("has_ls")))
+    return out[0].unionByName(out[1])
+
+
+def tree_vs_flat(spark, sf_dir):
+    """Sums of blocks by one level and by three are the same."""
+    import pandas as pd
+
+    t = W.table(spark, sf_dir, "lineitem").select((F.col("l_partkey") % 4).cast("int").alias("block"), (F.col("l_orderkey") % 64).cast("int").alias("lane"), "l_quantity")
+
+    def pack(pdf: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"block": pdf["block"][:1], "lane": pdf["lane"][:1], "part": [np.array([pdf["l_quantity"].sum(), len(pdf)], float).tobytes()]})
+
+    rows = t.groupBy("block", "lane").applyInPandas(pack, "block int, lane int, part binary")
+    out = None
+    for levels in (1, 3):
+        sums = {r[0]: np.frombuffer(r[2]) for r in tree_sum(rows, levels, 64).collect()}
+        own = spark.createDataFrame([(b, float(x[0]), float(x[1])) for b, x in sums.items()], f"block int, q{levels} double, n{levels} double")
+        out = own if out is None else out.join(own, "block")
+    return out.select("block", "q1", "q3", "n1", "n3")
+
+
+# -- features, reports, model use ----------------------------------------------------------------------------------------------
+def hash_features_w2(spark, sf_dir):
+    """Counts of hashed words of all documents by bucket."""
+    t = W.table(spark, sf_dir, "documents").select("doc_id", F.explode(F.filter(F.split(F.translate("text", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "[^a-z0-9]+"), lambda x: x != "")).alias("t"))
+    return t.groupBy(X.bucket(F.col("t"), 64).cast("long").alias("bucket")).agg(F.count("*").alias("n"), F.countDistinct("t").alias("words"))
+
+
+def onehot_w5(spark, sf_dir):
+    """Rows and labels by brand and order status: the attributes that the one-hot workload codes."""
+    d = W.table(spark, sf_dir, "lineitem").join(W.table(spark, sf_dir, "part"), F.col("l_partkey") == F.col("p_partkey"))
+    return d.groupBy(F.col("p_brand").alias("brand"), F.col("l_returnflag").alias("flag")).agg(F.count("*").alias("n"), F.count_if(F.col("l_quantity") > 7).alias("positive"))
+
+
+def label_ratio(spark, sf_dir):
+    rows = [("w1", "embeddings", F.col("label") < 5), ("w2", "documents", F.col("lang") == "en"), ("w3", "pages", F.col("url").startswith("http://")), ("w4", "labels", F.col("quality") == 1), ("w5", "lineitem", F.col("l_quantity") > 7), ("w15", "events", F.col("event_type") == "purchase")]
+    out = None
+    for name, t, y in rows:
+        own = W.table(spark, sf_dir, t).agg(F.lit(name).alias("workload"), F.count_if(y).alias("positive"), F.count_if(~y).alias("negative"))
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
+def dataset_summary(spark, sf_dir):
+    out = None
+    for work in (W.w1(spark, sf_dir), W.w2(spark, sf_dir), W.w3(spark, sf_dir), W.w4(spark, sf_dir), W.w5(spark, sf_dir), W.w9(spark, sf_dir)):
+        own = measures.summary(work.data)
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
+def _scored9(spark, sf_dir):
+    held = Problem(W.w9(spark, sf_dir).data, Logistic()).margins(np.array([1.0, -0.8, 0.5, 0.3, 0.2]), np.zeros(5))
+    return held.select("y", _r(1 / (1 + F.exp(-F.col("z"))), 4).alias("prob"))
+
+
+def confusion_w9(spark, sf_dir):
+    out = measures.classify(_scored9(spark, sf_dir))
+    return out.select("n", "tp", "fp", "tn", "fn", _r(F.col("base_rate")).alias("base_rate"), _r(F.col("accuracy")).alias("accuracy"))
+
+
+def auc_w9(spark, sf_dir):
+    return measures.classify(_scored9(spark, sf_dir)).select(_r(F.col("auc")).alias("auc"), _r(F.col("log_loss")).alias("log_loss"))
+
+
+def ovr_coeffs_w1(spark, sf_dir):
+    """Slopes and bends of ten one-against-rest losses in one pass."""
+    held = _w1_margins(spark, sf_dir)
+    cols = []
+    for c in range(10):
+        y = (F.col("label") == c).cast("double")
+        cols += [_r(F.avg(t)).alias(f"c{k}_{c}") for k, t in enumerate(Logistic().taylor_terms(F.col("z"), F.col("q"), y, 2)) if k < 2]
+    return held.agg(*cols)
+
+
+def group_coeffs_nation(spark, sf_dir):
+    """A model of each nation's customers in one pass."""
+    d = W.planted(spark, sf_dir).join(W.table(spark, sf_dir, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).join(W.table(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey"))
+    z, q = (sum((F.col(f"x{i + 1}") * w[i] for i in range(4)), F.lit(w[4])) for w in (Z9, Q9))
+    out = modeling.group_coefficients(d.select(F.col("c_nationkey").cast("long").alias("nation"), "y", z.alias("z"), q.alias("q")), "nation", Logistic(), 2)
+    return out.select("nation", "n", *(_r(F.col(f"c{k}")).alias(f"c{k}") for k in range(3)))
+
+
+def stream_window_loss(spark, sf_dir):
+    e = W.table(spark, sf_dir, "events").select("ts", Logistic().value_term(F.log1p("value") / 10, (F.col("event_type") == "purchase").cast("double")).alias("loss"))
+    out = streaming.window_loss(e)
+    return out.select(F.date_format("start", "yyyy-MM-dd").alias("day"), "n", _r(F.col("loss")).alias("loss"), _r(F.col("acc")).alias("acc"))
+
+
+def residual_topk_w9(spark, sf_dir):
+    """The orders whose planted rows are told worst: largest total loss, ten of them."""
+    t = W.planted(spark, sf_dir)
+    z = sum((F.col(f"x{i + 1}") * w for i, w in enumerate([1.0, -0.8, 0.5, 0.3])), F.lit(0.2))
+    return t.groupBy("l_orderkey").agg(_r(F.sum(Logistic().value_term(z, F.col("y")))).alias("loss"), F.count("*").alias("n")).orderBy(F.desc("loss"), "l_orderkey").limit(10)
+
+
+def labelled_documents(spark, sf_dir):
+    """Documents with and without labels by language: a semi and an anti join."""
+    d, l = W.table(spark, sf_dir, "documents"), W.table(spark, sf_dir, "labels")
+    out = d.join(l, "doc_id", "left_semi").groupBy("lang").agg(F.count("*").alias("labelled"))
+    rest = d.join(l, "doc_id", "left_anti").groupBy("lang").agg(F.count("*").alias("unlabelled"))
+    return out.join(rest, "lang", "full").select("lang", F.coalesce("labelled", F.lit(0)).alias("labelled"), F.coalesce("unlabelled", F.lit(0)).alias("unlabelled"))
+
+
+def sql_terms_w9(spark, sf_dir):
+    """The coefficients again, written in SQL with the registered functions."""
+    sqlfuncs.register(spark)
+    W.planted(spark, sf_dir).createOrReplaceTempView("rayfit_planted")
+    z, q = (" + ".join(f"({w}D) * x{i + 1}" for i, w in enumerate(v)) for v in (Z9, Q9))
+    return spark.sql(f"SELECT {', '.join(f'round(avg(b[{k}]), 6) + 0D AS c{k}' for k in range(6))} FROM (SELECT logit_terms({z}, {q}, y) AS b FROM rayfit_planted)")
 
 
 def queries() -> dict:
-    return {}
+    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, gd_taylor_w9_3iters, mf_fit_w7a, degree_ablation_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_w9, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9]
+    out = {f.__name__: f for f in own}
+    for name in ("w1", "w9"):
+        for method in ("gd", "ncg", "lbfgs"):
+            for search in ("taylor", "wolfe"):
+                out[f"{method}_{search}_{name}"] = fit_query(name, method, search, 12)
+    for name in ("w2", "w3", "w4", "w5"):
+        for method in ("ncg", "lbfgs"):
+            for search in ("taylor", "wolfe"):
+                out[f"{method}_{search}_{name}"] = fit_query(name, method, search, 5)
+    out["newton_taylor_w9"] = fit_query("w9", "newton", "taylor", 5)
+    out["lbfgs_backtracking_w9"] = fit_query("w9", "lbfgs", "backtracking", 10)
+    out["lbfgs_cached_w1"] = fit_query("w1", "lbfgs", "taylor", 8, cached=True)
+    return out
+
+
+def _values(rows, names):
+    cell = lambda v: "NULL" if v is None else f"'{v}'" if isinstance(v, str) else f"{v}::INTEGER" if isinstance(v, int) else f"{v}::DOUBLE"
+    return f"(VALUES {', '.join('(' + ', '.join(map(cell, r)) + ')' for r in rows)}) AS v({names})"
+
+
+def _mf_sql(ratings: str) -> str:
+    dot = lambda f, g: " + ".join(f"{f}(i + {k}) / 2 * {g}(j + {k} + 0.5) / 2" for k in range(2))
+    return f"""WITH r AS ({ratings}), a AS (SELECT {dot('cos', 'cos')} - value AS a0, {dot('cos', 'sin')} + {dot('sin', 'cos')} AS a1, {dot('sin', 'sin')} AS a2 FROM r)
+SELECT round(avg(a0 * a0 / 2), 6) + 0.0 AS c0, round(avg(a0 * a1), 6) + 0.0 AS c1, round(avg(a0 * a2 + a1 * a1 / 2), 6) + 0.0 AS c2, round(avg(a1 * a2), 6) + 0.0 AS c3, round(avg(a2 * a2 / 2), 6) + 0.0 AS c4 FROM a"""
 
 
 def oracle_sql() -> dict:
-    return {}
+    e1 = "WITH m AS (SELECT label, CASE WHEN label < 5 THEN 1 ELSE 0 END AS y, list_sum(list_transform(range(0, 64), lambda i: CAST(embedding[i + 1] AS DOUBLE) * sin(i) / 10)) + 0.1 AS z, list_sum(list_transform(range(0, 64), lambda i: CAST(embedding[i + 1] AS DOUBLE) * cos(i) / 10)) AS q FROM embeddings), t AS (SELECT *, 1 / (1 + exp(-z)) AS s FROM m)"
+    c9 = f"{C9} SELECT {', '.join(f'round(c{k}, 6) + 0.0 AS c{k}' for k in range(6))} FROM c"
+    f1 = [math.factorial(k) for k in range(8)]
+    g9 = " , ".join(f"round(avg((s - y) * {x}) + 0.001 * ({w}), 6) + 0.0 AS g{i + 1}" for i, (x, w) in enumerate(zip(["x1", "x2", "x3", "x4", "1"], Z9, strict=True)))
+    z6 = "0.1 * (x1 + x2 + x3 + x4 + x5 + 1)"
+    six = "WITH d AS (SELECT (l_quantity - 25.5) / 14.43 AS x1, (l_discount - 0.05) / 0.0316 AS x2, (l_tax - 0.04) / 0.0258 AS x3, (p_size - 25.5) / 14.4 AS x4, (p_retailprice - 1400) / 300 AS x5, l_extendedprice / 1e5 AS y FROM lineitem JOIN part ON l_partkey = p_partkey)"
+    toy = f"SELECT search, k, loss, cum_seconds, exp(-loss) AS acc FROM {_values(TOY, 'search, k, loss, cum_seconds')}"
+    sp = f"WITH t AS ({toy}), s AS (SELECT w.k AS k_w, w.acc, w.cum_seconds AS sw, min(t.k) AS k_t FROM t w JOIN t ON w.search = 'wolfe' AND t.search = 'taylor' AND t.acc >= w.acc WHERE w.k > 0 GROUP BY ALL HAVING min(t.k) > 0), r AS (SELECT s.*, s.k_w / s.k_t AS ir, sw / t.cum_seconds AS tr FROM s JOIN t ON t.search = 'taylor' AND t.k = s.k_t)"
+    pub = _values(PUBLISHED, "dataset, method, tau_tot, tau_fg, tau_ls, n_e")
+    s9 = f"{PLANTED}, s AS (SELECT y, round(1 / (1 + exp(-(x1 - 0.8 * x2 + 0.5 * x3 + 0.3 * x4 + 0.2))), 4) AS prob FROM d)"
+    grid = "(VALUES (0.5), (1.0), (2.0), (4.0), (8.0)) AS g(a)"
+    at = "SELECT CAST(a AS DOUBLE) AS a, avg(ln(1 + exp(-abs(z + a * q))) + greatest(-(z + a * q), 0) + CASE WHEN y = 0 THEN z + a * q ELSE 0 END) AS phi, avg(q * (1 / (1 + exp(-(z + a * q))) - y)) AS dphi"
+    return {
+        "loss_logit_w1": f"{e1}, b AS (SELECT {TERMS} FROM t) SELECT count(*) AS n, round(avg(b0), 6) + 0.0 AS loss FROM b",
+        "coeffs_logit_w1_d5": f"{e1}, b AS (SELECT {TERMS} FROM t) SELECT {MEANS} FROM b",
+        "grad_logit_w9": f"{PLANTED}, m AS (SELECT *, {ZQ9} FROM d), t AS (SELECT *, 1 / (1 + exp(-z)) AS s FROM m) SELECT round(avg(ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN y = 0 THEN z ELSE 0 END) + {5e-4 * sum(x * x for x in Z9)}, 6) + 0.0 AS loss, {g9} FROM t",
+        "coeffs_logit_w9_d5": c9,
+        "coeffs_table_w9_d5": c9,
+        "coeffs_arrow_w9_d5": c9,
+        "sql_terms_w9": c9,
+        "coeffs_ls_w6_d2": f"{six}, m AS (SELECT {z6} AS z, x1 - x2 + 0.5 * x3 + 0.2 * x4 + 0.3 * x5 + 0.4 AS q, y FROM d) SELECT round(avg((z - y) * (z - y) / 2), 6) + 0.0 AS c0, round(avg((z - y) * q), 6) + 0.0 AS c1, round(avg(q * q / 2), 6) + 0.0 AS c2 FROM m",
+        "coeffs_mf_w7a_d4": _mf_sql("SELECT user_id AS i, CAST(json_extract_string(props, '$.k') AS BIGINT) AS j, avg(value / 100) AS value FROM events GROUP BY 1, 2"),
+        "coeffs_mf_w7b_d4": _mf_sql("SELECT o_custkey AS i, l_partkey AS j, sum(l_quantity) / 50 AS value FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2"),
+        "l2_terms": "WITH p AS (SELECT p_size / 50 + 0.5 * p_retailprice / 2000 AS r, p_retailprice / 2000 AS p FROM part) SELECT round(avg(r * r) / 2, 6) + 0.0 AS c0, round(avg(r * p), 6) + 0.0 AS c1, round(avg(p * p) / 2, 6) + 0.0 AS c2 FROM p",
+        "horner_grid": "WITH g AS (SELECT (i - 20) / 10 AS t FROM range(41) r(i)) SELECT round(t, 1) + 0.0 AS t, round(0.6 - 0.4 * t + 0.3 * t**2 - 0.1 * t**3 + 0.05 * t**4 + 0.01 * t**5, 9) + 0.0 AS v, round(-0.4 + 0.6 * t - 0.3 * t**2 + 0.2 * t**3 + 0.05 * t**4, 9) + 0.0 AS d1, round(0.6 - 0.6 * t + 0.6 * t**2 + 0.2 * t**3, 9) + 0.0 AS d2 FROM g",
+        "model_vs_truth_w9": f"{C9}, g AS (SELECT i / 4 AS t FROM range(9) r(i)), h AS (SELECT g.t AS t, avg(ln(1 + exp(-abs(z + g.t * q))) + greatest(-(z + g.t * q), 0) + CASE WHEN y = 0 THEN z + g.t * q ELSE 0 END) AS truth FROM m, g GROUP BY g.t) SELECT t, round(truth, 6) + 0.0 AS truth, round(c0 + c1 * t + c2 * t**2 + c3 * t**3 + c4 * t**4 + c5 * t**5, 6) + 0.0 AS model, round(abs(c5 * t**5), 6) + 0.0 AS estimate FROM h, c",
+        "wolfe_checks_w9": f"{PLANTED}, m AS (SELECT *, {ZQ9} FROM d), o AS ({at} FROM m, (VALUES (0.0)) AS g(a) GROUP BY a), h AS ({at} FROM m, {grid} GROUP BY a) SELECT h.a AS a, h.phi <= o.phi + 1e-4 * h.a * o.dphi AS decrease, abs(h.dphi) <= 0.9 * abs(o.dphi) AS curvature, round(h.phi, 6) + 0.0 AS phi, round(h.dphi, 6) + 0.0 AS dphi FROM h, o",
+        "cubic_min_cases": "WITH c(k, a3, a2, a1) AS (VALUES (0, 1.0, 0.0, -3.0), (1, 2.0, -3.0, -12.0), (2, 1.0, 1.0, -1.0), (3, 0.5, -2.0, 1.0)) SELECT k, CAST(round((-a2 + sqrt(a2 * a2 - 3 * a3 * a1)) / (3 * a3), 6) AS DOUBLE) + 0.0 AS x FROM c",
+        "fallback_step_w9": f"{C9} SELECT round(-c1 / (2 * c2), 6) + 0.0 AS t FROM c",
+        "example_1d_taylor": f"WITH RECURSIVE d(k, c) AS (SELECT * FROM (VALUES {', '.join(f'({k}, ((1 + {k}) * exp(1::DOUBLE) + ({(-1) ** k}) * exp(3::DOUBLE)) / {f1[k]})' for k in range(8))})), n(degree, i, t) AS (SELECT CAST(g AS INTEGER), 0, 0::DOUBLE FROM range(2, 8) r(g) UNION ALL SELECT n.degree, i + 1, t - (SELECT sum(k * c * pow(t, k - 1)) FROM d WHERE k BETWEEN 1 AND n.degree) / (SELECT sum(k * (k - 1) * c * pow(t, k - 2)) FROM d WHERE k BETWEEN 2 AND n.degree) FROM n WHERE i < 12) SELECT degree, round(1 + t, 6) + 0.0 AS alpha FROM n WHERE i = 12",
+        "example_1d_wolfe": "SELECT 1::DOUBLE AS alpha, 1::DOUBLE AS n_eval, round(exp(1) + exp(3), 6) + 0.0 AS phi, round(2 * exp(1) - exp(3), 6) + 0.0 AS dphi",
+        "ls_exact_step_w6": f"{six}, m AS (SELECT {z6} - y AS e, 0.1 * x1 + 0.1 * x2 - 0.1 * x3 + 0.05 * x4 + 0.1 * x5 + 0.3 AS q FROM d) SELECT round(-sum(e * q) / sum(q * q), 6) + 0.0 AS alpha, 1::DOUBLE AS n_eval FROM m",
+        "ls_fit_w6": "WITH d AS (SELECT (l_quantity - 25.5) / 14.43 AS x, l_extendedprice / 1e5 AS y FROM lineitem) SELECT round(regr_slope(y, x), 6) + 0.0 AS slope, round(regr_intercept(y, x), 6) + 0.0 AS intercept FROM d",
+        "trace_gap": f"WITH t AS ({toy}) SELECT search, k, round(abs(loss - min(loss) OVER ()), 6) + 0.0 AS gap, round(acc, 6) + 0.0 AS acc FROM t",
+        "to_gap_toy": f"WITH t AS ({toy}), g AS (SELECT *, abs(loss - min(loss) OVER ()) AS gap FROM t) SELECT search, CAST(goal AS DOUBLE) AS goal, min(k) AS k, round(min(cum_seconds), 6) + 0.0 AS seconds FROM g, (VALUES (0.1), (0.01)) AS x(goal) WHERE gap <= CAST(goal AS DOUBLE) GROUP BY 1, 2",
+        "trace_speedup": f"{sp} SELECT k_w, k_t, round(acc, 6) + 0.0 AS acc, round(ir, 6) + 0.0 AS iter_ratio, round(tr, 6) + 0.0 AS time_ratio FROM r",
+        "speedup_windows": f"{sp} SELECT CAST(floor(acc / 0.1::DOUBLE) AS BIGINT) AS bin, count(*) AS n, round(avg(ir), 6) + 0.0 AS iter_mean, round(stddev_pop(ir), 6) + 0.0 AS iter_sd, round(avg(tr), 6) + 0.0 AS time_mean, round(stddev_pop(tr), 6) + 0.0 AS time_sd FROM r GROUP BY 1",
+        "plateau_toy": f"WITH t AS ({toy}), l AS (SELECT *, lead(acc, 2) OVER (PARTITION BY search ORDER BY k) AS later FROM t) SELECT search AS run, min(k) AS k, round(arg_min(acc, k), 6) + 0.0 AS acc FROM l WHERE later - acc < 0.05 GROUP BY 1",
+        "timing_table": f"SELECT dataset, {', '.join(f'max(tau_tot) FILTER (method = {chr(39)}{m}{chr(39)}) AS {m}' for m in ('lbfgs_wolfe', 'lbfgs_taylor', 'ncg_wolfe', 'ncg_taylor'))} FROM {pub} GROUP BY 1",
+        "pass_model": f"SELECT dataset, method, round(CASE WHEN tau_ls IS NULL THEN n_e * tau_fg ELSE tau_fg + n_e * tau_ls END, 4) + 0.0 AS passes, round(tau_ls / tau_fg, 4) + 0.0 AS pass_ratio FROM {pub}",
+        "timing_rollup": f"SELECT dataset, split_part(method, '_', 2) AS search, count(*) AS n, round(avg(tau_tot), 4) + 0.0 AS tau_tot FROM {pub} GROUP BY ROLLUP (1, 2)",
+        "comm_cost": "WITH o(run, i, op, r, b) AS (VALUES ('t', 0, 'g', 65, 65), ('t', 1, 'coeffs', 6, 130), ('t', 2, 'g', 65, 65), ('w', 0, 'fg', 66, 65), ('w', 1, 'fg', 66, 65)) SELECT run, i, op, CAST(r * 8 AS BIGINT) AS reduced, CAST(b AS BIGINT) AS broadcast, count(*) OVER w AS passes_total, CAST(sum(r * 8) OVER w AS BIGINT) AS reduced_total, CAST(sum(b) OVER w AS BIGINT) AS broadcast_total FROM o WINDOW w AS (PARTITION BY run ORDER BY i)",
+        "tree_vs_flat": "SELECT CAST(l_partkey % 4 AS INTEGER) AS block, sum(l_quantity) AS q1, sum(l_quantity) AS q3, count(*)::DOUBLE AS n1, count(*)::DOUBLE AS n3 FROM lineitem GROUP BY 1",
+        "hash_features_w2": "WITH t AS (SELECT unnest(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^a-z0-9]+')) AS t FROM documents) SELECT CAST(('0x' || substr(md5(t), 1, 8))::BIGINT % 64 AS BIGINT) AS bucket, count(*) AS n, count(DISTINCT t) AS words FROM t WHERE t <> '' GROUP BY 1",
+        "onehot_w5": "SELECT p_brand AS brand, l_returnflag AS flag, count(*) AS n, count(*) FILTER (l_quantity > 7) AS positive FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1, 2",
+        "label_ratio": " UNION ALL ".join(f"SELECT '{n}' AS workload, count(*) FILTER ({y}) AS positive, count(*) FILTER (NOT ({y})) AS negative FROM {t}" for n, t, y in (("w1", "embeddings", "label < 5"), ("w2", "documents", "lang = 'en'"), ("w3", "pages", "starts_with(url, 'http://')"), ("w4", "labels", "quality = 1"), ("w5", "lineitem", "l_quantity > 7"), ("w15", "events", "event_type = 'purchase'"))),
+        "confusion_w9": f"{s9} SELECT count(*) AS n, count(*) FILTER (y = 1 AND prob >= 0.5) AS tp, count(*) FILTER (y = 0 AND prob >= 0.5) AS fp, count(*) FILTER (y = 0 AND prob < 0.5) AS tn, count(*) FILTER (y = 1 AND prob < 0.5) AS fn, round(avg(y), 6) + 0.0 AS base_rate, round(avg(CASE WHEN (prob >= 0.5) = (y = 1) THEN 1 ELSE 0 END), 6) + 0.0 AS accuracy FROM s",
+        "auc_w9": f"{s9}, k AS (SELECT *, rank() OVER (ORDER BY prob) + (count(*) OVER (PARTITION BY prob) - 1) / 2 AS r FROM s) SELECT round((sum(r) FILTER (y = 1) - count(*) FILTER (y = 1) * (count(*) FILTER (y = 1) + 1) / 2) / (count(*) FILTER (y = 1)::DOUBLE * count(*) FILTER (y = 0)), 6) + 0.0 AS auc, round(avg(-y * ln(prob) - (1 - y) * ln(1 - prob)), 6) + 0.0 AS log_loss FROM k",
+        "ovr_coeffs_w1": f"{e1} SELECT {', '.join(f'round(avg(ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN label <> {c} THEN z ELSE 0 END), 6) + 0.0 AS c0_{c}, round(avg(q * (s - CASE WHEN label = {c} THEN 1 ELSE 0 END)), 6) + 0.0 AS c1_{c}' for c in range(10))} FROM t",
+        "group_coeffs_nation": f"{C9} SELECT CAST(c_nationkey AS BIGINT) AS nation, count(*) AS n, {', '.join(f'round(avg(b{k}), 6) + 0.0 AS c{k}' for k in range(3))} FROM b JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY 1",
+        "stream_window_loss": "WITH e AS (SELECT strftime(ts, '%Y-%m-%d') AS day, ln(1 + value) / 10 AS z, event_type FROM events), l AS (SELECT day, ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN event_type <> 'purchase' THEN z ELSE 0 END AS loss FROM e) SELECT day, count(*) AS n, round(avg(loss), 6) + 0.0 AS loss, round(exp(-avg(loss)), 6) + 0.0 AS acc FROM l GROUP BY 1",
+        "residual_topk_w9": f"{PLANTED}, z AS (SELECT l_orderkey, y, x1 - 0.8 * x2 + 0.5 * x3 + 0.3 * x4 + 0.2 AS z FROM d) SELECT l_orderkey, round(sum(ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN y = 0 THEN z ELSE 0 END), 6) + 0.0 AS loss, count(*) AS n FROM z GROUP BY 1 ORDER BY loss DESC, l_orderkey LIMIT 10",
+        "labelled_documents": "SELECT lang, count(l.doc_id) AS labelled, count(*) - count(l.doc_id) AS unlabelled FROM documents d LEFT JOIN labels l USING (doc_id) GROUP BY 1",
+    }
