@@ -24,8 +24,8 @@ from .components import connected
 from .textkit import Words, mix
 
 BLOCK = 256
-#: A set's histogram has about a cell for four elements, between these numbers; counts stop at 15.
-FEWEST, MOST = 16, 8192
+#: A set's histogram has a cell or two for each element, between these numbers; counts stop at 3.
+FEWEST, MOST = 16, 32768
 #: Most bytes of class ids that may be broadcast; beyond, they are joined by a shuffle.
 BROADCAST_IDS = 2_000_000
 
@@ -105,19 +105,21 @@ def _only(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
 
 
 def packed(x: np.ndarray) -> bytes:
-    """Histogram of a set's hashes, two cells to a byte."""
+    """Histogram of a set's hashes, four cells to a byte."""
     c = FEWEST
-    while 4 * c < len(x) and c < MOST:
+    while c < len(x) and c < MOST:
         c *= 2
-    v = np.minimum(np.bincount(((x >> np.uint64(40)) & np.uint64(c - 1)).astype(np.int64), minlength=c), 15).astype(np.uint8)
-    return (v[0::2] | (v[1::2] << 4)).tobytes()
+    v = np.minimum(np.bincount(((x >> np.uint64(40)) & np.uint64(c - 1)).astype(np.int64), minlength=c), 3).astype(np.uint8)
+    return (v[0::4] | (v[1::4] << 2) | (v[2::4] << 4) | (v[3::4] << 6)).tobytes()
 
 
 def unpacked(held: list[bytes], to: int) -> np.ndarray:
     """Histograms of one length as rows, folded to a shorter one; sums of stopped counts still bound differences."""
     b = np.frombuffer(b"".join(held), np.uint8).reshape(len(held), -1)
-    v = np.empty((len(held), 2 * b.shape[1]), np.int16)
-    v[:, 0::2], v[:, 1::2] = b & 15, b >> 4
+    v = np.empty((len(held), 4 * b.shape[1]), np.int8)
+    for k in range(4):
+        v[:, k::4] = (b >> (2 * k)) & 3
+    v = v.astype(np.int16) if v.shape[1] > to else v
     while v.shape[1] > to:
         half = v.shape[1] // 2
         v = v[:, :half] + v[:, half:]
@@ -129,10 +131,11 @@ def differ(a: list[bytes], b: list[bytes]) -> np.ndarray:
     sizes = np.array([(len(x), len(y)) for x, y in zip(a, b, strict=True)])
     out = np.zeros(len(a), np.int64)
     for la, lb in {tuple(x) for x in sizes.tolist()}:
-        own, to = np.flatnonzero((sizes == (la, lb)).all(1)), 2 * min(la, lb)
-        for low in range(0, len(own), 2048):
-            at = own[low : low + 2048]
-            out[at] = np.abs(unpacked([a[i] for i in at], to) - unpacked([b[i] for i in at], to)).sum(1)
+        own, to = np.flatnonzero((sizes == (la, lb)).all(1)), 4 * min(la, lb)
+        step = max(1, (1 << 22) // to)
+        for low in range(0, len(own), step):
+            at = own[low : low + step]
+            out[at] = np.abs(unpacked([a[i] for i in at], to) - unpacked([b[i] for i in at], to)).sum(1, dtype=np.int64)
     return out
 
 
@@ -260,14 +263,14 @@ def _across(rule: Rule):
     def of(rows):
         blk, bi, bj, d, comp, n, low, high, cells = rows
         first, second = np.flatnonzero(blk == bi), np.flatnonzero(blk == bj)
-        size = np.array([2 * len(c) for c in cells])
-        level = {}
+        size = np.array([4 * len(c) for c in cells])
+        level, rough = {}, {}
         for c in set(size.tolist()):
             grid = np.zeros((len(cells), c), np.int16)
             for s in {s for s in size.tolist() if s >= c}:
                 at = np.flatnonzero(size == s)
                 grid[at] = unpacked([cells[i] for i in at], c)
-            level[c] = grid
+            level[c], rough[c] = grid, grid.reshape(len(cells), 4, -1).sum(1, dtype=np.int16)
         out = []
         for i in first:
             js = second[second > i] if bi == bj else second
@@ -275,8 +278,9 @@ def _across(rule: Rule):
             shared = np.minimum(size[js], size[i])
             for c in set(shared.tolist()):
                 at = js[shared == c]
-                at = at[np.abs(level[c][at] - level[c][i]).sum(1) <= rule.most(n[at], n[i])]
-                out += [(d[i], d[j]) for j in at]
+                for grid in (rough[c], level[c]):
+                    at = at[np.abs(grid[at] - grid[i]).sum(1, dtype=np.int64) <= rule.most(n[at], n[i])]
+                out += [(d[i], d[j], n[i], n[j]) if d[i] < d[j] else (d[j], d[i], n[j], n[i]) for j in at if d[i] != d[j]]
         return out
 
     def run(batches):
@@ -301,8 +305,8 @@ def _across(rule: Rule):
                     if len(seen) < 1_000_000:
                         seen.update(found)
             if found:
-                p = np.sort(np.array(found, np.int64).reshape(-1, 2), 1)
-                yield pa.record_batch([pa.array(p[:, 0]), pa.array(p[:, 1])], ["a", "b"])
+                p = np.array(found, np.int64)
+                yield pa.record_batch([pa.array(p[:, k]) for k in range(4)], ["a", "b", "na", "nb"])
             held = [x[cut[whole] :] for x in held] if whole < len(cut) else None
 
     return run
@@ -375,9 +379,8 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
     side = side.withColumn("blk", blk).withColumn("other", F.explode(F.sequence(F.lit(0), count - 1)))
     side = side.select("bucket", F.least("blk", "other").alias("bi"), F.greatest("blk", "other").alias("bj"), "blk", "b", "comp", "n", "low", "high", "cells")
     side = side.repartition(parts, "bucket", "bi", "bj").sortWithinPartitions("bucket", "bi", "bj")
-    across = side.mapInArrow(_across(rule), "a long, b long").distinct().join(star.select("a", "b"), ["a", "b"], "left_anti")
-    sizes = sketch.select("id", "n").dropDuplicates(["id"])
-    more = staged(both(across, sizes, ["n"]).select("a", "b", F.col("a_n").alias("na"), F.col("b_n").alias("nb")), "across")
+    across = side.mapInArrow(_across(rule), "a long, b long, na long, nb long").distinct()
+    more = staged(across.join(star.select("a", "b"), ["a", "b"], "left_anti"), "across")
     if not more.isEmpty():
         extra = checked(more).filter(link).select("a", "b")
         if not extra.isEmpty():
