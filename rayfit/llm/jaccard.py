@@ -24,6 +24,8 @@ from .components import connected
 from .textkit import Words, mix
 
 BLOCK = 256
+#: Buckets of a document that its rows name when pairs are told.
+FIRST = 16
 #: A set's histogram has a cell or two for each element, between these numbers; counts stop at 3.
 FEWEST, MOST = 16, 32768
 #: Most bytes of class ids that may be broadcast; beyond, they are joined by a shuffle.
@@ -260,8 +262,9 @@ def _across(rule: Rule):
     bucket's head nor the histograms rule a link out."""
     reach = (rule.den - rule.num) / rule.den + 1e-9
 
-    def of(rows):
-        blk, bi, bj, d, comp, n, low, high, cells = rows
+    def of(bucket, rows):
+        blk, bi, bj, d, comp, n, low, high, cells, least = rows
+        members = [set(x) for x in least]
         first, second = np.flatnonzero(blk == bi), np.flatnonzero(blk == bj)
         size = np.array([4 * len(c) for c in cells])
         level, rough = {}, {}
@@ -280,7 +283,9 @@ def _across(rule: Rule):
                 at = js[shared == c]
                 for grid in (rough[c], level[c]):
                     at = at[np.abs(grid[at] - grid[i]).sum(1, dtype=np.int64) <= rule.most(n[at], n[i])]
-                out += [(d[i], d[j], n[i], n[j]) if d[i] < d[j] else (d[j], d[i], n[j], n[i]) for j in at if d[i] != d[j]]
+                for j in at:  # of the buckets that both lists name, only the first one tells of the pair
+                    if d[i] != d[j] and min(members[i] & members[j], default=bucket) == bucket:
+                        out.append((d[i], d[j], n[i], n[j]) if d[i] < d[j] else (d[j], d[i], n[j], n[i]))
         return out
 
     def run(batches):
@@ -289,7 +294,7 @@ def _across(rule: Rule):
             if batch is not None and not batch.num_rows:
                 continue
             if batch is not None:
-                cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(9)] + [np.array([*batch.column(9).to_pylist(), None], object)[:-1]]
+                cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(9)] + [np.array([*batch.column(9).to_pylist(), None], object)[:-1], np.array([*map(tuple, batch.column(10).to_pylist()), None], object)[:-1]]
                 held = cols if held is None else [np.concatenate([x, y]) for x, y in zip(held, cols, strict=True)]
             if held is None:
                 return
@@ -300,7 +305,7 @@ def _across(rule: Rule):
             found = []
             for a, b in zip(cut[:whole], ends[:whole], strict=True):
                 if b - a > 1:
-                    got = of([held[3][a:b], bi[a], bj[a], *(x[a:b] for x in held[4:])])
+                    got = of(bucket[a], [held[3][a:b], bi[a], bj[a], *(x[a:b] for x in held[4:])])
                     found += [p for p in got if p not in seen]
                     if len(seen) < 1_000_000:
                         seen.update(found)
@@ -372,12 +377,15 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
     known = bounded.select("a", "b", "na", "nb", "least").join(star.select("a", "b", "inter"), ["a", "b"], "left")
     far = lambda inter: 1 - F.greatest(inter, F.lit(0.0)) / (F.col("na") + F.col("nb") - F.greatest(inter, F.lit(0.0)))
     known = known.select("a", F.col("b").alias("c"), far(F.coalesce(F.col("inter").cast("double"), (F.col("na") + F.col("nb") - F.col("least")) / 2)).alias("low"), F.when(F.col("inter").isNotNull(), far(F.col("inter").cast("double"))).otherwise(1.0).alias("high"))
-    side = placed.join(mixed, "bucket").join(known, ["a", "c"], "left").join(one.withColumnRenamed("id", "b"), "b")
-    side = side.select("bucket", "m", "b", "comp", "n", F.when(F.col("a") == F.col("c"), 0.0).otherwise(F.coalesce("low", F.lit(0.0))).alias("low"), F.when(F.col("a") == F.col("c"), 0.0).otherwise(F.coalesce("high", F.lit(1.0))).alias("high"), "cells")
+    # each document's first buckets, so that a pair of many shared buckets is told once; a document has no more buckets than signatures
+    inside = staged(placed.join(mixed, "bucket"), "mixed")
+    first = inside.groupBy("b").agg(F.slice(F.array_sort(F.collect_set("bucket")), 1, FIRST).alias("least"))
+    side = inside.join(first, "b").join(known, ["a", "c"], "left").join(one.withColumnRenamed("id", "b"), "b")
+    side = side.select("bucket", "m", "b", "comp", "n", F.when(F.col("a") == F.col("c"), 0.0).otherwise(F.coalesce("low", F.lit(0.0))).alias("low"), F.when(F.col("a") == F.col("c"), 0.0).otherwise(F.coalesce("high", F.lit(1.0))).alias("high"), "cells", "least")
     count = F.ceil(F.col("m") / BLOCK).cast("int")
     blk = F.pmod(F.xxhash64("b"), count).cast("int")
     side = side.withColumn("blk", blk).withColumn("other", F.explode(F.sequence(F.lit(0), count - 1)))
-    side = side.select("bucket", F.least("blk", "other").alias("bi"), F.greatest("blk", "other").alias("bj"), "blk", "b", "comp", "n", "low", "high", "cells")
+    side = side.select("bucket", F.least("blk", "other").alias("bi"), F.greatest("blk", "other").alias("bj"), "blk", "b", "comp", "n", "low", "high", "cells", "least")
     side = side.repartition(parts, "bucket", "bi", "bj").sortWithinPartitions("bucket", "bi", "bj")
     across = side.mapInArrow(_across(rule), "a long, b long, na long, nb long").distinct()
     more = staged(across.join(star.select("a", "b"), ["a", "b"], "left_anti"), "across")
