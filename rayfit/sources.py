@@ -14,7 +14,7 @@ from .instances import Instances
 def read_libsvm(spark: SparkSession, path: str, m: int) -> DataFrame:
     """(idx, val, y) of libsvm text with 1-based indices, with the constant feature m at the end; bad tokens give nulls."""
     line = F.split(F.trim(F.regexp_replace("value", r"#.*", "")), r"\s+")
-    pairs = F.filter(F.slice(line, 2, 2**31 - 1), lambda t: t != "")
+    pairs = F.filter(F.slice(line, F.lit(2), F.size(line)), lambda t: t != "")
     idx = F.transform(pairs, lambda t: (F.split(t, ":")[0].try_cast("int") - 1))
     val = F.transform(pairs, lambda t: F.split(t, ":")[1].try_cast("double"))
     text = spark.read.text(path).filter(F.trim("value") != "")
