@@ -24,6 +24,8 @@ from .components import connected
 from .textkit import Words, mix
 
 BLOCK = 256
+#: Hashes that a task gathers before it passes them on.
+HELD = 1_000_000
 #: Buckets of a document that its rows name when pairs are told.
 FIRST = 16
 #: A set's histogram has a cell or two for each element, between these numbers; counts stop at 3.
@@ -146,11 +148,22 @@ def _survey(width: int):
 
     def run(batches):
         kinds = pa.schema([("kind", pa.int8()), ("id", pa.int64()), ("n", pa.int64()), ("f1", pa.int64()), ("f2", pa.int64()), ("cells", pa.binary())])
+
+        def common(kept, rows):
+            value, count = np.unique(np.concatenate(kept), return_counts=True)
+            often = count >= max(3, rows // 400)
+            m = int(often.sum())
+            return pa.record_batch([pa.array(np.ones(m, np.int8)), pa.nulls(m, pa.int64()), pa.array(count[often].astype(np.int64)), pa.array(value[often].view(np.int64)), pa.nulls(m, pa.int64()), pa.nulls(m, pa.binary())], schema=kinds)
+
         for batch in batches:
-            ids, text, kept = batch.column(0), batch.column(1), []
+            ids, text, kept, rows = batch.column(0), batch.column(1), [], 0
             for low, high in slices(text):
                 x, at = Words(text, low, high).shingles(width)
                 kept.append(x)
+                rows += high - low
+                if sum(map(len, kept)) >= HELD:
+                    yield common(kept, rows)
+                    kept, rows = [], 0
                 n = np.diff(at)
                 more = mix(x ^ np.uint64(0x6A09E667F3BCC909))
                 sums = [np.r_[np.uint64(0), np.cumsum(v, dtype=np.uint64)] for v in (mix(x), more)]
@@ -158,10 +171,7 @@ def _survey(width: int):
                 cells = [packed(x[at[i] : at[i + 1]]) for i in range(high - low)]
                 yield pa.record_batch([pa.array(np.zeros(high - low, np.int8)), ids.slice(low, high - low), pa.array(n), pa.array(f1), pa.array(f2), pa.array(cells, pa.binary())], schema=kinds)
             if kept:
-                value, count = np.unique(np.concatenate(kept), return_counts=True)
-                often = count >= max(3, batch.num_rows // 400)
-                m = int(often.sum())
-                yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.nulls(m, pa.int64()), pa.array(count[often].astype(np.int64)), pa.array(value[often].view(np.int64)), pa.nulls(m, pa.int64()), pa.nulls(m, pa.binary())], schema=kinds)
+                yield common(kept, rows)
 
     return run
 
@@ -170,6 +180,15 @@ def _sign(width: int, rule: Rule, common: np.ndarray, parts: int):
     """Signatures and their owners, packed, by target part."""
 
     def run(batches):
+
+        def dealt(sigs, owners):
+            s, o = np.concatenate(sigs), np.concatenate(owners)
+            to = (s % np.uint64(parts)).astype(np.int64)
+            order = np.argsort(to, kind="stable")
+            s, o, edge = s[order], o[order], np.searchsorted(to[order], np.arange(parts + 1))
+            full = np.flatnonzero(np.diff(edge))
+            return pa.record_batch([pa.array(full.astype(np.int32)), pa.array([s[edge[p] : edge[p + 1]].tobytes() for p in full], pa.binary()), pa.array([o[edge[p] : edge[p + 1]].tobytes() for p in full], pa.binary())], ["part", "sigs", "owners"])
+
         for batch in batches:
             ids, text, sigs, owners = batch.column(0).to_numpy(), batch.column(1), [], []
             for low, high in slices(text):
@@ -177,14 +196,11 @@ def _sign(width: int, rule: Rule, common: np.ndarray, parts: int):
                 s, o = signatures(x, at, ids[low:high], rule, common)
                 sigs.append(s)
                 owners.append(o)
-            if not sigs:
-                continue
-            s, o = np.concatenate(sigs), np.concatenate(owners)
-            to = (s % np.uint64(parts)).astype(np.int64)
-            order = np.argsort(to, kind="stable")
-            s, o, edge = s[order], o[order], np.searchsorted(to[order], np.arange(parts + 1))
-            full = np.flatnonzero(np.diff(edge))
-            yield pa.record_batch([pa.array(full.astype(np.int32)), pa.array([s[edge[p] : edge[p + 1]].tobytes() for p in full], pa.binary()), pa.array([o[edge[p] : edge[p + 1]].tobytes() for p in full], pa.binary())], ["part", "sigs", "owners"])
+                if sum(map(len, sigs)) >= HELD:
+                    yield dealt(sigs, owners)
+                    sigs, owners = [], []
+            if sigs:
+                yield dealt(sigs, owners)
 
     return run
 
