@@ -144,3 +144,21 @@ def test_stream_of_batches(spark, tmp_path):
     assert sum(t["n"] for t in learner.trace) == 200
     learner(events, learner.seen)  # a repeated batch changes nothing
     assert sum(t["n"] for t in learner.trace) == 200
+
+
+def test_table_learner_takes_the_same_steps(spark):
+    """Weights in a table and weights on the driver: equal losses, steps and weights, constant feature included."""
+    from rayfit import tables
+
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(120, 4)) * (rng.random((120, 4)) < 0.7)
+    x[7] = 0  # a row without any feature
+    y = (x @ [1, -2, 0.5, 0] + 0.3 + rng.logistic(size=120) > 0).astype(float)
+    ex = spark.createDataFrame([(i, f, float(x[i, f])) for i in range(120) for f in range(4) if x[i, f]], "row_id long, f long, v double")
+    labels = spark.createDataFrame([(i, float(v)) for i, v in enumerate(y)], "row_id long, y double")
+    params, bias, trace = tables.minimize(ex, labels, losses.Logistic(), 1e-2, max_iter=5, theta=1e-6, history=3)
+    fit = optim.minimize(optim.ArrayProblem(np.c_[x, np.ones(120)], y, losses.Logistic(), 1e-2), "lbfgs", "taylor", max_iter=5, theta=1e-6, history=3)
+    assert [t["loss"] for t in trace] == pytest.approx([t["loss"] for t in fit.trace], abs=1e-12)
+    assert [r["w"] for r in params.orderBy("f").collect()] + [bias] == pytest.approx(list(fit.w), abs=1e-9)
+    empty = tables.minimize(ex.limit(0), labels.limit(0), losses.Logistic())
+    assert empty[2] == [] and empty[0].count() == 0
