@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import factorization, measures, modeling, sqlfuncs, streaming, tables, taylor, wolfe
+from . import factorization, measures, modeling, sources, sqlfuncs, streaming, tables, taylor, wolfe
 from . import features as X
 from . import workloads as W
 from .instances import Problem, tree_sum
@@ -403,8 +403,97 @@ def sql_terms_w9(spark, sf_dir):
     return spark.sql(f"SELECT {', '.join(f'round(avg(b[{k}]), 6) + 0D AS c{k}' for k in range(6))} FROM (SELECT logit_terms({z}, {q}, y) AS b FROM rayfit_planted)")
 
 
+# -- parameter tables, streams in batch form, text instances, measures of real runs -----------------------------------------------
+def lbfgs_table_w9(spark, sf_dir):
+    """The trace of L-BFGS with every vector in a table, on the planted workload."""
+    d = tables.staged(W.planted(spark, sf_dir).withColumn("row_id", F.monotonically_increasing_id()))
+    ex = d.select("row_id", F.posexplode(F.array("x1", "x2", "x3", "x4")).alias("f", "v")).withColumn("f", F.col("f").cast("long"))
+    _, _, trace = tables.minimize(ex, d.select("row_id", "y"), Logistic(), 1e-3, max_iter=2, theta=1e-6)
+    return spark.createDataFrame([(t["k"], t["loss"], t["grad_norm"], t["alpha"], t["n_eval"]) for t in trace], "k int, loss double, grad_norm double, alpha double, n_eval int")
+
+
+def libsvm_roundtrip(spark, sf_dir):
+    """Order lines written as libsvm text to the shared folder and read again: rows and sums by label."""
+    t = W.table(spark, sf_dir, "lineitem").select(F.array(F.lit(0), F.lit(1), F.lit(2), F.lit(3)).alias("idx"), F.array("l_quantity", F.col("l_discount") + 0.0, "l_tax", F.lit(1.0)).alias("val"), (F.col("l_quantity") > 7).cast("double").alias("y"))
+    path = tables.fresh_path(spark, "libsvm")
+    sources.write_libsvm(t, path, 3)
+    back = sources.read_libsvm(spark, path, 3)
+    return back.groupBy("y").agg(F.count("*").alias("n"), *(_r(F.sum(F.element_at("val", k + 1)), 4).alias(f"s{k}") for k in range(4)))
+
+
+def _scored_events(spark, sf_dir):
+    y = (F.col("event_type") == "purchase").cast("double")
+    return W.table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type", y.alias("y"), (F.log1p("value") / 10).alias("z"), F.log1p("value").alias("q"), Logistic().value_term(F.log1p("value") / 10, y).alias("loss"))
+
+
+def session_loss_events(spark, sf_dir):
+    """Sessions of users, ended by two hours without an event: rows and mean loss of each."""
+    out = streaming.session_loss(_scored_events(spark, sf_dir), "user_id", pause="2 hours")
+    return out.select("user_id", F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n", _r(F.col("loss")).alias("loss"))
+
+
+def running_coeffs_events(spark, sf_dir):
+    """Sums of coefficient terms of each day, the epochs of a stream."""
+    own = _scored_events(spark, sf_dir).withColumn("epoch", F.date_format("ts", "yyyy-MM-dd"))
+    out = streaming.running_coefficients(own, Logistic(), 2)
+    return out.select("epoch", "n", *(_r(F.col(f"c{k}"), 4).alias(f"c{k}") for k in range(3)))
+
+
+def dedup_events(spark, sf_dir):
+    """Events delivered twice, each counted once."""
+    e = W.table(spark, sf_dir, "events").select("event_id", "ts", "event_type")
+    return streaming.deduplicated(e.unionAll(e)).groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+def interval_join_events(spark, sf_dir):
+    """For each user, pairs of a purchase and a later event of the same user within an hour."""
+    e = W.table(spark, sf_dir, "events").select("user_id", "ts", "event_type")
+    out = streaming.interval_join(e.filter("event_type = 'purchase'"), e, "user_id", "1 hour")
+    return out.groupBy(F.col("a.user_id").alias("user_id")).agg(F.count("*").alias("n"))
+
+
+def step_accuracy_w9(spark, sf_dir):
+    """Distance to the exact step, and the slope left there, of the first steps of both searches by degree."""
+    problem, w, rows = Problem(W.w9(spark, sf_dir).data, Logistic(), 1e-3), np.zeros(5), []
+    value, g = problem.value_and_gradient(w)
+    problem.begin_ray(w, -g)
+    exact = taylor.exact_line_search(lambda a: problem.coefficients(w, -g, a, 7)).alpha
+    for d in (2, 3, 5):
+        step = taylor.taylor_line_search(lambda a, d=d: problem.coefficients(w, -g, a, d), 1.0, 1e-4)
+        rows += [(f"taylor_{d}", r["alpha"], r["distance"], r["slope_left"]) for r in measures.step_accuracy(problem, w, -g, [(step.alpha,)], exact)]
+
+    def at(a):
+        f, h = problem.value_and_gradient(w - a * g)
+        return f, float(-g @ h), h
+
+    step = wolfe.line_search(at, value, float(-g @ g), 1.0)
+    rows += [("wolfe", r["alpha"], r["distance"], r["slope_left"]) for r in measures.step_accuracy(problem, w, -g, [(step.alpha,)], exact)]
+    problem.end_ray()
+    return spark.createDataFrame(rows, "search string, alpha double, distance double, slope_left double")
+
+
+def speedup_w4(spark, sf_dir):
+    """Ratios of iterations at equal accuracy of both searches, from their own traces, on the ill-posed text."""
+    t = {s: run_fit(spark, sf_dir, "w4", "lbfgs", s, 8).trace_frame(spark, s, "w4") for s in ("wolfe", "taylor")}
+    return measures.speedup(t["wolfe"], t["taylor"]).select("acc", "k_w", "k_t", "iter_ratio")
+
+
+def event_counts_w1(spark, sf_dir):
+    """Restarts, fallback steps and guards of both searches."""
+    fits = [run_fit(spark, sf_dir, "w1", "ncg", s, 8).trace_frame(spark, s, "w1") for s in ("taylor", "wolfe")]
+    return measures.events(fits[0].unionByName(fits[1]))
+
+
+def penalty_path_w9(spark, sf_dir):
+    """Losses along falling penalties, each fit begun where the one before ended."""
+    data = W.w9(spark, sf_dir).data.persist()
+    out = modeling.path(data, [1e-1, 1e-2, 1e-3], max_iter=5)
+    data.df.unpersist()
+    return spark.createDataFrame([(lam, loss, float(np.linalg.norm(w))) for lam, w, loss in out], "lam double, loss double, norm double")
+
+
 def queries() -> dict:
-    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, gd_taylor_w9_3iters, mf_fit_w7a, degree_ablation_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_w9, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9]
+    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, gd_taylor_w9_3iters, mf_fit_w7a, degree_ablation_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_w9, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9, lbfgs_table_w9, libsvm_roundtrip, session_loss_events, running_coeffs_events, dedup_events, interval_join_events, step_accuracy_w9, speedup_w4, event_counts_w1, penalty_path_w9]
     out = {f.__name__: f for f in own}
     for name in ("w1", "w9"):
         for method in ("gd", "ncg", "lbfgs"):
@@ -442,6 +531,7 @@ def oracle_sql() -> dict:
     sp = f"WITH t AS ({toy}), s AS (SELECT w.k AS k_w, w.acc, w.cum_seconds AS sw, min(t.k) AS k_t FROM t w JOIN t ON w.search = 'wolfe' AND t.search = 'taylor' AND t.acc >= w.acc WHERE w.k > 0 GROUP BY ALL HAVING min(t.k) > 0), r AS (SELECT s.*, s.k_w / s.k_t AS ir, sw / t.cum_seconds AS tr FROM s JOIN t ON t.search = 'taylor' AND t.k = s.k_t)"
     pub = _values(PUBLISHED, "dataset, method, tau_tot, tau_fg, tau_ls, n_e")
     s9 = f"{PLANTED}, s AS (SELECT y, round(1 / (1 + exp(-(x1 - 0.8 * x2 + 0.5 * x3 + 0.3 * x4 + 0.2))), 4) AS prob FROM d)"
+    ev = f"WITH m AS (SELECT *, ln(1 + value) / 10 AS z, ln(1 + value) AS q, CASE WHEN event_type = 'purchase' THEN 1 ELSE 0 END AS y FROM events), t AS (SELECT *, 1 / (1 + exp(-z)) AS s FROM m), e AS (SELECT ts, user_id, {TERMS} FROM t)"
     grid = "(VALUES (0.5), (1.0), (2.0), (4.0), (8.0)) AS g(a)"
     at = "SELECT CAST(a AS DOUBLE) AS a, avg(ln(1 + exp(-abs(z + a * q))) + greatest(-(z + a * q), 0) + CASE WHEN y = 0 THEN z + a * q ELSE 0 END) AS phi, avg(q * (1 / (1 + exp(-(z + a * q))) - y)) AS dphi"
     return {
@@ -484,5 +574,10 @@ def oracle_sql() -> dict:
         "group_coeffs_nation": f"{C9} SELECT CAST(c_nationkey AS BIGINT) AS nation, count(*) AS n, {', '.join(f'round(avg(b{k}), 6) + 0.0 AS c{k}' for k in range(3))} FROM b JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY 1",
         "stream_window_loss": "WITH e AS (SELECT strftime(ts, '%Y-%m-%d') AS day, ln(1 + value) / 10 AS z, event_type FROM events), l AS (SELECT day, ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN event_type <> 'purchase' THEN z ELSE 0 END AS loss FROM e) SELECT day, count(*) AS n, round(avg(loss), 6) + 0.0 AS loss, round(exp(-avg(loss)), 6) + 0.0 AS acc FROM l GROUP BY 1",
         "residual_topk_w9": f"{PLANTED}, z AS (SELECT l_orderkey, y, x1 - 0.8 * x2 + 0.5 * x3 + 0.3 * x4 + 0.2 AS z FROM d) SELECT l_orderkey, round(sum(ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN y = 0 THEN z ELSE 0 END), 6) + 0.0 AS loss, count(*) AS n FROM z GROUP BY 1 ORDER BY loss DESC, l_orderkey LIMIT 10",
+        "libsvm_roundtrip": "SELECT CAST(l_quantity > 7 AS DOUBLE) AS y, count(*) AS n, round(sum(l_quantity), 4) + 0.0 AS s0, round(sum(l_discount), 4) + 0.0 AS s1, round(sum(l_tax), 4) + 0.0 AS s2, CAST(count(*) AS DOUBLE) AS s3 FROM lineitem GROUP BY 1",
+        "session_loss_events": f"{ev}, g AS (SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 2 HOUR THEN 0 ELSE 1 END AS fresh FROM e), s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n, round(avg(b0), 6) + 0.0 AS loss FROM s GROUP BY user_id, k",
+        "running_coeffs_events": f"{ev} SELECT strftime(ts, '%Y-%m-%d') AS epoch, count(*) AS n, {', '.join(f'round(sum(b{k}), 4) + 0.0 AS c{k}' for k in range(3))} FROM e GROUP BY 1",
+        "dedup_events": "SELECT event_type, count(*) AS n FROM events GROUP BY 1",
+        "interval_join_events": "SELECT a.user_id AS user_id, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'purchase' GROUP BY 1",
         "labelled_documents": "SELECT lang, count(l.doc_id) AS labelled, count(*) - count(l.doc_id) AS unlabelled FROM documents d LEFT JOIN labels l USING (doc_id) GROUP BY 1",
     }

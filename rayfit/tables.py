@@ -71,12 +71,16 @@ def two_loop(basis: DataFrame, pairs: int) -> DataFrame:
     return basis.select("f", p.alias("p"))
 
 
-def staged(df: DataFrame) -> DataFrame:
-    """df written to the session's shared checkpoint folder and read again, so that iterations do not lengthen the plan and
-    a lost executor costs no earlier iteration; a folder of this process only where none is set (tests in one JVM)."""
-    spark = df.sparkSession
+def fresh_path(spark, name: str) -> str:
+    """A new path in the session's shared checkpoint folder; in a folder of this process only where none is set (tests in one JVM)."""
     at = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/rayfit-{os.getpid()}"
-    path = f"{at.rstrip('/')}/rayfit/state-{uuid.uuid4().hex}"
+    return f"{at.rstrip('/')}/rayfit/{name}-{uuid.uuid4().hex}"
+
+
+def staged(df: DataFrame) -> DataFrame:
+    """df written to the shared folder and read again, so that iterations do not lengthen the plan and a lost executor costs
+    no earlier iteration."""
+    spark, path = df.sparkSession, fresh_path(df.sparkSession, "state")
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -108,7 +112,7 @@ def minimize(exploded: DataFrame, labels: DataFrame, loss: Loss, lam: float = 0.
         own = np.array([bias[c] for c in names])
         gram = dots(state, names) + np.outer(own, own)
         grad_norm = float(np.sqrt(gram[-2, -2]))
-        trace.append({"k": k, "loss": value + lam / 2 * gram[-1, -1], "grad_norm": grad_norm, "alpha": step.alpha if k else 0.0, "n_eval": step.n_eval if k else 0})
+        trace.append({"k": k, "loss": float(value + lam / 2 * gram[-1, -1]), "grad_norm": grad_norm, "alpha": float(step.alpha) if k else 0.0, "n_eval": step.n_eval if k else 0})
         if k == max_iter or grad_norm <= grad_tol:
             break
         good = [i for i in range(pairs) if gram[i, pairs + i] > 1e-16 * gram[pairs + i, pairs + i]]
