@@ -500,7 +500,7 @@ def queries() -> dict:
             for search in ("taylor", "wolfe"):
                 out[f"{method}_{search}_{name}"] = fit_query(name, method, search, 12)
     for name in ("w2", "w3", "w4", "w5"):
-        for method in ("ncg", "lbfgs"):
+        for method in ("gd", "ncg", "lbfgs") if name == "w2" else ("ncg", "lbfgs"):
             for search in ("taylor", "wolfe"):
                 out[f"{method}_{search}_{name}"] = fit_query(name, method, search, 5)
     out["newton_taylor_w9"] = fit_query("w9", "newton", "taylor", 5)
