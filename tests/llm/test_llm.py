@@ -210,3 +210,22 @@ def test_pipeline(spark):
         out = stage(spark, docs, "/root/testdata/sf0.001")
         assert tuple(out.columns) == corpus_pipeline.COLUMNS and 0 < out.count() <= n, name
         docs = out
+
+
+def test_staged_tables_pass_small_batches(spark):
+    """Wide rows come in batches of about BATCH_BYTES, and the session's own setting is back afterwards."""
+    import pyarrow as pa
+    from pyspark.sql import functions as F
+
+    from rayfit.llm import common
+
+    def sizes(batches):
+        for b in batches:
+            yield pa.record_batch([pa.array([b.nbytes]), pa.array([b.num_rows])], ["size", "n"])
+
+    wide = spark.range(0, 3000, 1, 1).select("id", F.repeat(F.lit("x"), 8000).cast("binary").alias("held"))
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(key)
+    got = common.staged(wide.mapInArrow(sizes, "size long, n long"), "sizes").agg(F.max("size"), F.sum("n")).first()
+    assert got[0] <= common.BATCH_BYTES + 10_000 and got[1] == 3000
+    assert spark.conf.get(key) == before
