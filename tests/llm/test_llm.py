@@ -97,6 +97,39 @@ def test_jaccard_by_brute_force(spark):
     assert jaccard.classes(table(spark, [])).count() == 0
 
 
+def test_components_of_any_order(spark):
+    """A chain whose ids rise, one in random order, a star around its largest id, and a random graph."""
+    from rayfit.llm.components import connected
+
+    g = np.random.default_rng(2)
+    order = 1000 + g.permutation(300)
+    links = [(i, i + 1) for i in range(299)] + list(zip(order.tolist(), order[1:].tolist())) + [(2000 + i, 2100) for i in range(100)] + (3000 + g.integers(0, 200, (150, 2))).tolist()
+    root = {x: x for pair in links for x in pair}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in links:
+        a, b = find(a), find(b)
+        root[max(a, b)] = min(a, b)
+    linked = {x for a, b in links if a != b for x in (a, b)}
+    got = connected(spark.createDataFrame([tuple(p) for p in links] + [(None, 5), (7, 7)], "a long, b long")).collect()
+    assert {r.id: r.component for r in got} == {x: find(x) for x in linked} and len(got) == len(linked)
+    assert connected(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def steps(n):
+    """Versions of one text, each linked to the next one only."""
+    return [" ".join(f"w{10 * i + k}" for k in range(100)) for i in range(n)]
+
+
+def test_jaccard_of_a_text_edited_step_by_step(spark):
+    got = jaccard.classes(table(spark, steps(300))).collect()
+    assert len(got) == 300 and {r.component_id for r in got} == {0}
+
+
 def test_histograms_bound_differences():
     g = np.random.default_rng(7)
     for n, m in ((40, 50), (300, 380), (1000, 60)):
