@@ -224,7 +224,7 @@ def minibatch_w15(spark, sf_dir):
     events = W.table(spark, sf_dir, "events")
     learner = streaming.MiniBatch(lambda b: W.w15(b).data.df, 126, Logistic())
     days = [r[0] for r in events.select(F.to_date("ts").alias("d")).distinct().orderBy("d").collect()]
-    for k, day in enumerate(days[:6]):
+    for k, day in enumerate(days):
         learner(events.filter(F.to_date("ts") == day), k)
     return spark.createDataFrame([(t["batch"], t["n"], t["loss"], t["alpha"]) for t in learner.trace], "batch int, n long, loss double, alpha double")
 

@@ -146,6 +146,14 @@ def test_stream_of_batches(spark, tmp_path):
     assert sum(t["n"] for t in learner.trace) == 200
 
 
+def test_minibatch_query_takes_every_day(spark):
+    from rayfit import queries
+
+    days = spark.read.parquet(f"{SF}/events.parquet").selectExpr("to_date(ts) AS d").groupBy("d").count().orderBy("d").collect()
+    got = queries.minibatch_w15(spark, SF).orderBy("batch").collect()
+    assert len(days) > 6 and [(r.batch, r.n) for r in got] == [(k, d["count"]) for k, d in enumerate(days)]
+
+
 def test_table_learner_takes_the_same_steps(spark):
     """Weights in a table and weights on the driver: equal losses, steps and weights, constant feature included."""
     from rayfit import tables
