@@ -101,9 +101,9 @@ def vectors(seq: list) -> np.ndarray:
         own = [p for p in path[-4:] if p]
         for p in own[-1:] or ["text"]:
             x[i, PATH + _slot("last" + p, LAST)] = 1
-        words = text.split(" ", 40)[:40]
-        for w in words:
-            x[i, PATH + LAST + _slot(w.lower().strip(".,;:!?"), WORD)] += 1 / len(words)
+        words = text.split(" ")
+        slots = [_slot(w.strip(".,;:!?"), WORD) for w in map(str.lower, words)]
+        x[i, PATH + LAST : PATH + LAST + WORD] = np.bincount(slots, minlength=WORD) / len(words)
         size = len(text)
         x[i, PATH + LAST + WORD :] = (np.log1p(size) / 6, min(1.0, linked / size), np.log1p(text.count(" ")) / 4, text[-1] in ".!?…\"”", i / max(1, n - 1), 1)
     return x

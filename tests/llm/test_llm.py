@@ -207,6 +207,14 @@ def test_blocks(spark):
     assert np.mean(right) > 0.95
 
 
+def test_block_vectors_read_whole_leaves():
+    """Leaves that differ after word 40 only, in nothing that the counts tell, differ to the labeller."""
+    head = "word " * 60
+    a, b = (blocks.vectors([(("p",), head + tail, 0)])[0] for tail in ("reply comment", "total comment"))
+    words = slice(blocks.PATH + blocks.LAST, blocks.PATH + blocks.LAST + blocks.WORD)
+    assert (a[words] != b[words]).any() and a[words].sum() == pytest.approx(1) and np.delete(a, range(*words.indices(len(a)))).tolist() == np.delete(b, range(*words.indices(len(b)))).tolist()
+
+
 def test_topk_by_brute_force(spark):
     g = np.random.default_rng(9)
     x = g.normal(0, 0.3, (400, 12))
