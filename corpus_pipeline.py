@@ -30,9 +30,10 @@ def _near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def _mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops the rows whose rate, rounded by a hash of doc_id, is 0; no row is repeated."""
-    rates = mixing.mix(docs, domains(table(spark, sf_dir, "labels")), SHARES, "good").filter("copies = 0").select("doc_id")
-    return docs.join(rates, "doc_id", "left_anti").select(*COLUMNS)
+    """Each row as often as its rate, rounded by a hash of doc_id: none for 0, repeated above 1."""
+    rates = mixing.mix(docs, domains(table(spark, sf_dir, "labels")), SHARES, "good").filter("copies <> 1").select("doc_id", "copies").dropDuplicates(["doc_id"])
+    times = F.explode(F.array_repeat(F.lit(0), F.coalesce("copies", F.lit(1))))
+    return docs.join(rates, "doc_id", "left").withColumn("_copy", times).select(*COLUMNS)
 
 
 def _tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

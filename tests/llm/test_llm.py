@@ -242,6 +242,26 @@ def test_mixing_meets_targets(spark):
     assert good / (good + bad) == pytest.approx(0.8, abs=0.01) and all(r.rate >= 0 for r in rows) and len(rows) == 91
 
 
+def test_mixture_stage_meets_shares(spark, tmp_path):
+    """Token shares of what the stage writes, with one domain below its target and one that is not wanted."""
+    import corpus_pipeline
+    from rayfit.llm.queries import SHARES
+
+    g = np.random.default_rng(4)
+    words = {"good": "plain calm words about rivers towns bread music".split(), "low": "buy cheap pills win prize click offer cash".split(), "toxic": "vile nasty slur filth hate scum rot curse".split()}
+    kinds = ["low" if i % 50 == 1 else "toxic" if i % 100 == 2 else "good" for i in range(3000)]
+    docs = table(spark, [" ".join(g.choice(words[k], 20)) for k in kinds]).withColumnsRenamed({"id": "n_chars", "key": "source"})
+    rows = [(i, int(k == "good"), int(k == "toxic")) for i, k in enumerate(kinds)]
+    spark.createDataFrame(rows, "doc_id long, quality int, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    out = corpus_pipeline._mixture(spark, docs, str(tmp_path)).select("doc_id", "text").collect()
+    tokens = collections.Counter()
+    for r in out:
+        tokens[kinds[r.doc_id]] += len(r.text.split())
+    assert kinds.count("low") / len(kinds) == 0.02
+    for k, share in SHARES.items():
+        assert tokens[k] / sum(tokens.values()) == pytest.approx(share, abs=0.006), tokens
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
