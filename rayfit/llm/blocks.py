@@ -23,8 +23,11 @@ INPUT = PATH + LAST + WORD + COUNTS
 HIDDEN = 20
 SEED, PAGES, EPOCHS, BATCH, RATE = 3, 800, 12, 32, 0.01
 
-RAW = "script|style|noscript|template|iframe|textarea|svg|object|select"
-TOKEN = re.compile(rf"<!--.*?(?:-->|\Z)|<({RAW})\b[^>]*>.*?(?:</\1\s*>|\Z)|<[!?][^>]*>|</?[a-zA-Z][^<>]*>?|[^<]+|<", re.S | re.I)
+#: Their content is no markup, so that only their own end tag ends them.
+RAW = "script|style|textarea"
+#: Dropped with all they hold; their content is markup.
+DROPPED = frozenset("noscript template iframe svg object select".split())
+TOKEN = re.compile(rf"<!--.*?(?:-->|\Z)|<({RAW})(?=[\s/>])[^>]*>.*?(?:</\1\s*>|\Z)|<[!?][^>]*>|</?[a-zA-Z][^<>]*>?|[^<]+|<", re.S | re.I)
 TAG = re.compile(r"<(/?)([a-zA-Z][a-zA-Z0-9-]*)")
 NAMED = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
@@ -43,9 +46,14 @@ def _slot(word: str, size: int) -> int:
 
 
 def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
-    """(path, text, characters in links) of every block that has text. Path entries are tags, then .class names."""
+    """(path, text, characters in links) of every block that has text. Path entries are tags, then .class names.
+
+    A dropped element ends with its own end tag or with that of an element around it; one written <svg/> is empty."""
     out, stack, links, parts, linked = [], [], 0, [], 0
     held: list[str] = []
+    # open tags from a dropped element on, and the inline ones around it
+    within: list[str] = []
+    inline: dict[str, int] = {}
 
     def flush():
         nonlocal parts, linked
@@ -58,22 +66,43 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
     for m in TOKEN.finditer(page):
         s = m.group()
         if s[0] != "<" or s == "<":
+            if within:
+                continue
             if not parts:
                 held = [x for entry in stack for x in entry[1]]
             parts.append(s)
             linked += len(s) if links else 0
             continue
         if m.group(1) or s[1] in "!?":
-            if m.group(1) and m.group(1).lower() not in ("svg", "iframe", "object", "select"):
+            if m.group(1) and not within:
                 parts.append(" " if parts else "")
             continue
         t = TAG.match(s)
         end, tag = t.group(1), t.group(2).lower()
+        if within:
+            if not end:
+                if tag not in VOID and not s.endswith("/>"):
+                    within.append(tag)
+                continue
+            if tag in within:
+                del within[len(within) - 1 - within[::-1].index(tag) :]
+                continue
+            if not inline.get(tag) and all(tag != entry[0] for entry in stack):
+                continue
+            within.clear()
+        if tag in DROPPED:
+            if not end and not s.endswith("/>"):
+                within.append(tag)
+            if tag in ("noscript", "template"):
+                parts.append(" " if parts else "")
+            continue
         if tag == "a":
             links = max(0, links + (-1 if end else 1))
         if tag in INLINE:
             if tag == "br":
                 parts.append(" " if parts else "")
+            elif tag not in VOID:
+                inline[tag] = max(0, inline.get(tag, 0) + (-1 if end else 1))
             continue
         flush()
         if end:

@@ -207,6 +207,18 @@ def test_blocks(spark):
     assert np.mean(right) > 0.95
 
 
+def test_dropped_elements_end_with_themselves_or_their_parent():
+    texts = lambda page: [t for _, t, _ in blocks.leaves(page)]
+    assert texts('<article><p>One <svg class="i"/> two.</p><p>Three.</p></article>') == ["One two.", "Three."]
+    assert texts('<p>One <svg class="i"> x</p><p>Three.</p>') == ["One", "Three."]
+    assert texts("<p><a>One <svg><path></a> two.</p>") == ["One two."]
+    assert texts("<p>One <svg><title>t</title><path d='M0'/><g>x</g></svg> two.</p>") == ["One two."]
+    assert texts("<p>One <object>x<object>y</object>z</object> two.</p>") == ["One two."]
+    assert texts("<div><select><option>x<option>y</select>One<template><p>x</p></div><div>Two</div>") == ["One", "Two"]
+    assert texts("<p>One<script>'</p><svg>'</script><noscript><p>x</p></noscript>two<select-all>three</select-all></p>") == ["One two", "three"]
+    assert texts("One <svg><!-- </svg> --><style>a</style>x</p>y</svg> two") == ["One two"]
+
+
 def test_block_vectors_read_whole_leaves():
     """Leaves that differ after word 40 only, in nothing that the counts tell, differ to the labeller."""
     head = "word " * 60
