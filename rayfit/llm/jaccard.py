@@ -10,7 +10,10 @@ sides, so the two share a signature. Parts that hold nothing or one common shing
 
 Sets that are equal are one class. Only classes take part; a bucket of equal signatures yields one star of pairs, checked
 exactly; what a bucket holds beyond one component is then compared in blocks of BLOCK, after a histogram bound. So no
-true link between two components is lost, and a group of many near copies costs no square of its size."""
+true link between two components is lost, and components cost no square of the size of a group of near copies.
+
+The join itself has all links. They lie within components, so that the classes of each component are compared exactly, all
+with all, in blocks of LINKED: this does cost the square of a component, in counts of shared elements."""
 
 from __future__ import annotations
 
@@ -24,6 +27,8 @@ from .components import connected
 from .textkit import Words, mix
 
 BLOCK = 256
+#: Classes of one component in a block, and distinct elements that one product takes.
+LINKED, TAKEN = 128, 4096
 #: Hashes that a task gathers before it passes them on.
 HELD = 1_000_000
 #: Buckets of a document that its rows name when pairs are told.
@@ -333,13 +338,108 @@ def _across(rule: Rule):
     return run
 
 
+def _within(rule: Rule, told: bool):
+    """Links within sorted blocks (component, bi, bj): pairs if told, otherwise the rows that each class links with."""
+
+    def of(bi, bj, blk, ids, rows, sets):
+        first, second = np.flatnonzero(blk == bi), np.flatnonzero(blk == bj)
+        n = np.array([len(x) for x in sets])
+        owner = np.repeat(np.arange(len(sets)), n)
+        _, code, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        keep = np.flatnonzero(count[code] > 1)
+        keep = keep[np.argsort(code[keep], kind="stable")]
+        owner, code = owner[keep], code[keep]
+        code = np.cumsum(np.r_[False, code[1:] != code[:-1]][: len(code)])
+        inter = np.zeros((len(first), len(second)), np.int64)
+        for low in range(0, int(code[-1]) + 1 if len(code) else 0, TAKEN):
+            a, b = np.searchsorted(code, [low, low + TAKEN])
+            x = np.zeros((len(sets), int(code[b - 1]) - low + 1), np.float32)
+            x[owner[a:b], code[a:b] - low] = 1
+            inter += (x[first] @ x[second].T).astype(np.int64)
+        ok = rule.links(inter, n[first][:, None], n[second][None])
+        i, j = np.nonzero(np.triu(ok, 1) if bi == bj else ok)
+        a, b = first[i], second[j]
+        if told:
+            turn = ids[a] > ids[b]
+            a, b, inter = np.where(turn, b, a), np.where(turn, a, b), inter[i, j]
+            return [ids[a], ids[b], inter, n[a], n[b]]
+        sums = np.bincount(a, rows[b], len(ids)) + np.bincount(b, rows[a], len(ids))
+        some = np.flatnonzero(sums)
+        return [ids[some], sums[some].astype(np.int64)]
+
+    def run(batches):
+        held = None
+        for batch in _ended(batches):
+            if batch is not None:
+                cols = [batch.column(i).to_numpy() for i in range(6)] + [np.array([*(np.frombuffer(x, np.uint64) for x in batch.column(6).to_pylist()), None], object)[:-1]]
+                held = cols if held is None else [np.concatenate([x, y]) for x, y in zip(held, cols, strict=True)]
+            if held is None:
+                return
+            comp, bi, bj = held[:3]
+            cut = np.flatnonzero(np.r_[True, (comp[1:] != comp[:-1]) | (bi[1:] != bi[:-1]) | (bj[1:] != bj[:-1])])
+            ends = np.r_[cut[1:], len(comp)]
+            whole = len(cut) if batch is None else len(cut) - 1
+            found = [of(bi[a], bj[a], *(x[a:b] for x in held[3:6]), held[6][a:b].tolist()) for a, b in zip(cut[:whole], ends[:whole], strict=True) if b - a > 1]
+            if found:
+                yield pa.record_batch([pa.array(np.concatenate(x).astype(np.int64)) for x in zip(*found, strict=True)], ["a", "b", "inter", "na", "nb"] if told else ["id", "links"])
+            held = [x[cut[whole] :] for x in held] if whole < len(cut) else None
+
+    return run
+
+
+def _ended(batches):
+    """Batches that hold rows, and None after the last."""
+    for batch in batches:
+        if batch.num_rows:
+            yield batch
+    yield None
+
+
+def _linked(read: DataFrame, member: DataFrame, comps: DataFrame, width: int, rule: Rule, told: bool) -> DataFrame:
+    """All links between the classes of each component, see _within."""
+    sized = member.groupBy(F.col("rep").alias("id")).agg(F.count("*").alias("rows"))
+    own = staged(comps.join(sized, "id").select("component", "id", "rows"), "linked")
+    held = staged(_only(read, own.select("id"), "left_semi").mapInArrow(_sets(width), "id long, held binary").dropDuplicates(["id"]), "sets")
+    count = F.ceil(F.col("m") / LINKED).cast("int")
+    side = own.join(own.groupBy("component").agg(F.count("*").alias("m")), "component")
+    side = side.withColumn("blk", F.pmod(F.xxhash64("id"), count).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), count - 1)))
+    side = side.select("component", F.least("blk", "other").alias("bi"), F.greatest("blk", "other").alias("bj"), "blk", "id", "rows").join(held, "id").select("component", "bi", "bj", "blk", "id", "rows", "held")
+    side = side.repartition(partitions(read.sparkSession), "component", "bi", "bj").sortWithinPartitions("component", "bi", "bj")
+    out = staged(side.mapInArrow(_within(rule, told), "a long, b long, inter long, na long, nb long" if told else "id long, links long"), "links")
+    forget(held)
+    return out
+
+
+def join(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5, rule: Rule | None = None) -> DataFrame:
+    """(key, n_shingles, class_id, component_id, n_links) for every row, see classes; n_links: the other rows that it links
+    with, those of an equal set included."""
+    read, member, comps = _grouped(docs, key, text, width, rule or Rule())
+    links = _linked(read, member, comps, width, rule or Rule(), False).groupBy("id").agg(F.sum("links").alias("links"))
+    sized = member.groupBy(F.col("rep").alias("id")).agg(F.count("*").alias("rows"))
+    known = sized.join(comps, "id", "left").join(links, "id", "left").select(F.col("id").alias("rep"), "component", (F.col("rows") - 1 + F.coalesce("links", F.lit(0))).alias("links"))
+    out = member.join(known, "rep")
+    return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.col("rep").alias("class_id"), F.coalesce("component", "rep").alias("component_id"), F.when(F.col("n") > 0, F.col("links")).otherwise(0).alias("n_links"))
+
+
+def pairs(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5, rule: Rule | None = None) -> DataFrame:
+    """(a, b, inter, na, nb) for every two linked classes, a < b: their class_id, and the elements shared and held."""
+    return _linked(*_grouped(docs, key, text, width, rule or Rule()), width, rule or Rule(), True)
+
+
 def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5, rule: Rule | None = None) -> DataFrame:
-    """(key, n_shingles, class_id, component_id) for every row.
+    """(key, n_shingles, class_id, component_id) for every row, without the links within components.
 
     class_id: the smallest key with the same set; component_id: the smallest key reachable by links. Null and empty
     texts have no shingles and link with nothing; repeated rows are equal sets; keys are taken to be unique integers.
     Links between classes are exact for 64-bit shingle hashes. Extra columns of docs are not read."""
-    rule, spark = rule or Rule(), docs.sparkSession
+    _, member, comps = _grouped(docs, key, text, width, rule or Rule())
+    out = member.join(comps.withColumnRenamed("id", "rep"), "rep", "left")
+    return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.col("rep").alias("class_id"), F.coalesce("component", "rep").alias("component_id"))
+
+
+def _grouped(docs: DataFrame, key: str, text: str, width: int, rule: Rule) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(id, text) and (id, n, rep) of every row, and (id, component) of every class with a link."""
+    spark = docs.sparkSession
     ship(spark)
     read = _read(docs, key, text)
     survey = staged(read.mapInArrow(_survey(width), "kind byte, id long, n long, f1 long, f2 long, cells binary"), "survey")
@@ -409,8 +509,7 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
         extra = checked(more).filter(link).select("a", "b")
         if not extra.isEmpty():
             comps = staged(connected(links.union(extra)), "components")
-    out = member.join(comps.withColumnRenamed("id", "rep"), "rep", "left")
-    return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.col("rep").alias("class_id"), F.coalesce("component", "rep").alias("component_id"))
+    return read, member, comps
 
 
 def keep_first(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:

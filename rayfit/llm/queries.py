@@ -63,7 +63,7 @@ def op6_topk(spark, sf_dir):
 
 
 def op7_jaccard(spark, sf_dir):
-    return jaccard.classes(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id", "class_id")
+    return jaccard.join(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id", "class_id")
 
 
 def op8_language(spark, sf_dir):

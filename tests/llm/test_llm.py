@@ -130,6 +130,31 @@ def test_jaccard_of_a_text_edited_step_by_step(spark):
     assert len(got) == 300 and {r.component_id for r in got} == {0}
 
 
+def test_join_has_every_link(spark, monkeypatch):
+    """Links within a component count too, over several blocks of it and several products."""
+    monkeypatch.setattr(jaccard, "LINKED", 4)
+    monkeypatch.setattr(jaccard, "TAKEN", 64)
+    g = np.random.default_rng(6)
+    texts = list(ODD) + steps(12) + steps(2)
+    for size in (3, 25):
+        base = [f"v{i}" for i in g.integers(0, 4000, 120)]
+        for _ in range(size):
+            own = list(base)
+            for at in g.integers(0, 120, int(g.integers(0, 4))):
+                own[at] = "new"
+            texts.append(" ".join(own))
+    sets = [shingles(t) for t in texts]
+    links = {(i, j) for j in range(len(texts)) for i in range(j) if sets[i] and sets[j] and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j])}
+    got = {r.doc_id: r for r in jaccard.join(table(spark, texts)).collect()}
+    assert {i: r.n_links for i, r in got.items()} == {i: sum(i in p for p in links) for i in range(len(texts))}
+    first = {i: min(j for j in range(len(texts)) if sets[j] == sets[i] and (sets[i] or j == i)) for i in range(len(texts))}
+    assert {i: r.class_id for i, r in got.items()} == first
+    rows = jaccard.pairs(table(spark, texts)).collect()
+    assert {(r.a, r.b) for r in rows} == {p for p in links if first[p[0]] == p[0] and first[p[1]] == p[1] and sets[p[0]] != sets[p[1]]} and len(rows) == len(set(rows))
+    assert all((r.inter, r.na, r.nb) == (len(sets[r.a] & sets[r.b]), len(sets[r.a]), len(sets[r.b])) for r in rows)
+    assert jaccard.join(table(spark, [])).count() == 0
+
+
 def test_histograms_bound_differences():
     g = np.random.default_rng(7)
     for n, m in ((40, 50), (300, 380), (1000, 60)):
