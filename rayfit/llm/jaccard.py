@@ -1,12 +1,16 @@
 """Exact n-gram Jaccard join by partition-enumeration signatures, and the components of its links.
 
-A document is the set of its distinct w-word shingles. A family holds the sizes up to its bound r; each document takes
-part in the family of its own size and, if a partner a third larger may lie there, in the next one. In a family the
-feature domain is cut into m parts by a hash. Two sets with similarity t or more, of sizes a <= b, differ in at most
-(1-t)/(1+t) (a+b) <= k elements, k = (1-t)/t times the size of either of them (rounded up safely), so that at least
-m-k parts hold the same elements in both. Each set emits the k+1 parts whose contents come last in an order that
-depends on the contents alone (count of uncommon elements, count of elements, hash): the last of the agreeing parts is among them on both
-sides, so the two share a signature. Parts that hold nothing or one common shingle come first in that order and are left out.
+A document is the set of its distinct w-word shingles. Sizes lie in bands; the family of a band has its upper bound r, and each
+document takes part in the family of its own size and, if a partner may be larger than that, in the next one. In a family the
+feature domain is cut by a hash into parts on two levels: n1 first parts, each of SECOND second parts. Two sets of a family with
+similarity t or more differ in at most k <= (1-t)/(1+t) (a+b) elements. As n1 > k / (SPARE + 1), there is a first part in which
+they differ in SPARE elements at most, so that SECOND - SPARE of its second parts hold the same elements in both. The signatures of a
+set are the contents of every subset of SECOND - SPARE second parts of every first part; linked sets share at least one.
+
+At most spoilt(k, n1) of all signatures can differ between linked sets. So a set needs to emit but one more than that, the last ones in an
+order that depends on a signature's contents alone (count of uncommon elements, count of elements, hash): the last of those that
+agree is then among them on both sides. What is left out are subsets that hold nothing or common shingles only, which would
+bring together sets that have nothing else in common.
 
 Sets that are equal are one class. Only classes take part; a bucket of equal signatures yields one star of pairs, checked
 exactly; what a bucket holds beyond one component is then compared in blocks of BLOCK, after a histogram bound. So no
@@ -17,6 +21,10 @@ with all, in blocks of LINKED: this does cost the square of a component, in coun
 
 from __future__ import annotations
 
+from functools import lru_cache
+from itertools import combinations
+from math import comb
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -27,6 +35,10 @@ from .components import connected
 from .textkit import Words, mix
 
 BLOCK = 256
+#: Second parts of a first part, and how many of them a subset leaves out.
+SECOND, SPARE = 3, 1
+#: Elements whose signatures a task of the buckets gets, about; more partitions are made for more.
+DEALT = 3_000_000
 #: Classes of one component in a block, and distinct elements that one product takes.
 LINKED, TAKEN = 128, 4096
 #: Hashes that a task gathers before it passes them on.
@@ -59,48 +71,72 @@ class Rule:
             own *= 2
         return [own] if n * self.den <= own * self.num else [own, own * 2]
 
-    def parts(self, r: int) -> tuple[int, int]:
-        """Number of parts of a family, and how many of them a set of n elements emits: see emits."""
-        return max((r * 9) // 20, ((self.den - self.num) * r) // self.num + 2), r
+    def first_parts(self, r: int) -> int:
+        """First parts of a family: enough for one that differs in SPARE elements at most, and some to choose from."""
+        return max(r // 5, self.most(r, r) // (SPARE + 1) + 1)
+
+    def emits(self, n: int, r: int) -> int:
+        """Signatures that a set of n elements emits in a family: one more than can differ from a linked set's."""
+        n1 = self.first_parts(r)
+        return min(n1 * comb(SECOND, SPARE), spoilt(self.most(n, min(r, n * self.den // self.num)), n1) + 1)
+
+
+def spoilt(k: int, n1: int) -> int:
+    """Most signatures that k differing elements can change: the d-th one in a first part adds less than the one before, so
+    that they change most where they are spread evenly."""
+    out = 0
+    for d in range(SPARE + 1):
+        here = min(k, n1)
+        out += here * (comb(SECOND - d, SPARE - d) - (comb(SECOND - d - 1, SPARE - d - 1) if d < SPARE else 0))
+        k -= here
+    return out
+
 
-    def emits(self, n: int, m: int) -> int:
-        return min(m, ((self.den - self.num) * n) // self.num + 1)
+@lru_cache(100_000)
+def _plan(rule_num: int, rule_den: int, n: int) -> tuple[tuple[int, int, int], ...]:
+    """(family, first parts, signatures to emit) for a set of n elements."""
+    rule = Rule(rule_num, rule_den)
+    return tuple((r, rule.first_parts(r), rule.emits(n, r)) for r in rule.families(n))
 
 
 def signatures(sets: np.ndarray, offsets: np.ndarray, ids: np.ndarray, rule: Rule, common: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Signatures of each set, and the ids of their sets."""
-    sigs, owners = [], []
     rare = np.ones(len(sets), np.int64)
     if len(common):
         rare[common[np.minimum(np.searchsorted(common, sets), len(common) - 1)] == sets] = 0
-    for i in range(len(ids)):
-        x = sets[offsets[i] : offsets[i + 1]]
-        n = len(x)
-        if not n:
-            continue
-        for r in rule.families(n):
-            m, _ = rule.parts(r)
-            k = rule.emits(n, m)
-            salted = x * np.uint64(0x9FB21C651E98DF25) ^ np.uint64(r)
-            salted ^= salted >> np.uint64(29)
-            part = ((salted >> np.uint64(11)) % np.uint64(m)).astype(np.int64)
-            order = np.argsort(part, kind="stable")
-            part = part[order]
-            cut = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
-            held = mix(np.add.reduceat(x[order], cut) + part[cut].astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(r))
-            count = np.diff(np.r_[cut, n])
-            if len(held) >= k:
-                weight = np.add.reduceat(rare[offsets[i] : offsets[i + 1]][order], cut)
-                rank = (np.minimum(weight, 4095).astype(np.uint64) << np.uint64(52)) | (np.minimum(count, 4095).astype(np.uint64) << np.uint64(40)) | (held >> np.uint64(24))
-                held = held[np.argpartition(rank, len(held) - k)[len(held) - k :]] if len(held) > k else held
-            else:  # some empty parts have to count too; their contents come before all others, by number
-                full = np.zeros(m, bool)
-                full[part[cut]] = True
-                empty = mix(np.flatnonzero(~full).astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(r))
-                held = np.r_[held, np.sort(empty)[::-1][: k - len(held)]]
-            sigs.append(held)
-            owners.append(np.full(len(held), ids[i], np.int64))
-    return (np.concatenate(sigs), np.concatenate(owners)) if sigs else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+    sizes = np.diff(offsets)
+    plans = [(i, *p) for i, n in enumerate(sizes.tolist()) if n for p in _plan(rule.num, rule.den, n)]
+    if not plans:
+        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    who, family, n1, most = (np.array(x, np.int64) for x in zip(*plans, strict=True))
+    # every set once for each of its families: its elements, and where its first parts begin
+    n = sizes[who]
+    begins = np.cumsum(np.r_[0, n])
+    at = np.arange(begins[-1]) - np.repeat(begins[:-1] - offsets[who], n)
+    x = sets[at]
+    salted = x * np.uint64(0x9FB21C651E98DF25) ^ np.repeat(family.astype(np.uint64), n)
+    salted ^= salted >> np.uint64(29)
+    top = np.cumsum(np.r_[0, n1])
+    first = ((salted >> np.uint64(11)) % np.repeat(n1.astype(np.uint64), n)).astype(np.int64) + np.repeat(top[:-1], n)
+    cell = first * SECOND + ((salted * np.uint64(0xC2B2AE3D27D4EB4F)) >> np.uint64(40)).astype(np.int64) % SECOND
+    cells = int(top[-1]) * SECOND
+    low, high = (np.bincount(cell, (x >> np.uint64(s) & np.uint64(0xFFFFFFFF)).astype(float), cells).astype(np.uint64) for s in (0, 32))
+    held = (low + (high << np.uint64(32))).reshape(-1, SECOND)  # sums of the elements of each second part, modulo 2^64
+    count, weight = (np.bincount(cell, w, cells).reshape(-1, SECOND) for w in (None, rare[at].astype(float)))
+    number = np.arange(int(top[-1])) - np.repeat(top[:-1], n1)
+    tag = mix(number.astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93) + np.repeat(family.astype(np.uint64), n1))
+    subsets = list(combinations(range(SECOND), SECOND - SPARE))
+    sigs, ranks = np.empty((len(held), len(subsets)), np.uint64), np.empty((len(held), len(subsets)), np.uint64)
+    for j, subset in enumerate(subsets):
+        own = list(subset)
+        sigs[:, j] = mix(held[:, own].sum(1, dtype=np.uint64) + tag + np.uint64(j + 1))
+        some, much = (np.minimum(v[:, own].sum(1), 4095).astype(np.uint64) for v in (weight, count))
+        ranks[:, j] = (some << np.uint64(52)) | (much << np.uint64(40)) | (sigs[:, j] >> np.uint64(24))
+    sigs, ranks, edges = sigs.ravel(), ranks.ravel(), (top * len(subsets)).tolist()
+    out = []
+    for a, b, k in zip(edges, edges[1:], most.tolist(), strict=False):
+        out.append(sigs[a:b] if k >= b - a else sigs[a + np.argpartition(ranks[a:b], b - a - k)[b - a - k :]])
+    return np.concatenate(out), np.repeat(ids[who], [len(o) for o in out])
 
 
 def _read(docs: DataFrame, key: str, text: str) -> DataFrame:
@@ -451,7 +487,7 @@ def _grouped(docs: DataFrame, key: str, text: str, width: int, rule: Rule) -> tu
     groups = rows.filter("n > 0").groupBy("f1", "f2", "n").agg(F.min("id").alias("rep"))
     member = staged(rows.select("id", "f1", "f2", "n").join(groups, ["f1", "f2", "n"], "left").select("id", "n", F.coalesce("rep", "id").alias("rep")), "member")
 
-    parts = partitions(spark)
+    parts = max(partitions(spark), -(-(rows.agg(F.sum("n")).first()[0] or 0) // DEALT))
     # empty sets and all but one of each class have nothing to sign
     quiet = member.filter("id <> rep").select("id").distinct()
     signed = _only(read, quiet, "left_anti").mapInArrow(_sign(width, rule, common, parts), "part int, sigs binary, owners binary")
