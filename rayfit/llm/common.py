@@ -70,6 +70,31 @@ def partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
 
 
+#: Partial sums that one task adds at most, of the partitions that share a lane: partitions / LANES at the first level.
+LANES = (256, 16)
+
+
+def vector_sum(rows: DataFrame, partial, size: int):
+    """The sum of partial(batches), a vector of so many doubles, over all partitions of rows.
+
+    Partitions work in parallel and their vectors are added in tasks, by lanes, in two levels; the driver adds LANES[-1] of them."""
+    import numpy as np
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        yield pa.record_batch([pa.array([TaskContext.get().partitionId()], pa.int32()), pa.array([np.asarray(partial(batches), float).tobytes()], pa.binary())], ["lane", "part"])
+
+    def add(table):
+        whole = sum(np.frombuffer(x.as_buffer()) for x in table["part"])
+        return pa.table({"lane": table["lane"].slice(0, 1), "part": pa.array([whole.tobytes()], pa.binary())})
+
+    out = rows.mapInArrow(run, "lane int, part binary")
+    for lanes in LANES:
+        out = out.withColumn("lane", (F.col("lane") % lanes).cast("int")).groupBy("lane").applyInArrow(add, "lane int, part binary")
+    return sum((np.frombuffer(r.part) for r in out.collect()), np.zeros(size))
+
+
 def split_mark(column: str, modulus: int, held: int):
     """crc32(id as text) mod modulus = held, as a column."""
     return F.pmod(F.crc32(F.col(column).cast("string")), F.lit(modulus)) == held

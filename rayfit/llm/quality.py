@@ -1,10 +1,10 @@
 """Quality scores by random Fourier features, ridge regression and isotonic calibration.
 
 Each text is reduced to the statistics of stats.py, standardised by the labelled rows. Cosines of random projections
-approximate a Gaussian kernel on them; every partition sums its share of the normal equations, which are added on the
-driver (their size is fixed) and solved with a ridge. The fitted values of the labelled rows, counted in fine bins with
-their labels, are made monotone by pooling adjacent violators, and the resulting curve turns a value into a
-probability."""
+approximate a Gaussian kernel on them; every partition sums its share of the normal equations for each fold of the rows, tasks
+add these, and the driver solves them with a ridge (their size is fixed). Values of the labelled rows, each from the
+equations of the other folds, are counted in fine bins with their labels and made monotone by pooling adjacent violators;
+the resulting curve turns a value into a probability."""
 
 from __future__ import annotations
 
@@ -14,13 +14,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import stats
-from .common import ship, slices, staged
+from .common import ship, slices, staged, vector_sum
 from .textkit import Words
 
 WIDTH = 192
 RIDGE = 1e-3
 BINS = 2000
 SEED = 5
+#: Parts of the labelled rows, by a hash of the key, for the curve.
+FOLDS = 4
 #: Weight of the kernel's distances: 1 / (GAMMA * statistics) is the squared bandwidth.
 SPREAD = 0.35
 
@@ -81,26 +83,33 @@ class Model:
         return np.interp(self.raw(x), self.at, self.height)
 
 
-def _sums(labelled: DataFrame, kernel: Kernel) -> tuple[np.ndarray, np.ndarray]:
-    def run(batches):
-        total = None
+def _sums(labelled: DataFrame, kernel: Kernel) -> np.ndarray:
+    """Of each fold, the products of all features and the label with one another."""
+    size = 2 + len(kernel.mean) + len(kernel.b)
+
+    def partial(batches):
+        total = np.zeros((FOLDS, size, size))
         for batch in batches:
             if batch.num_rows:
-                f, y = kernel(matrix(batch.column(0))), batch.column(1).to_numpy().astype(float)
+                f, y, fold = kernel(matrix(batch.column(0))), batch.column(1).to_numpy().astype(float), batch.column(2).to_numpy()
                 both = np.concatenate([f, y[:, None]], 1)
-                total = both.T @ both if total is None else total + both.T @ both
-        if total is not None:
-            yield pa.record_batch([pa.array([total.tobytes()], pa.binary())], ["sums"])
+                for k in set(fold.tolist()):
+                    total[k] += both[fold == k].T @ both[fold == k]
+        return total.ravel()
 
-    size = 2 + len(kernel.mean) + len(kernel.b)
-    total = np.zeros((size, size))
-    for row in labelled.select("x", "y").coalesce(16).mapInArrow(run, "sums binary").toLocalIterator():
-        total += np.frombuffer(row[0]).reshape(size, size)
-    return total[:-1, :-1], total[:-1, -1]
+    return vector_sum(labelled.select("x", "y", "fold"), partial, FOLDS * size * size).reshape(FOLDS, size, size)
+
+
+def solved(sums: np.ndarray) -> np.ndarray:
+    """Ridge coefficients from the products; zeros without rows."""
+    a, b = sums[:-1, :-1], sums[:-1, -1]
+    return np.linalg.solve(a + RIDGE * a[0, 0] * np.eye(len(a)), b) if a[0, 0] else np.zeros(len(b))
 
 
 def fit(labelled: DataFrame) -> Model:
-    """From (x, y) rows, y 0 or 1. With no rows, every score is 0.5."""
+    """From (x, y, fold) rows, y 0 or 1. With no rows, every score is 0.5.
+
+    The curve is fitted on values of rows that had no part in the coefficients that gave them: those of the other folds."""
     n = len(stats.NAMES)
     agg = labelled.select(F.posexplode("x").alias("i", "v")).groupBy("i").agg(F.avg("v").alias("m"), F.stddev_pop("v").alias("s")).collect()
     mean, scale = np.zeros(n), np.ones(n)
@@ -109,16 +118,17 @@ def fit(labelled: DataFrame) -> Model:
     kernel = Kernel(mean, scale)
     if not agg:
         return Model(kernel, np.zeros(1 + n + WIDTH), np.array([0.0]), np.array([0.5]))
-    a, b = _sums(labelled, kernel)
-    beta = np.linalg.solve(a + RIDGE * a[0, 0] * np.eye(len(a)), b)
+    sums = _sums(labelled, kernel)
+    beta, others = solved(sums.sum(0)), np.stack([solved(sums.sum(0) - own) for own in sums])
 
     def values(batches):
         for batch in batches:
             if batch.num_rows:
-                at = np.clip(np.floor((kernel(matrix(batch.column(0))) @ beta + 0.5) * BINS / 2), 0, BINS - 1).astype(np.int64)
+                value = (kernel(matrix(batch.column(0))) * others[batch.column(2).to_numpy()]).sum(1)
+                at = np.clip(np.floor((value + 0.5) * BINS / 2), 0, BINS - 1).astype(np.int64)
                 yield pa.record_batch([pa.array(at), batch.column(1)], ["at", "y"])
 
-    bins = labelled.select("x", F.col("y").cast("double").alias("y")).mapInArrow(values, "at long, y double").groupBy("at").agg(F.avg("y").alias("y"), F.count("*").alias("n")).toArrow().to_pandas().sort_values("at")
+    bins = labelled.select("x", F.col("y").cast("double").alias("y"), "fold").mapInArrow(values, "at long, y double").groupBy("at").agg(F.avg("y").alias("y"), F.count("*").alias("n")).toArrow().to_pandas().sort_values("at")
     height = pool(bins["y"].to_numpy(), bins["n"].to_numpy(float))
     return Model(kernel, beta, (bins["at"].to_numpy() + 0.5) * 2 / BINS - 0.5, height)
 
@@ -140,6 +150,7 @@ def classify(docs: DataFrame, labels: DataFrame, train, key: str = "doc_id", tex
     A null label is no label; of several for one key, the largest holds."""
     x = staged(statistics(docs, key, text), "statistics")
     known = labels.filter(F.col(target).isNotNull() & train).groupBy(key).agg(F.max(target).alias("y"))
-    labelled = staged(x.join(known, key).select("x", F.col("y").cast("double").alias("y")), "labelled")
+    fold = F.pmod(F.xxhash64(key, F.lit(7)), F.lit(FOLDS)).cast("int")
+    labelled = staged(x.join(known, key).select("x", F.col("y").cast("double").alias("y"), fold.alias("fold")), "labelled")
     out = scored(x, fit(labelled), key)
     return out.withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
