@@ -3,7 +3,7 @@
 A softmax classifier, learned from a table of labelled documents, gives every document a posterior over the domains. With
 t tokens, posterior p and rate r of each document, sum r t p_d is the expected token total of domain d. Nonnegative
 rates that make these totals meet the targets in least squares are found by accelerated projected gradient in the metric of
-the tokens, starting from r = 1. A step changes r by a function of p and of one residual for each domain, so the state of the
+the tokens, starting from r = 1; see fit for the metric of the totals. A step changes r by a function of p and of one residual for each domain, so the state of the
 whole fit is the list of past residuals: every iteration is one pass that folds that list for each document and sums a number
 for each domain, and nothing is written."""
 
@@ -130,45 +130,48 @@ def posteriors(docs: DataFrame, model: Domains, key: str = "doc_id", text: str =
     return out.withColumnRenamed("key", key)
 
 
-def fold(p: np.ndarray, past: list[np.ndarray], rate: float) -> np.ndarray:
-    """The points y at which the next residual is due, and the rates r, from the residuals so far."""
+def fold(p: np.ndarray, past: list[np.ndarray]) -> np.ndarray:
+    """The rates from the residuals so far, at which the next residual is due."""
     r = y = np.ones(len(p))
     for s, residual in enumerate(past):
-        r, before = np.maximum(0, y - rate * (p @ residual)), r
+        r, before = np.maximum(0, y - p @ residual), r
         y = np.maximum(0, r + s / (s + 3) * (r - before))
-    return np.stack([y, r])
+    return y
 
 
-def fit(held: DataFrame, targets: np.ndarray, iterations: int = ITERATIONS, tolerance: float = TOLERANCE) -> tuple[list, float, np.ndarray]:
-    """Residuals and step size that give the rates of (tokens, p) rows, and the totals reached; see fold."""
+def fit(held: DataFrame, targets: np.ndarray, iterations: int = ITERATIONS, tolerance: float = TOLERANCE) -> tuple[list, np.ndarray]:
+    """Residuals that give the rates of (tokens, p) rows, and the totals reached; see fold.
+
+    Totals are compared in the metric of the inverse of sum t p p', the products at rates of 1: there a step of 1 would meet the
+    targets at once if no rate had to stay nonnegative, so that only this bound needs further steps. Targets that no
+    nonnegative rates give, like 0 for a domain that every document belongs to a little, are approached from step to step."""
     k = len(targets)
 
     def total(of):
+        names = [f"s{i}" for i in range((1 + k) * k)]
+
         def run(batches):
             t = np.zeros((1 + k, k))
             for batch in batches:
                 if batch.num_rows:
                     t += of(batch.column(0).to_numpy().astype(float), matrix(batch.column(1)))
-            yield pa.record_batch([pa.array([t.tobytes()], pa.binary())], ["t"])
+            yield pa.record_batch([pa.array([x]) for x in t.ravel()], names)
 
-        out = np.zeros((1 + k, k))
-        for row in held.select("tokens", "p").mapInArrow(run, "t binary").toLocalIterator():
-            out += np.frombuffer(row[0]).reshape(1 + k, k)
-        return out
+        row = held.select("tokens", "p").mapInArrow(run, ", ".join(f"{n} double" for n in names)).agg(*(F.sum(n) for n in names)).first()
+        return np.array([x or 0.0 for x in row]).reshape(1 + k, k)
 
     first = total(lambda t, p: np.concatenate([t @ p[None] if p.ndim == 1 else (t[None] @ p), (p * t[:, None]).T @ p]))
     now, gram = first[0], first[1:]
     unit = max(1.0, float(now.sum()))
-    top = float(np.linalg.eigvalsh(gram / unit)[-1]) if now.sum() else 1.0
+    metric = np.linalg.pinv(gram / unit, rcond=1e-9, hermitian=True)
     past: list[np.ndarray] = []
     for _ in range(iterations):
         residual = (now - targets) / unit
-        past.append(residual)
         if np.abs(residual).max() <= tolerance:
             break
-        rate = 1 / max(top, 1e-12)
-        now = total(lambda t, p: np.concatenate([(t * fold(p, past, rate)[0])[None] @ p, np.zeros((k, k))]))[0]
-    return past, 1 / max(top, 1e-12), now
+        past.append(metric @ residual)
+        now = total(lambda t, p: np.concatenate([(t * fold(p, past))[None] @ p, np.zeros((k, k))]))[0]
+    return past, now
 
 
 def mix(docs: DataFrame, labels: DataFrame, shares: dict[str, float], full: str, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -184,13 +187,13 @@ def mix(docs: DataFrame, labels: DataFrame, shares: dict[str, float], full: str,
     want = np.array([shares.get(n, 0.0) for n in model.names])
     anchor = model.names.index(full) if full in model.names else int(np.argmax(want))
     targets = want / want[anchor] * size[anchor] if want[anchor] > 0 else want * size.sum()
-    past, rate, _ = fit(held, targets)
+    past, _ = fit(held, targets)
 
     def run(batches):
         for batch in batches:
             if batch.num_rows:
                 p = matrix(batch.column(2))
-                yield pa.record_batch([batch.column(0), batch.column(1), batch.column(2), pa.array(fold(p, past, rate)[1])], ["key", "tokens", "p", "rate"])
+                yield pa.record_batch([batch.column(0), batch.column(1), batch.column(2), pa.array(fold(p, past))], ["key", "tokens", "p", "rate"])
 
     out = held.select(F.col(key).alias("key"), "tokens", "p").mapInArrow(run, f"key {dict(held.dtypes)[key]}, tokens long, p array<double>, rate double")
     spread = F.shiftrightunsigned(F.xxhash64("key", F.lit(29)), 11) / F.lit(float(1 << 53))
