@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import ship, staged
+from .common import partitions, ship, staged
 
 ROWS = 16_384
 QUERIES = 256
@@ -21,9 +21,15 @@ QUERIES = 256
 KEPT = 5
 
 
+LONG = 2**63 - 1
+
+
 class Block:
     def __init__(self, ids: np.ndarray, values: np.ndarray, kept: int = KEPT):
         self.ids, self.values = ids, values
+        self.widest = max(int(values.max()), -int(values.min()), 1)
+        if self.widest > 2**40:
+            return  # no planes: every score is made of Python's integers
         n, d = values.shape
         self.low = values.min(0)
         spread = values - self.low
@@ -71,6 +77,11 @@ class Block:
     def top(self, own: int, weights: np.ndarray, k: int) -> list[tuple[int, int]]:
         """The k best (id, score) of the rows other than own, ties to the smaller id."""
         n = len(self.ids)
+        if self.widest > 2**40 or self.widest * sum(abs(int(w)) for w in weights) > LONG:
+            own_out = np.flatnonzero(self.ids != own)
+            score = (self.values[own_out].astype(object) @ weights.astype(object)).tolist()
+            best = sorted(zip((-x for x in score), self.ids[own_out].tolist(), strict=True))[:k]
+            return [(i, max(-LONG - 1, min(LONG, -x))) for x, i in best]
         if n > 4 * (k + 1) and weights.any():
             planes = self.sums(weights)
             sure, tied, wanted, last = np.zeros(self.words, np.uint64), self.all.copy(), k + 1, 0
@@ -125,31 +136,36 @@ def search(vectors: DataFrame, queries, k: int = 5, key: str = "vec_id", vector:
     """(query_id, rank, vec_id, score): the k best of all rows but its own for every row where queries, a column, holds.
 
     Vectors that are null or hold nulls or non-finite components take no part; vectors meet those of their own length.
-    Every block of queries meets every block of rows once, in its own task; only the k best of each leave it."""
+    Components beyond a long after scaling count as its ends; scores are exact, but one beyond a long is told as its end.
+    Every block of queries is sent to every block of rows, which is read once; only the k best of each leave it."""
     spark = vectors.sparkSession
     ship(spark)
     x = F.col(vector)
     sound = x.isNotNull() & ~F.exists(x, lambda c: c.isNull() | F.isnan(c) | (F.abs(c) == float("inf")))
     rows = vectors.filter(sound & (F.size(x) > 0)).select(F.col(key).cast("long").alias("id"), F.transform(x, lambda c: F.floor(c.cast("double") * scale).cast("long")).alias("v"), queries.alias("asks"))
     blocks = staged(_pack(rows.select("id", "v"), ROWS).withColumn("at", F.monotonically_increasing_id()), "blocks")
-    asked = staged(_pack(rows.filter("asks").select("id", "v"), QUERIES), "queries").select("dim", F.col("ids").alias("q_ids"), F.col("cells").alias("q_cells"))
-    at = [r[0] for r in blocks.select("at").collect()]  # one number for each ROWS rows
+    asked = staged(_pack(rows.filter("asks").select("id", "v"), QUERIES), "queries")
+    at = sorted((r[0], r[1]) for r in blocks.select("at", "dim").collect())  # two numbers for each ROWS rows
     if not at:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    each = asked.withColumn("at", F.explode(F.array(*map(F.lit, at)))) if len(at) < 200 else asked.withColumn("one", F.lit(1)).join(blocks.select("at", F.lit(1).alias("one")), "one").drop("one")
-    pairs = blocks.join(each, ["at", "dim"])
+    number = spark.createDataFrame([(a, d, i) for i, (a, d) in enumerate(at)], "at long, dim int, block int")
+    held = blocks.join(number.select("at", "block"), "at").select("block", F.lit(0).alias("kind"), "dim", "ids", "cells")
+    sent = asked.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(len(at) - 1)))).select("block", F.lit(1).alias("kind"), "dim", "ids", "cells")
+    parts = min(len(at), partitions(spark))
+    both = held.unionAll(sent).repartitionById(parts, F.col("block") % parts).sortWithinPartitions("block", "kind")
 
     def run(batches):
-        last, block = None, None
+        last, dim, block = None, None, None
         for batch in batches:
-            for where, dim, ids, cells, q_ids, q_cells in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if where != last:
-                    last, block = where, Block(np.frombuffer(ids, np.int64), np.frombuffer(cells, np.int64).reshape(-1, dim))
-                out = [(q, *best) for q, w in zip(np.frombuffer(q_ids, np.int64), np.frombuffer(q_cells, np.int64).reshape(-1, dim), strict=True) for best in block.top(int(q), w, k)]
-                if out:
-                    a = np.array(out, np.int64)
-                    yield pa.record_batch([pa.array(a[:, i]) for i in range(3)], ["query_id", "vec_id", "score"])
-
-    best = pairs.select("at", "dim", "ids", "cells", "q_ids", "q_cells").mapInArrow(run, "query_id long, vec_id long, score long")
+            for where, kind, size, ids, cells in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if not kind:
+                    last, dim, block = where, size, Block(np.frombuffer(ids, np.int64), np.frombuffer(cells, np.int64).reshape(-1, size))
+                elif where == last and size == dim:
+                    out = [(q, *best) for q, w in zip(np.frombuffer(ids, np.int64), np.frombuffer(cells, np.int64).reshape(-1, size), strict=True) for best in block.top(int(q), w, k)]
+                    if out:
+                        a = np.array(out, np.int64)
+                        yield pa.record_batch([pa.array(a[:, i]) for i in range(3)], ["query_id", "vec_id", "score"])
+
+    best = staged(both.mapInArrow(run, "query_id long, vec_id long, score long"), "best")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return best.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
