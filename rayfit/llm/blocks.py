@@ -13,15 +13,18 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import ship
 
-PATH, LAST, WORD, COUNTS = 96, 32, 32, 6
+PATH, LAST, WORD, COUNTS = 160, 48, 32, 6
 INPUT = PATH + LAST + WORD + COUNTS
 HIDDEN = 20
-SEED, PAGES, EPOCHS, BATCH, RATE = 3, 800, 12, 32, 0.01
+SEED, PAGES, EPOCHS, BATCH, RATE = 3, 1200, 12, 32, 0.01
+#: Leaves, padding included, whose vectors are held at once.
+CELLS = 8192
 
 #: Their content is no markup, so that only their own end tag ends them.
 RAW = "script|style|textarea"
@@ -121,9 +124,10 @@ def leaves(page: str) -> list[tuple[tuple[str, ...], str, int]]:
     return out
 
 
-def vectors(seq: list) -> np.ndarray:
+def vectors(seq: list, first: int = 0, total: int | None = None) -> np.ndarray:
+    """Inputs of leaves, the first of which is that number of so many on the page."""
     x = np.zeros((len(seq), INPUT), np.float32)
-    n = len(seq)
+    n = total or len(seq)
     for i, (path, text, linked) in enumerate(seq):
         for p in path:
             x[i, _slot(p, PATH)] = 1
@@ -134,7 +138,7 @@ def vectors(seq: list) -> np.ndarray:
         slots = [_slot(w.strip(".,;:!?"), WORD) for w in map(str.lower, words)]
         x[i, PATH + LAST : PATH + LAST + WORD] = np.bincount(slots, minlength=WORD) / len(words)
         size = len(text)
-        x[i, PATH + LAST + WORD :] = (np.log1p(size) / 6, min(1.0, linked / size), np.log1p(text.count(" ")) / 4, text[-1] in ".!?…\"”", i / max(1, n - 1), 1)
+        x[i, PATH + LAST + WORD :] = (np.log1p(size) / 6, min(1.0, linked / size), np.log1p(text.count(" ")) / 4, text[-1] in ".!?…\"”", (first + i) / max(1, n - 1), 1)
     return x
 
 
@@ -157,9 +161,9 @@ class Network:
     def _sigmoid(z):
         return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
 
-    def _run(self, x, mask, d, trace=None):
+    def _run(self, x, mask, d, trace=None, state=None):
         n, t, _ = x.shape
-        h, c = np.zeros((n, HIDDEN), np.float32), np.zeros((n, HIDDEN), np.float32)
+        h, c = state or (np.zeros((n, HIDDEN), np.float32), np.zeros((n, HIDDEN), np.float32))
         pre = x @ self.p[d + "x"] + self.p[d + "c"]
         out = np.zeros((n, t, HIDDEN), np.float32)
         for k in range(t) if d == "f" else range(t - 1, -1, -1):
@@ -173,11 +177,28 @@ class Network:
                 trace.append((k, i, f, o, g, c, th, h, m))
             h, c = m * (o * th) + (1 - m) * h, m * c2 + (1 - m) * c
             out[:, k] = h
+        if state is not None:
+            state[:] = h, c
         return out
 
     def scores(self, x, mask):
-        both = np.concatenate([self._run(x, mask, "f"), self._run(x, mask, "b"), x], 2)
-        return both @ self.p["o"] + self.p["oc"][0]
+        """Of every leaf of a padded batch of pages."""
+        o = self.p["o"]
+        return self._run(x, mask, "f") @ o[:HIDDEN] + self._run(x, mask, "b") @ o[HIDDEN : 2 * HIDDEN] + x @ o[2 * HIDDEN :] + self.p["oc"][0]
+
+    def long_scores(self, seq: list) -> np.ndarray:
+        """Of one page of any length: as scores, but the vectors of CELLS leaves at a time are held."""
+        n, o = len(seq), self.p["o"]
+        out = np.full(n, self.p["oc"][0], np.float32)
+        steps = list(range(0, n, CELLS))
+        for j, d in enumerate("fb"):
+            state = [np.zeros((1, HIDDEN), np.float32), np.zeros((1, HIDDEN), np.float32)]
+            for low in steps if d == "f" else reversed(steps):
+                x = vectors(seq[low : low + CELLS], low, n)[None]
+                out[low : low + CELLS] += (self._run(x, np.ones(x.shape[:2], np.float32), d, state=state) @ o[j * HIDDEN : (j + 1) * HIDDEN])[0]
+                if not j:
+                    out[low : low + CELLS] += (x @ o[2 * HIDDEN :])[0]
+        return out
 
     def gradient(self, x, mask, y):
         traces = {"f": [], "b": []}
@@ -214,8 +235,10 @@ def _pad(items: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
 
 #: Class names that the generator gives to containers of the article and of other kinds; fixed values.
 GOOD = "article content post entry main story body text article-body post-content entry-content main-content story-body".split()
-BAD = "ad ads advert advertisement sponsored promo banner sidebar side widget related recommended share social menu nav navbar breadcrumb breadcrumbs footer foot header masthead topbar cookie cookies consent notice alert popup modal newsletter subscribe signup login search comments comment reply replies discussion copyright legal tags pagination pager byline-links toolbar".split()
-PHRASES = "Home|About us|Contact|Subscribe to our newsletter|Read more|Share this|All rights reserved.|Privacy policy|We use cookies.|Accept|Log in|Search|Related articles|Leave a comment|Reply|Next page|Sponsored|Terms of use".split("|")
+BAD = "ad ads advert advertisement sponsored promo banner sidebar side rail widget related recommended share social menu nav navbar breadcrumb breadcrumbs footer foot header masthead topbar cookie cookies consent notice alert popup modal newsletter subscribe signup login search comments comment reply replies discussion copyright legal tags pagination pager byline-links toolbar".split()
+PHRASES = "Home|About us|Contact|Subscribe to our newsletter|Read more|Share this|All rights reserved.|Privacy policy|We use cookies.|Accept|Log in|Search|Related articles|Leave a comment|Reply|Next page|Sponsored|Terms of use|Sign up|Most read|Popular|Copyright 2004|Great article, thanks!|I don't agree.".split("|")
+#: Share of the containers whose names tell nothing, on pages (every second one) where names are of the site's own making.
+NAMELESS = 0.75
 
 
 def generated(seed: int, pages: int) -> list[tuple[list, np.ndarray]]:
@@ -233,8 +256,16 @@ def generated(seed: int, pages: int) -> list[tuple[list, np.ndarray]]:
     def mark(s, good):
         return f"\x01{int(good)}{s}"
 
+    own_names = False
+
+    def named(known):
+        """A class name: a known one, or where the site has its own, one that nobody has seen."""
+        if not own_names or r.random() > NAMELESS:
+            return pick(known)
+        return pick(["-", "__", " "]).join("".join(r.choice(syllables, 2)) for _ in range(int(r.integers(1, 3))))
+
     def boiler(depth=0):
-        kind, name = int(r.integers(8)), pick(BAD)
+        kind, name = int(r.integers(8)), named(BAD)
         text = lambda: mark(pick(PHRASES) if r.random() < 0.4 else sentence(1, 30), False)
         tag = pick(["div", "div", "section", "aside", "nav", "header", "footer", "form"])
         own = f' class="{name}"' if tag in ("div", "section") or r.random() < 0.4 else ""
@@ -242,13 +273,16 @@ def generated(seed: int, pages: int) -> list[tuple[list, np.ndarray]]:
             own = own.replace("class", "id")
         if kind <= 2:
             inner = "<ul>" + "".join(f'<li><a href="/x">{text()}</a></li>' for _ in range(int(r.integers(1, 9)))) + "</ul>"
-            tag, own = ("nav", pick(["", ' class="menu"'])) if r.random() < 0.6 else (tag, own)
+            tag, own = ("nav", pick(["", ' class="menu"'])) if r.random() < (0.2 if own_names else 0.6) else (tag, own)
         elif kind == 3:
             tag, own = "footer", pick(["", ' class="foot"'])
             inner = mark("&copy; " + words(1, 4), False) + (f"<p>{text()}</p>" if r.random() < 0.5 else "")
         elif kind == 4:
             tag, own = pick([("section", ' id="comments"'), ("div", ' class="comments"'), ("div", ' class="comment-list"')])
-            inner = "".join(f'<div class="comment"><p>{mark(sentence(2, 40), False)}</p></div>' for _ in range(int(r.integers(1, 5))))
+            each = "comment"
+            if own_names:
+                tag, own, each = "div", f' class="{named(["comments"])}"', named(["comment"])
+            inner = "".join(f'<div class="{each}"><p>{mark(sentence(2, 40), False)}</p></div>' for _ in range(int(r.integers(1, 5))))
         elif kind == 5:
             tag, own, inner = "form", "", f"<label>{text()}</label><p>{text()}</p><button>{text()}</button>"
         elif kind == 6 and r.random() < 0.5:
@@ -272,7 +306,7 @@ def generated(seed: int, pages: int) -> list[tuple[list, np.ndarray]]:
             elif k == 3:
                 parts.append(f"<p><b>{mark(sentence(1, 30), True)}<br>")
             elif k == 4:
-                parts.append(boiler() if r.random() < 0.6 else f'<{(t := pick(["div", "aside", "p"]))} class="{pick(BAD)}">{mark(sentence(1, 20), False)}</{t}>')
+                parts.append(boiler() if r.random() < 0.6 else f'<{(t := pick(["div", "aside", "p"]))} class="{named(BAD)}">{mark(sentence(1, 20), False)}</{t}>')
             elif k == 5 and r.random() < 0.3:
                 parts.append(f"<table><tr><td>{mark(words(1, 4), True)}</td><td>{mark(words(1, 4), True)}</td></tr></table>")
             elif k == 6 and r.random() < 0.3:
@@ -286,13 +320,16 @@ def generated(seed: int, pages: int) -> list[tuple[list, np.ndarray]]:
         if kind == 3:
             return f"<main>{inner}</main>"
         if kind == 4:
-            return f'<main><article><div class="{pick(GOOD)}">{inner}</div></article></main>'
-        return f'<{(t := pick(["div", "div", "section"]))} {pick(["class", "id"])}="{pick(GOOD)}">{inner}</{t}>'
+            return f'<main><article><div class="{named(GOOD)}">{inner}</div></article></main>'
+        return f'<{(t := pick(["div", "div", "section"]))} {pick(["class", "id"])}="{named(GOOD)}">{inner}</{t}>'
 
     out = []
-    for _ in range(pages):
+    for number in range(pages):
+        own_names = number % 2 == 1
         before, after = ("".join(boiler() for _ in range(int(r.integers(0, 4)))) for _ in range(2))
         body = before + article() + after
+        if own_names and r.random() < 0.1:
+            body = "<table>" + "".join(f"<tr><td>{x}</td></tr>" for x in (before, article(), after)) + "</table>"
         if r.random() < 0.2:
             body = f'<div class="{pick(["page", "wrapper", "container", "site", "layout"])}">{body}</div>'
         title = f"<title>{mark(sentence(2, 12), False)}</title>" if r.random() < 0.7 else ""
@@ -330,16 +367,33 @@ def labelled(net: Network, pages: list[str]) -> list[list[tuple[str, bool]]]:
     """(text, main or not) of every leaf of every page."""
     seqs = [leaves(p) for p in pages]
     out: list = [[] for _ in pages]
-    order = sorted((i for i in range(len(pages)) if seqs[i]), key=lambda i: len(seqs[i]))
-    for low in range(0, len(order), 64):
-        own = order[low : low + 64]
-        x, mask = _pad([vectors(seqs[i]) for i in own])
-        z = net.scores(x, mask)
+    order, low = sorted((i for i in range(len(pages)) if seqs[i]), key=lambda i: len(seqs[i])), 0
+    while low < len(order):
+        high = low + 1
+        while high < len(order) and (high + 1 - low) * len(seqs[order[high]]) <= CELLS:
+            high += 1
+        own, low = order[low:high], high
+        if len(seqs[own[0]]) > CELLS:
+            z = net.long_scores(seqs[own[0]])[None]
+        else:
+            z = net.scores(*_pad([vectors(seqs[i]) for i in own]))
         for j, i in enumerate(own):
             out[i] = [(leaf[1], bool(z[j, k] > 0)) for k, leaf in enumerate(seqs[i])]
     return out
 
 
+def _steps(body: pa.Array, rows: int = 512, size: int = 4_000_000):
+    """Row ranges of so many rows or bytes; a longer page is one of its own."""
+    low, held = 0, 0
+    for k, n in enumerate(pc.binary_length(body).to_pylist()):
+        if k > low and (held + n > size or k - low >= rows):
+            yield low, k
+            low, held = k, 0
+        held += n
+    if low < len(body):
+        yield low, len(body)
+
+
 def extract(pages: DataFrame, key: str = "page_id", html: str = "html", keep: tuple[str, ...] = ("url",)) -> DataFrame:
     """(key, *keep, text, n_chars) of every page; text is empty for a null or empty page or one without main blocks."""
     ship(pages.sparkSession)
@@ -349,8 +403,8 @@ def extract(pages: DataFrame, key: str = "page_id", html: str = "html", keep: tu
         net = Network()
         net.p = sent.value
         for batch in batches:
-            for low in range(0, batch.num_rows, 512):
-                part = batch.slice(low, 512)
+            for low, high in _steps(batch.column(batch.num_columns - 1)):
+                part = batch.slice(low, high - low)
                 body = part.column(batch.num_columns - 1).to_pylist()
                 texts = ["\n".join(t for t, main in page if main) for page in labelled(net, body)]
                 yield pa.record_batch([*part.columns[:-1], pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], [*batch.schema.names[:-1], "text", "n_chars"])
