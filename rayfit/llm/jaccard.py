@@ -38,7 +38,7 @@ BLOCK = 256
 #: Second parts of a first part, and how many of them a subset leaves out.
 SECOND, SPARE = 3, 1
 #: Elements whose signatures a task of the buckets gets, about; more partitions are made for more.
-DEALT = 3_000_000
+DEALT = 1_000_000
 #: Classes of one component in a block, and distinct elements that one product takes.
 LINKED, TAKEN = 128, 4096
 #: Hashes that a task gathers before it passes them on.
