@@ -11,6 +11,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .tables import forget, staged
 from .taylor import Step, TaylorModel
 
 
@@ -43,11 +44,11 @@ def expand(ratings: DataFrame, u: DataFrame, v: DataFrame, lam: float = 0.0) ->
     return TaylorModel(np.array([x or 0.0 for x in row[1:]]) / max(1, row[0]) + _penalty(u, v, lam), 0.0, exact=True)
 
 
-def gradient(ratings: DataFrame, u: DataFrame, v: DataFrame, lam: float = 0.0) -> tuple[DataFrame, DataFrame]:
-    """(i, g) and (j, g): two grouped sums of residual times partner; nothing on the driver but the count."""
-    n = ratings.count()
+def gradient(ratings: DataFrame, u: DataFrame, v: DataFrame, lam: float = 0.0, n: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """(i, g) and (j, g): two grouped sums of residual times partner; nothing on the driver but the count, if it isn't given."""
+    n = n or max(1, ratings.count())
     held = joined(ratings, u, v)
-    rank = len(u.select("vec").first()[0])
+    rank = len((u.select("vec").first() or [[]])[0])
 
     def side(key, partner, own):
         sums = held.groupBy(key).agg(F.array(*(F.sum(F.col("a0") * F.col(partner)[k]) for k in range(rank))).alias("s"))
@@ -80,27 +81,34 @@ def _moved(factors: DataFrame, t: float) -> DataFrame:
     return factors.withColumn("vec", F.zip_with("vec", "dir", lambda w, d: w + F.lit(float(t)) * d))
 
 
-def fit(ratings: DataFrame, rank: int = 4, lam: float = 1e-3, max_iter: int = 10, staged=None) -> tuple[DataFrame, DataFrame, list[dict]]:
-    """Polak-Ribiere conjugate gradients with exact steps; factors are cut from their lineage by staged (default: persist)."""
-    staged = staged or (lambda df: df.persist())
+def fit(ratings: DataFrame, rank: int = 4, lam: float = 1e-3, max_iter: int = 10) -> tuple[DataFrame, DataFrame, list[dict]]:
+    """Polak-Ribiere conjugate gradients with exact steps.
+
+    Factors, directions and gradients are written to the shared folder in each iteration and read again, so that the plan
+    of an iteration is as long as that of the first one; those of earlier iterations are deleted. Without ratings the trace is empty."""
     ratings = staged(ratings)
+    n = ratings.count()
     u, v = (staged(t) for t in started(ratings, rank))
     trace, gu0, gv0, gg0 = [], None, None, 0.0
-    for k in range(max_iter):
-        gu, gv = (staged(g) for g in gradient(ratings, u, v, lam))
+    for k in range(max_iter if n else 0):
+        gu, gv = (staged(g) for g in gradient(ratings, u, v, lam, n))
         gg = sum(g.agg(F.sum(_dot("g", "g"))).first()[0] or 0.0 for g in (gu, gv))
         beta = 0.0
         if gu0 is not None:
             mixed = sum(a.join(b.withColumnRenamed("g", "h"), key).agg(F.sum(_dot("g", "h"))).first()[0] or 0.0 for a, b, key in ((gu, gu0, "i"), (gv, gv0, "j")))
             beta = max(0.0, (gg - mixed) / gg0) if abs(mixed) < 0.2 * gg else 0.0
-
-        u, v = staged(_aimed(u, gu, "i", beta)), staged(_aimed(v, gv, "j", beta))
+            forget(gu0, gv0)
+        aimed = staged(_aimed(u, gu, "i", beta)), staged(_aimed(v, gv, "j", beta))
+        forget(u, v)
+        u, v = aimed
         model = expand(ratings, u, v, lam)
         t = exact_step(model)
         trace.append({"k": k, "loss": model.c[0], "grad_norm": math.sqrt(gg), "alpha": t, "model_loss": model.value(t)})
         if t == 0.0:
             break
-        u, v = staged(_moved(u, t)), staged(_moved(v, t))
+        moved = staged(_moved(u, t)), staged(_moved(v, t))
+        forget(u, v)
+        u, v = moved
         gu0, gv0, gg0 = gu, gv, gg
     return u, v, trace
 

@@ -20,8 +20,8 @@ from .taylor import TaylorModel
 
 #: Doubles of a gradient that travel and are summed as one value.
 BLOCK = 1 << 16
-#: Above this many parameters a gradient is not gathered as whole vectors of all partitions.
-FLAT_LIMIT = 1 << 16
+#: Above so many doubles of all partitions together a gradient is not gathered as whole vectors of all partitions.
+FLAT_LIMIT = 1 << 22
 
 
 @dataclass
@@ -34,10 +34,13 @@ class Instances:
     kind: str = "narrow"
     name: str = ""
     n: int | None = None
+    parts: int = 1
 
     def count(self) -> int:
+        """Rows, and along with them the partitions that hold some; with persisted rows this fills the cache."""
         if self.n is None:
-            self.n = self.df.count()
+            row = self.df.select(F.spark_partition_id().alias("part")).agg(F.count("*"), F.max("part")).first()
+            self.n, self.parts = row[0], (row[1] or 0) + 1
         return self.n
 
     def persist(self) -> Instances:
@@ -70,6 +73,8 @@ class Op:
     seconds: float
     reduced: int
     broadcast: int
+    #: The first pass of its kind, which starts workers and compiles code.
+    warm: bool = False
 
 
 def _rows(batch, kind: str):
@@ -124,14 +129,14 @@ class Problem:
 
     def __post_init__(self):
         self.penalty = L2(self.lam, self.regularize_bias)
-        self._margins = None
+        self._margins = self._sent = None
 
     @property
     def m(self) -> int:
         return self.data.m
 
     def _timed(self, op, began, reduced, broadcast):
-        self.ops.append(Op(op, time.perf_counter() - began, reduced, broadcast))
+        self.ops.append(Op(op, time.perf_counter() - began, reduced, broadcast, all((o.op == "coeffs") != (op == "coeffs") for o in self.ops)))
 
     def _columns(self, w):
         z = F.lit(0.0)
@@ -141,7 +146,7 @@ class Problem:
 
     # -- loss and gradient -------------------------------------------------------------------------------------------------
     def value_and_gradient(self, w: np.ndarray, with_value: bool = True) -> tuple[float, np.ndarray]:
-        began, n = time.perf_counter(), self.data.count()
+        n, began = self.data.count(), time.perf_counter()
         if self.data.kind == "narrow":
             marked = self.data.df.select(*self.data.features, "y", self._columns(w).alias("z"))
             s = self.loss.slope_term(F.col("z"), F.col("y"))
@@ -183,18 +188,19 @@ class Problem:
             yield pa.record_batch([pa.array([h[0] for h in held], pa.int32()), pa.array([lane] * len(held), pa.int32()), pa.array([h[1].tobytes() for h in held], pa.binary())], ["block", "lane", "part"])
 
         blocks = self._held().mapInArrow(run, "block int, lane int, part binary")
-        how = self.reduce if self.reduce != "auto" else "flat" if m <= FLAT_LIMIT else "tree"
+        n = self.data.count()
+        how = self.reduce if self.reduce != "auto" else "flat" if m * self.data.parts <= FLAT_LIMIT else "tree"
         if how == "tree":
-            blocks = tree_sum(blocks, self.levels or 2, 64)
+            blocks = tree_sum(blocks, self.levels or 2, self.data.parts)
         grad, value = np.zeros(m), 0.0
-        for k, _, part in blocks.toLocalIterator():
+        for k, _, part in blocks.collect():  # in parallel; after a tree, one row for each block
             x = np.frombuffer(part)
             if k < 0:
                 value += float(x[0])
             else:
                 grad[k * BLOCK : k * BLOCK + len(x)] += x
         sent.destroy()
-        return value / self.data.count(), grad / self.data.count()
+        return value / n, grad / n
 
     # -- Taylor coefficients -----------------------------------------------------------------------------------------------
     def margins(self, w, p) -> DataFrame:
@@ -203,7 +209,7 @@ class Problem:
             return self.data.df.select("y", self._columns(w).alias("z"), self._columns(p).alias("q"))
         spark, kind = self.data.df.sparkSession, self.data.kind
         ship(spark)
-        sent = spark.sparkContext.broadcast((w, p))
+        sent = self._sent = spark.sparkContext.broadcast((w, p))
 
         def run(batches):
             for batch in batches:
@@ -223,10 +229,13 @@ class Problem:
         if self._margins is not None:
             self._margins.unpersist()
             self._margins = None
+            if self._sent is not None:
+                self._sent.destroy()
+                self._sent = None
 
     def coefficients(self, w, p, alpha: float, degree: int) -> TaylorModel:
         """The model of the loss at w + (alpha + t) p."""
-        began, n, r = time.perf_counter(), self.data.count(), w + alpha * p
+        n, began, r = self.data.count(), time.perf_counter(), w + alpha * p
         if self._margins is not None:
             held, sent = self._margins.select("y", (F.col("z") + F.col("q") * F.lit(float(alpha))).alias("z"), "q"), 0
         elif self.data.kind == "narrow":

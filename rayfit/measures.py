@@ -27,9 +27,15 @@ def to_gap(traces: DataFrame, gaps=(1e-3, 1e-6, 1e-10)) -> DataFrame:
 
 
 def timing(trace: DataFrame, ops: DataFrame) -> DataFrame:
-    """Mean and deviation of seconds by iteration and by kind of pass, and evaluations for each search, by run."""
-    own = trace.filter("k > 0").groupBy("run").agg(F.avg("seconds").alias("tau_tot"), F.stddev_samp("seconds").alias("tau_tot_sd"), (F.sum("n_eval") / F.count("*")).alias("n_e"))
-    fg, ls = F.col("op").isin("fg", "g"), F.col("op") == "coeffs"
+    """Mean and deviation of seconds by iteration and by kind of pass, and evaluations for each search, by run.
+
+    Passes marked warm (the first of their kind) and the iteration that holds them are left out where others follow."""
+    later = F.when(F.max("k").over(Window.partitionBy("run")) > 1, F.col("k") > 1).otherwise(F.col("k") > 0)
+    own = trace.withColumn("counts", later).groupBy("run").agg(F.avg(F.when(F.col("counts"), F.col("seconds"))).alias("tau_tot"), F.stddev_samp(F.when(F.col("counts"), F.col("seconds"))).alias("tau_tot_sd"), (F.sum("n_eval") / F.count_if(F.col("k") > 0)).alias("n_e"))
+    kind = F.when(F.col("op") == "coeffs", "ls").otherwise("fg")
+    w = Window.partitionBy("run", kind)
+    ops = ops.withColumns({"kind": kind, "few": F.count_if(~F.col("warm")).over(w) == 0}).filter("few or not warm")
+    fg, ls = F.col("kind") == "fg", F.col("kind") == "ls"
     by = ops.groupBy("run").agg(*(f(F.when(c, F.col("seconds"))).alias(n) for c, n0 in ((fg, "tau_fg"), (ls, "tau_ls")) for f, n in ((F.avg, n0), (F.stddev_samp, n0 + "_sd"))))
     return own.join(by, "run", "left")
 

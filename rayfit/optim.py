@@ -26,7 +26,7 @@ class Fit:
         return spark.createDataFrame(rows, "run string, dataset string, method string, search string, k int, loss double, grad_norm double, acc double, alpha double, n_eval int, restarts int, fallbacks int, guards int, seconds double, cum_seconds double")
 
     def ops_frame(self, spark, run: str = ""):
-        return spark.createDataFrame([(run, i, o.op, o.seconds, o.reduced, o.broadcast) for i, o in enumerate(self.ops)], "run string, i int, op string, seconds double, doubles_reduced long, doubles_broadcast long")
+        return spark.createDataFrame([(run, i, o.op, o.seconds, o.reduced, o.broadcast, o.warm) for i, o in enumerate(self.ops)], "run string, i int, op string, seconds double, doubles_reduced long, doubles_broadcast long, warm boolean")
 
 
 def unit(p: np.ndarray) -> np.ndarray:

@@ -73,7 +73,10 @@ def two_loop(basis: DataFrame, pairs: int) -> DataFrame:
 
 def fresh_path(spark, name: str) -> str:
     """A new path in the session's shared checkpoint folder; in a folder of this process only where none is set (tests in one JVM)."""
-    at = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/rayfit-{os.getpid()}"
+    at = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not at and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    at = at or f"file://{tempfile.gettempdir()}/rayfit-{os.getpid()}"
     return f"{at.rstrip('/')}/rayfit/{name}-{uuid.uuid4().hex}"
 
 
@@ -85,6 +88,17 @@ def staged(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def forget(*held: DataFrame) -> None:
+    """Deletes the files of staged tables that no later plan reads."""
+    for df in held:
+        spark = df.sparkSession
+        jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+        for folder in {f.rpartition("/")[0] for f in df.inputFiles()}:
+            if "/rayfit/state-" in folder:
+                path = jvm.org.apache.hadoop.fs.Path(folder)
+                path.getFileSystem(conf).delete(path, True)
+
+
 def minimize(exploded: DataFrame, labels: DataFrame, loss: Loss, lam: float = 0.0, max_iter: int = 20, degree: int = 5, theta: float = 1e-4, history: int = 5, grad_tol: float = 1e-10) -> tuple[DataFrame, float, list[dict]]:
     """L-BFGS with Taylor searches where weights, gradient and history are columns of one table (f, w, g, s1.., y1..).
 
@@ -123,7 +137,8 @@ def minimize(exploded: DataFrame, labels: DataFrame, loss: Loss, lam: float = 0.
         for x, c in zip(weights, basis, strict=True):
             p = p + F.lit(float(x)) * F.col(c)
         bias["p"] = float(sum(x * bias[c] for x, c in zip(weights, basis, strict=True)))
-        state = staged(state.withColumn("p", p))
+        before, state = state, staged(state.withColumn("p", p))
+        forget(before)
         rays = staged(margins(exploded, labels, state, (bias["w"], bias["p"])))
         step = taylor_line_search(lambda a: coefficients(rays, state, loss, degree, a, lam, (bias["w"], bias["p"])), 1.0, theta)  # noqa: B023
         # the pair of this step comes last; of the earlier ones the newest good history - 1 stay, in order
@@ -137,7 +152,8 @@ def minimize(exploded: DataFrame, labels: DataFrame, loss: Loss, lam: float = 0.
                 bias[f"{c}{j}"] = old[f"{c}{i + 1}"]
         cols += [(F.lit(step.alpha) * F.col("p")).alias(f"s{pairs}"), (F.col("h") - F.col("g")).alias(f"y{pairs}")]
         bias |= {f"s{pairs}": step.alpha * old["p"], f"y{pairs}": slope - old["g"]}
-        state = staged(after.select(*cols))
+        before, state = state, staged(after.select(*cols))
+        forget(before, rays)
     return state.select("f", "w"), bias["w"], trace
 
 
