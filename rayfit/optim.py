@@ -119,14 +119,13 @@ def two_loop_dots(gram: np.ndarray, pairs: int) -> np.ndarray:
     return -d
 
 
-def newton_cg(problem, w, g, steps: int = 10, eps: float = 1e-5):
-    """A truncated Newton direction: conjugate gradients on differences of gradients along each vector."""
+def newton_cg(problem, w, g, steps: int = 10):
+    """A truncated Newton direction: conjugate gradients on products with the second derivative, one pass each."""
     p, r = np.zeros_like(g), -g
     d, rr = r.copy(), r @ r
     tol = min(0.5, np.sqrt(np.linalg.norm(g))) * np.linalg.norm(g)
     for _ in range(steps):
-        h = eps / max(1e-12, np.linalg.norm(d))
-        hd = (problem.gradient(w + h * d) - g) / h
+        hd = problem.curvature_product(w, d)
         bend = d @ hd
         if bend <= 1e-16 * (d @ d):
             break
@@ -139,23 +138,34 @@ def newton_cg(problem, w, g, steps: int = 10, eps: float = 1e-5):
     return p if p.any() else -g
 
 
-def stop_rule(max_iter: int, grad_tol: float = 1e-10, rel_loss: float = 1e-15, plateau: int = 2):
-    """True once iterations run out, the gradient is small, or the loss has not moved for so many iterations."""
-    still = [0]
+def diagonal(problem, w) -> np.ndarray:
+    """The second derivative's diagonal at w by one product, with the vector of ones: exact where features do not share
+    rows, otherwise their row sums; positive for the losses here if features are nonnegative. For ncg(precondition)."""
+    d = np.abs(problem.curvature_product(w, np.ones(problem.m)))
+    return np.maximum(d, 1e-8 * max(1e-300, float(d.max())))
+
+
+def stop_rule(max_iter: int, grad_tol: float = 1e-10, rel_loss: float = 1e-15, plateau: int = 2, acc_gain: float = 0.0, acc_span: int = 5):
+    """True once iterations run out, the gradient is small, the loss has not moved for plateau iterations, or exp(-loss) has
+    gained less than acc_gain over the last acc_span iterations (never, with acc_gain 0)."""
+    still, accs = [0], []
 
     def test(k, grad_norm, before, loss):
         still[0] = still[0] + 1 if before is not None and abs(before - loss) <= rel_loss * abs(loss) else 0
-        return k >= max_iter or grad_norm <= grad_tol or still[0] >= plateau
+        accs.append(float(np.exp(-loss)))
+        flat = len(accs) > acc_span and accs[-1] - accs[-1 - acc_span] < acc_gain
+        return k >= max_iter or grad_norm <= grad_tol or still[0] >= plateau or flat
 
     return test
 
 
-def minimize(problem, method: str = "lbfgs", search: str = "taylor", w0=None, max_iter: int = 100, degree: int = 5, theta: float = 1e-4, nu1: float = wolfe.NU1, nu2: float = wolfe.NU2, history: int = 5, restart: float | None = None, normalize: bool | None = None, safeguard: bool = True, grad_tol: float = 1e-10, shrink: str = "bisect", argmin: str = "newton", precondition=None, state: dict | None = None, on_iteration=None, deadline: float | None = None) -> Fit:
+def minimize(problem, method: str = "lbfgs", search: str = "taylor", w0=None, max_iter: int = 100, degree: int = 5, theta: float = 1e-4, nu1: float = wolfe.NU1, nu2: float = wolfe.NU2, history: int = 5, restart: float | None = None, normalize: bool | None = None, safeguard: bool = True, grad_tol: float = 1e-10, shrink: str = "bisect", argmin: str = "newton", precondition=None, state: dict | None = None, on_iteration=None, deadline: float | None = None, acc_gain: float = 0.0) -> Fit:
     """Minimises problem.value_and_gradient from w0 (zeros), recording a trace row for each iterate.
 
     search: taylor, wolfe, backtracking or fixed. The recurrences see the raw direction, the searches the unit one where
     normalize is on (gd and ncg with Taylor models). safeguard: a Taylor step that fails to lower the loss is halved,
-    which costs nothing unless it happens, as the gradient pass at the new point yields the loss."""
+    which costs nothing unless it happens, as the gradient pass at the new point yields the loss. acc_gain: see stop_rule.
+    deadline: seconds after which no further iteration begins; such a fit depends on the clock."""
     w = np.zeros(problem.m) if w0 is None else np.array(w0, float)
     normalize = (method != "lbfgs" and search == "taylor") if normalize is None else normalize
     rule = {"gd": Gd, "lbfgs": lambda: Lbfgs(history), "ncg": lambda: Ncg(RESTART.get(search, 1.0) if restart is None else restart, precondition), "newton": Gd}[method]()
@@ -163,7 +173,7 @@ def minimize(problem, method: str = "lbfgs", search: str = "taylor", w0=None, ma
         w, rule = state["w"], state["rule"]
     began = time.perf_counter()
     f, g = problem.value_and_gradient(w)
-    stop = stop_rule(max_iter, grad_tol)
+    stop = stop_rule(max_iter, grad_tol, acc_gain=acc_gain)
     trace, alpha, slope_before, before, status = [], 1.0, 0.0, None, "max_iter"
     row = dict(method=method, search=search, alpha=0.0, n_eval=0, restarts=0, fallbacks=0, guards=0, seconds=0.0)
     k = 0
@@ -235,6 +245,10 @@ class ArrayProblem:
     def gradient(self, w):
         return self.value_and_gradient(w)[1]
 
+    def curvature_product(self, w, d):
+        bend = 2 * self.loss.kernel(self.x @ w, np.ones(len(self.y)), self.y, 2)[2]
+        return (bend * (self.x @ d)) @ self.x / len(self.y) + self.penalty.gradient(d)
+
     def begin_ray(self, w, p):
         pass
 
@@ -253,7 +267,15 @@ def mllib_reference(data, lam: float, max_iter: int = 100):
     from pyspark.ml.functions import array_to_vector
     from pyspark.sql import functions as F
 
-    x = F.array(*data.features) if data.kind == "narrow" else F.col("x")
-    df = data.df.select(array_to_vector(x.cast("array<double>")).alias("features"), (F.col("y") != 0).cast("double").alias("label"))
+    if data.kind == "sparse":
+        from pyspark.ml.linalg import SparseVector, VectorUDT
+
+        # Spark has no built-in function from pairs to the library's sparse vectors
+        to = F.udf(lambda i, v, m=data.m: SparseVector(m, i, v), VectorUDT())
+        features = to("idx", "val")
+    else:
+        x = F.array(*data.features) if data.kind == "narrow" else F.col("x")
+        features = array_to_vector(x.cast("array<double>"))
+    df = data.df.select(features.alias("features"), (F.col("y") != 0).cast("double").alias("label"))
     fit = LogisticRegression(regParam=lam, elasticNetParam=0.0, standardization=False, fitIntercept=False, maxIter=max_iter, tol=1e-12).fit(df)
     return fit.coefficients.toArray(), list(fit.summary.objectiveHistory)

@@ -37,22 +37,22 @@ def w2(spark, sf_dir, m=1024) -> Workload:
     return Workload(Instances(df, m + 1, kind="sparse", name="w2"), Logistic(), 1e-7, 1e-4)
 
 
-def w3(spark, sf_dir, m=1 << 20) -> Workload:
+def w3(spark, sf_dir, m=1 << 20, stable=False) -> Workload:
     """Sparse, more parameters than rows: tokens of url without its scheme, and of the page."""
     words = F.concat(F.transform(X.tokens(F.regexp_extract("url", r"://(.*)", 1)), lambda t: F.concat(F.lit("u:"), t)), X.tokens(F.regexp_replace("html", r"<[^>]*>", " ")))
-    df = X.hashed(table(spark, sf_dir, "pages"), "page_id", words, m, F.col("url").startswith("http://"))
+    df = X.hashed(table(spark, sf_dir, "pages"), "page_id", words, m, F.col("url").startswith("http://"), stable)
     return Workload(Instances(df, m + 1, kind="sparse", name="w3"), Logistic(), 1e-8, 1e-4)
 
 
-def w4(spark, sf_dir, m=1 << 20) -> Workload:
+def w4(spark, sf_dir, m=1 << 20, stable=False) -> Workload:
     """Sparse and ill-posed: words, pairs of words, source and language of the labelled documents."""
     docs = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels"), "doc_id").withColumn("w", X.tokens(F.col("text")))
     pairs = F.when(F.size("w") > 1, X.bigrams(F.col("w"))).otherwise(F.array().cast("array<string>"))
     words = F.concat("w", pairs, F.array(F.concat(F.lit("source:"), "source"), F.concat(F.lit("lang:"), "lang")))
-    return Workload(Instances(X.hashed(docs, "doc_id", words, m, F.col("quality") == 1), m + 1, kind="sparse", name="w4"), Logistic(), 1e-9, 1e-6)
+    return Workload(Instances(X.hashed(docs, "doc_id", words, m, F.col("quality") == 1, stable), m + 1, kind="sparse", name="w4"), Logistic(), 1e-9, 1e-6)
 
 
-def w5(spark, sf_dir, m=1 << 20) -> Workload:
+def w5(spark, sf_dir, m=1 << 20, stable=False) -> Workload:
     """The largest number of rows: one-hot keys and attributes of order lines, without quantity and price."""
     t = lambda name: table(spark, sf_dir, name)
     df = t("lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_quantity", "l_returnflag", "l_linestatus", "l_shipdate")
@@ -62,7 +62,7 @@ def w5(spark, sf_dir, m=1 << 20) -> Workload:
     df = df.join(t("supplier").select("s_suppkey", F.col("s_nationkey")), F.col("l_suppkey") == F.col("s_suppkey"))
     month = F.month("l_shipdate")
     parts = [("part", ["l_partkey"]), ("supp", ["l_suppkey"]), ("cust", ["o_custkey"]), ("brand", ["p_brand"]), ("type", ["p_type"]), ("flag", ["l_returnflag"]), ("status", ["l_linestatus"]), ("month", [month]), ("nation", ["c_nationkey"]), ("home", ["s_nationkey"]), ("priority", ["o_orderpriority"]), ("segment", ["c_mktsegment"]), ("brand-month", ["p_brand", month]), ("nations", ["c_nationkey", "s_nationkey"]), ("part-supp", ["l_partkey", "l_suppkey"])]
-    return Workload(Instances(X.one_hot(df, parts, m, F.col("l_quantity") > 7), m + 1, kind="sparse", name="w5"), Logistic(), 1e-9, 1e-4)
+    return Workload(Instances(X.one_hot(df, parts, m, F.col("l_quantity") > 7, stable=stable), m + 1, kind="sparse", name="w5"), Logistic(), 1e-9, 1e-4)
 
 
 def w6(spark, sf_dir) -> Workload:
