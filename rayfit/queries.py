@@ -185,10 +185,6 @@ def ls_fit_w6(spark, sf_dir):
     return _frame(spark, fit.w, ["slope", "intercept"])
 
 
-def gd_taylor_w9_3iters(spark, sf_dir):
-    return fit_query("w9", "gd", "taylor", 3)(spark, sf_dir)
-
-
 # -- fits --------------------------------------------------------------------------------------------------------------------
 def run_fit(spark, sf_dir, name, method, search, max_iter=ITERATIONS, **options):
     work = getattr(W, name)(spark, sf_dir, **({"m": 1 << 16} if name in ("w3", "w4", "w5") else {}))
@@ -198,6 +194,25 @@ def run_fit(spark, sf_dir, name, method, search, max_iter=ITERATIONS, **options)
     return fit
 
 
+#: Workloads, and the optimisers that are run on each.
+METHODS = {"w1": ("gd", "ncg", "lbfgs"), "w2": ("gd", "ncg", "lbfgs"), "w3": ("ncg", "lbfgs"), "w4": ("ncg", "lbfgs"), "w5": ("ncg", "lbfgs"), "w9": ("gd", "ncg", "lbfgs")}
+#: Penalty and tolerance of each, as in workloads.
+SETTINGS = {"w1": (1e-8, 1e-6), "w2": (1e-7, 1e-4), "w3": (1e-8, 1e-4), "w4": (1e-9, 1e-6), "w5": (1e-9, 1e-4), "w9": (1e-3, 1e-6)}
+
+
+def first_iterates(name, method, search, iterations=3, **options):
+    """The first iterates of a fit, to be told apart from SQL by nothing: loss, gradient norm, step and evaluations."""
+
+    def query(spark, sf_dir):
+        work = getattr(W, name)(spark, sf_dir, **({"stable": True} if name in ("w3", "w4", "w5") else {}))
+        work.data.persist()
+        fit = minimize(Problem(work.data, work.loss, work.lam), method, search, max_iter=iterations, theta=work.theta, **options)
+        work.data.df.unpersist()
+        return fit.trace_frame(spark).select("k", _r(F.col("loss"), 7).alias("loss"), _r(F.col("grad_norm")).alias("grad_norm"), _r(F.col("alpha"), 4).alias("alpha"), "n_eval")
+
+    return query
+
+
 def fit_query(name, method, search, max_iter=ITERATIONS, **options):
     def query(spark, sf_dir):
         fit = run_fit(spark, sf_dir, name, method, search, max_iter, **options)
@@ -493,7 +508,7 @@ def penalty_path_w9(spark, sf_dir):
 
 
 def queries() -> dict:
-    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, gd_taylor_w9_3iters, mf_fit_w7a, degree_ablation_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_w9, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9, lbfgs_table_w9, libsvm_roundtrip, session_loss_events, running_coeffs_events, dedup_events, interval_join_events, step_accuracy_w9, speedup_w4, event_counts_w1, penalty_path_w9]
+    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, mf_fit_w7a, degree_ablation_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_w9, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9, lbfgs_table_w9, libsvm_roundtrip, session_loss_events, running_coeffs_events, dedup_events, interval_join_events, step_accuracy_w9, speedup_w4, event_counts_w1, penalty_path_w9]
     out = {f.__name__: f for f in own}
     for name in ("w1", "w9"):
         for method in ("gd", "ncg", "lbfgs"):
@@ -503,6 +518,12 @@ def queries() -> dict:
         for method in ("gd", "ncg", "lbfgs") if name == "w2" else ("ncg", "lbfgs"):
             for search in ("taylor", "wolfe"):
                 out[f"{method}_{search}_{name}"] = fit_query(name, method, search, 5)
+    for name, methods in METHODS.items():
+        for method in methods:
+            for search in ("taylor", "wolfe"):
+                out[f"{method}_{search}_{name}_3iters"] = first_iterates(name, method, search)
+    for degree in (2, 3, 4):
+        out[f"lbfgs_taylor_w9_d{degree}_3iters"] = first_iterates("w9", "lbfgs", "taylor", degree=degree)
     out["newton_taylor_w9"] = fit_query("w9", "newton", "taylor", 5)
     out["lbfgs_backtracking_w9"] = fit_query("w9", "lbfgs", "backtracking", 10)
     out["lbfgs_cached_w1"] = fit_query("w1", "lbfgs", "taylor", 8, cached=True)
@@ -534,7 +555,11 @@ def oracle_sql() -> dict:
     ev = f"WITH m AS (SELECT *, ln(1 + value) / 10 AS z, ln(1 + value) AS q, CASE WHEN event_type = 'purchase' THEN 1 ELSE 0 END AS y FROM events), t AS (SELECT *, 1 / (1 + exp(-z)) AS s FROM m), e AS (SELECT ts, user_id, {TERMS} FROM t)"
     grid = "(VALUES (0.5), (1.0), (2.0), (4.0), (8.0)) AS g(a)"
     at = "SELECT CAST(a AS DOUBLE) AS a, avg(ln(1 + exp(-abs(z + a * q))) + greatest(-(z + a * q), 0) + CASE WHEN y = 0 THEN z + a * q ELSE 0 END) AS phi, avg(q * (1 / (1 + exp(-(z + a * q))) - y)) AS dphi"
-    return {
+    from . import oracles
+
+    fits = {f"{me}_{se}_{w}_3iters": oracles.trace(w, me, se, *SETTINGS[w]) for w, methods in METHODS.items() for me in methods for se in ("taylor", "wolfe")}
+    fits |= {f"lbfgs_taylor_w9_d{d}_3iters": oracles.trace("w9", "lbfgs", "taylor", *SETTINGS["w9"], degree=d) for d in (2, 3, 4)}
+    return fits | {
         "loss_logit_w1": f"{e1}, b AS (SELECT {TERMS} FROM t) SELECT count(*) AS n, round(avg(b0), 6) + 0.0 AS loss FROM b",
         "coeffs_logit_w1_d5": f"{e1}, b AS (SELECT {TERMS} FROM t) SELECT {MEANS} FROM b",
         "grad_logit_w9": f"{PLANTED}, m AS (SELECT *, {ZQ9} FROM d), t AS (SELECT *, 1 / (1 + exp(-z)) AS s FROM m) SELECT round(avg(ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN y = 0 THEN z ELSE 0 END) + {5e-4 * sum(x * x for x in Z9)}, 6) + 0.0 AS loss, {g9} FROM t",
