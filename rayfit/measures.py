@@ -113,3 +113,16 @@ def summary(data) -> DataFrame:
     """Rows, parameters, nonzeros by row, positive and negative labels."""
     size = {"narrow": F.lit(data.m), "dense": F.size("x") if data.kind == "dense" else None, "sparse": F.size("idx") if data.kind == "sparse" else None}[data.kind]
     return data.df.agg(F.lit(data.name).alias("dataset"), F.count("*").alias("n"), F.lit(data.m).cast("long").alias("m"), F.avg(size).alias("nnz"), F.stddev_pop(size).alias("nnz_sd"), F.count_if(F.col("y") != 0).alias("positive"), F.count_if(F.col("y") == 0).alias("negative"))
+
+
+def normal_equations(data) -> "np.ndarray":
+    """Least squares weights of narrow rows from one pass of m (m + 3) / 2 sums."""
+    import numpy as np
+
+    x = data.features
+    pairs = [(i, j) for i in range(len(x)) for j in range(i, len(x))]
+    row = data.df.agg(*(F.sum(F.col(x[i]) * F.col(x[j])) for i, j in pairs), *(F.sum(F.col(c) * F.col("y")) for c in x)).first()
+    a = np.zeros((len(x), len(x)))
+    for (i, j), v in zip(pairs, row, strict=False):
+        a[i, j] = a[j, i] = v or 0.0
+    return np.linalg.lstsq(a, np.array([v or 0.0 for v in row[len(pairs) :]]), rcond=None)[0]

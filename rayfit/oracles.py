@@ -163,3 +163,24 @@ FROM (SELECT *, f <= f0 + 1e-4 * a * d0 AS down, abs(d) <= 0.9 * abs(d0) AS flat
 
 def trace(name: str, method: str, search: str, lam: float, theta: float, iterations: int = 3, m: int | None = None, **options) -> str:
     return Unrolled(features(name, m), lam, theta, method, search, iterations, **options).text
+
+
+def solve(features: list[str], target: str, base: str, source: str) -> str:
+    """Least squares weights from the normal equations by elimination, one table for each pivot."""
+    m = len(features)
+    cols = [*features, target]
+    text = f"{base}, n0 AS (SELECT {', '.join(f'avg({a} * {b}) AS a{i}_{j}' for i, a in enumerate(features) for j, b in enumerate(cols))} FROM {source})"
+    for k in range(m):
+        cell = lambda i, j, k=k: f"a{k}_{j} / a{k}_{k}" if i == k else f"a{i}_{j} - a{i}_{k} * a{k}_{j} / a{k}_{k}"
+        text += f", n{k + 1} AS (SELECT {', '.join(f'{cell(i, j)} AS a{i}_{j}' for i in range(m) for j in range(m + 1))} FROM n{k})"
+    return f"{text} SELECT {', '.join(f'round(a{i}_{m}, 6) + 0.0 AS w{i + 1}' for i in range(m))} FROM n{m}"
+
+
+def bracket(firsts: list[float], evaluations: int = 16) -> str:
+    """Wolfe searches on the worked function from several first steps, with a curvature constant of 0.1."""
+    phi, slope = "a * exp(a) + exp(4 - a)", "(1 + a) * exp(a) - exp(4 - a)"
+    step = bracketed("(SELECT *, {0} AS f, {1} AS d FROM x{{0}})".format(phi, slope), "first, f0, d0").replace("0.9 * abs(d0)", "0.1 * abs(d0)")
+    text = f"WITH x0 AS (SELECT first, first AS a, 0::DOUBLE AS la, exp(4::DOUBLE) AS lf, 1 - exp(4::DOUBLE) AS ld, NULL::DOUBLE AS ha, NULL::DOUBLE AS hf, NULL::DOUBLE AS hd, 0 AS n_eval, false AS done, NULL::DOUBLE AS best, NULL::DOUBLE AS bf, exp(4::DOUBLE) AS f0, 1 - exp(4::DOUBLE) AS d0 FROM (VALUES {', '.join(f'({a}::DOUBLE)' for a in firsts)}) AS v(first))"
+    for j in range(evaluations):
+        text += f", x{j + 1} AS MATERIALIZED ({step.replace('x{0}', f'x{j}')})"
+    return f"{text} SELECT first, round(best, 6) + 0.0 AS alpha, n_eval FROM x{evaluations}"

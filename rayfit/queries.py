@@ -8,11 +8,11 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import factorization, measures, modeling, sources, sqlfuncs, streaming, tables, taylor, wolfe
+from . import experiments, factorization, measures, modeling, sources, sqlfuncs, streaming, tables, taylor, wolfe
 from . import features as X
 from . import workloads as W
-from .instances import Problem, tree_sum
-from .losses import LeastSquares, Logistic
+from .instances import Instances, Problem
+from .losses import L2, Logistic
 from .optim import minimize
 
 Z9, Q9 = [0.1, -0.2, 0.3, -0.1, 0.05], [0.5, -0.5, 0.1, 0.2, 0.1]
@@ -54,13 +54,14 @@ def _w1_margins(spark, sf_dir) -> DataFrame:
 
 
 def loss_logit_w1(spark, sf_dir):
-    held = _w1_margins(spark, sf_dir)
-    return held.agg(F.count("*").alias("n"), _r(F.avg(Logistic().value_term(F.col("z"), F.col("y")))).alias("loss"))
+    data = W.w1(spark, sf_dir).data
+    value = Problem(data, Logistic()).value(np.r_[np.sin(np.arange(64)) / 10, 0.1])
+    return _frame(spark, [value], ["loss"]).withColumn("n", F.lit(data.count()))
 
 
 def coeffs_logit_w1_d5(spark, sf_dir):
-    terms = Logistic().taylor_terms(F.col("z"), F.col("q"), F.col("y"), 5)
-    return _w1_margins(spark, sf_dir).agg(*(_r(F.avg(t)).alias(f"c{k}") for k, t in enumerate(terms)))
+    w, p = np.r_[np.sin(np.arange(64)) / 10, 0.1], np.r_[np.cos(np.arange(64)) / 10, 0.0]
+    return _frame(spark, Problem(W.w1(spark, sf_dir).data, Logistic()).coefficients(w, p, 0.0, 5).c, [f"c{k}" for k in range(6)])
 
 
 def grad_logit_w9(spark, sf_dir):
@@ -109,9 +110,10 @@ def coeffs_arrow_w9_d5(spark, sf_dir):
 
 
 def l2_terms(spark, sf_dir):
-    p = W.table(spark, sf_dir, "part").select((F.col("p_size") / 50).alias("w"), (F.col("p_retailprice") / 2000).alias("p"))
-    r = F.col("w") + 0.5 * F.col("p")
-    return p.agg(_r(F.avg(r * r) / 2).alias("c0"), _r(F.avg(r * F.col("p"))).alias("c1"), _r(F.avg(F.col("p") * F.col("p")) / 2).alias("c2"))
+    """The penalty's polynomial at step 0.5 of a ray through the parts' sizes and prices."""
+    rows = W.table(spark, sf_dir, "part").orderBy("p_partkey").select((F.col("p_size") / 50).alias("w"), (F.col("p_retailprice") / 2000).alias("p")).toArrow()
+    w, p = rows["w"].to_numpy(), rows["p"].to_numpy()
+    return _frame(spark, L2(1.0).terms(w + 0.5 * p, p, 3) / len(w), ["c0", "c1", "c2", "c3"])
 
 
 def horner_grid(spark, sf_dir):
@@ -177,17 +179,21 @@ def ls_exact_step_w6(spark, sf_dir):
 
 
 def ls_fit_w6(spark, sf_dir):
-    """A fit of price on quantity alone with a constant, to be told apart from closed-form regression by nothing."""
-    from .instances import Instances
+    """Least squares of the price on six columns by L-BFGS with exact steps."""
+    w = W.w6(spark, sf_dir)
+    fit = minimize(Problem(w.data.persist(), w.loss), "lbfgs", "taylor", degree=2, max_iter=40)
+    w.data.df.unpersist()
+    return _frame(spark, fit.w, [f"w{i + 1}" for i in range(6)])
+
 
-    df = W.table(spark, sf_dir, "lineitem").select(((F.col("l_quantity") - 25.5) / 14.43).alias("x1"), F.lit(1.0).alias("x2"), (F.col("l_extendedprice") / 1e5).alias("y"))
-    fit = minimize(Problem(Instances(df, 2, ["x1", "x2"]).persist(), LeastSquares()), "lbfgs", "taylor", degree=2, max_iter=20)
-    return _frame(spark, fit.w, ["slope", "intercept"])
+def normal_equations_w6(spark, sf_dir):
+    """The same weights from one pass of products, solved on the driver."""
+    return _frame(spark, measures.normal_equations(W.w6(spark, sf_dir).data), [f"w{i + 1}" for i in range(6)])
 
 
 # -- fits --------------------------------------------------------------------------------------------------------------------
 def run_fit(spark, sf_dir, name, method, search, max_iter=ITERATIONS, **options):
-    work = getattr(W, name)(spark, sf_dir, **({"m": 1 << 16} if name in ("w3", "w4", "w5") else {}))
+    work = getattr(W, name)(spark, sf_dir)
     work.data.persist()
     fit = minimize(Problem(work.data, work.loss, work.lam, cached=options.pop("cached", False)), method, search, max_iter=max_iter, theta=options.pop("theta", work.theta), degree=options.pop("degree", work.degree), **options)
     work.data.df.unpersist()
@@ -200,13 +206,13 @@ METHODS = {"w1": ("gd", "ncg", "lbfgs"), "w2": ("gd", "ncg", "lbfgs"), "w3": ("n
 SETTINGS = {"w1": (1e-8, 1e-6), "w2": (1e-7, 1e-4), "w3": (1e-8, 1e-4), "w4": (1e-9, 1e-6), "w5": (1e-9, 1e-4), "w9": (1e-3, 1e-6)}
 
 
-def first_iterates(name, method, search, iterations=3, **options):
+def first_iterates(name, method, search, iterations=3, cached=False, **options):
     """The first iterates of a fit, to be told apart from SQL by nothing: loss, gradient norm, step and evaluations."""
 
     def query(spark, sf_dir):
         work = getattr(W, name)(spark, sf_dir, **({"stable": True} if name in ("w3", "w4", "w5") else {}))
         work.data.persist()
-        fit = minimize(Problem(work.data, work.loss, work.lam), method, search, max_iter=iterations, theta=work.theta, **options)
+        fit = minimize(Problem(work.data, work.loss, work.lam, cached=cached), method, search, max_iter=iterations, theta=work.theta, **options)
         work.data.df.unpersist()
         return fit.trace_frame(spark).select("k", _r(F.col("loss"), 7).alias("loss"), _r(F.col("grad_norm")).alias("grad_norm"), _r(F.col("alpha"), 4).alias("alpha"), "n_eval")
 
@@ -221,17 +227,16 @@ def fit_query(name, method, search, max_iter=ITERATIONS, **options):
     return query
 
 
-def mf_fit_w7a(spark, sf_dir):
-    _, _, trace = factorization.fit(W.w7a(spark, sf_dir), 2, max_iter=4)
-    return spark.createDataFrame([(t["k"], t["loss"], t["grad_norm"], t["alpha"], t["model_loss"]) for t in trace], "k int, loss double, grad_norm double, alpha double, model_loss double")
+def _mf_fit(ratings, rank, max_iter):
+    def query(spark, sf_dir):
+        _, _, trace = factorization.fit(ratings(spark, sf_dir), rank, max_iter=max_iter)
+        return spark.createDataFrame([(t["k"], t["loss"], t["grad_norm"], t["alpha"], t["model_loss"]) for t in trace], "k int, loss double, grad_norm double, alpha double, model_loss double")
+
+    return query
 
 
-def degree_ablation_w9(spark, sf_dir):
-    """Iterations and evaluations to a gap of 1e-10, by degree."""
-    fits = {d: run_fit(spark, sf_dir, "w9", "lbfgs", "taylor", 12, degree=d) for d in (2, 3, 5, 7)}
-    best = min(f.trace[-1]["loss"] for f in fits.values())
-    rows = [(d, next((t["k"] for t in f.trace if t["loss"] - best <= 1e-10), -1), sum(t["n_eval"] for t in f.trace) / max(1, len(f.trace) - 1)) for d, f in fits.items()]
-    return spark.createDataFrame(rows, "degree int, k int, n_e double")
+def ablations_w9(spark, sf_dir):
+    return experiments.ablations(spark, sf_dir)
 
 
 def minibatch_w15(spark, sf_dir):
@@ -300,61 +305,59 @@ def comm_cost(spark, sf_dir):
     return measures.communication(ops, 8)
 
 
-def timing_w9(spark, sf_dir):
-    """Evaluations for each search, and counts of passes, of both searches on the planted workload."""
-    out = []
-    for search in ("taylor", "wolfe"):
-        f = run_fit(spark, sf_dir, "w9", "lbfgs", search, 6)
-        out.append(measures.timing(f.trace_frame(spark, search, "w9"), f.ops_frame(spark, search)).select("run", "n_e", F.col("tau_ls").isNotNull().alias("has_ls")))
-    return out[0].unionByName(out[1])
+def timing_measured(spark, sf_dir):
+    """The timing table from own runs."""
+    return experiments.timing(spark, sf_dir, ("w1", "w2", "w3", "w4", "w5"))
 
 
-def tree_vs_flat(spark, sf_dir):
-    """Sums of blocks by one level and by three are the same."""
-    import pandas as pd
+def cost_by_m_w3(spark, sf_dir):
+    return experiments.cost_by_m(spark, sf_dir)
+
+
+def library_w2(spark, sf_dir):
+    return experiments.library(spark, sf_dir)
+
 
-    t = W.table(spark, sf_dir, "lineitem").select((F.col("l_partkey") % 4).cast("int").alias("block"), (F.col("l_orderkey") % 64).cast("int").alias("lane"), "l_quantity")
+def preconditioned_w9(spark, sf_dir):
+    return experiments.preconditioned(spark, sf_dir)
 
-    def pack(pdf: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"block": pdf["block"][:1], "lane": pdf["lane"][:1], "part": [np.array([pdf["l_quantity"].sum(), len(pdf)], float).tobytes()]})
 
-    rows = t.groupBy("block", "lane").applyInPandas(pack, "block int, lane int, part binary")
-    out = None
-    for levels in (1, 3):
-        sums = {r[0]: np.frombuffer(r[2]) for r in tree_sum(rows, levels, 64).collect()}
-        own = spark.createDataFrame([(b, float(x[0]), float(x[1])) for b, x in sums.items()], f"block int, q{levels} double, n{levels} double")
-        out = own if out is None else out.join(own, "block")
-    return out.select("block", "q1", "q3", "n1", "n3")
+def wolfe_bracket(spark, sf_dir):
+    """Searches on the worked function from steps that are too short, fine and too long, into the bracket."""
+    f, out = taylor.worked_example, []
+    for a0 in (0.01, 0.1, 1.0, 1.9, 3.0, 8.0):
+        s = wolfe.line_search(lambda a: (f(a, 0), f(a, 1), None), f(0.0, 0), f(0.0, 1), a0, nu2=0.1)
+        out.append((a0, s.alpha, s.n_eval))
+    return spark.createDataFrame(out, "first double, alpha double, n_eval int").select("first", _r(F.col("alpha")).alias("alpha"), "n_eval")
+
+
+def tree_vs_flat(spark, sf_dir):
+    """The gradient of the largest sparse text by one level and by several: loss and norm."""
+    return experiments.reductions(spark, sf_dir).select("reduce", _r(F.col("loss"), 8).alias("loss"), _r(F.col("grad_norm"), 8).alias("grad_norm"))
 
 
 # -- features, reports, model use ----------------------------------------------------------------------------------------------
 def hash_features_w2(spark, sf_dir):
-    """Counts of hashed words of all documents by bucket."""
-    t = W.table(spark, sf_dir, "documents").select("doc_id", F.explode(F.filter(F.split(F.translate("text", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), "[^a-z0-9]+"), lambda x: x != "")).alias("t"))
-    return t.groupBy(X.bucket(F.col("t"), 64).cast("long").alias("bucket")).agg(F.count("*").alias("n"), F.countDistinct("t").alias("words"))
+    """Rows and sums of values by feature of the hashed text."""
+    return X.exploded(W.w2(spark, sf_dir).data.df).groupBy("f").agg(F.count("*").alias("n"), _r(F.sum("v")).alias("total"))
 
 
 def onehot_w5(spark, sf_dir):
-    """Rows and labels by brand and order status: the attributes that the one-hot workload codes."""
-    d = W.table(spark, sf_dir, "lineitem").join(W.table(spark, sf_dir, "part"), F.col("l_partkey") == F.col("p_partkey"))
-    return d.groupBy(F.col("p_brand").alias("brand"), F.col("l_returnflag").alias("flag")).agg(F.count("*").alias("n"), F.count_if(F.col("l_quantity") > 7).alias("positive"))
+    """Rows and positive labels by feature of the one-hot order lines."""
+    rows = W.w5(spark, sf_dir, stable=True).data.df.select("y", F.explode("idx").alias("i"))
+    return rows.groupBy(F.col("i").cast("long").alias("f")).agg(F.count("*").alias("n"), F.sum("y").alias("positive"))
 
 
 def label_ratio(spark, sf_dir):
-    rows = [("w1", "embeddings", F.col("label") < 5), ("w2", "documents", F.col("lang") == "en"), ("w3", "pages", F.col("url").startswith("http://")), ("w4", "labels", F.col("quality") == 1), ("w5", "lineitem", F.col("l_quantity") > 7), ("w15", "events", F.col("event_type") == "purchase")]
-    out = None
-    for name, t, y in rows:
-        own = W.table(spark, sf_dir, t).agg(F.lit(name).alias("workload"), F.count_if(y).alias("positive"), F.count_if(~y).alias("negative"))
-        out = own if out is None else out.unionByName(own)
-    return out
+    """Positive and negative labels of the classification workloads."""
+    works = [(n, getattr(W, n)(spark, sf_dir)) for n in ("w1", "w2", "w3", "w4", "w5", "w9")] + [("w15", W.w15(W.table(spark, sf_dir, "events")))]
+    return experiments.union([measures.summary(w.data).select(F.lit(n).alias("workload"), "positive", "negative") for n, w in works])
 
 
 def dataset_summary(spark, sf_dir):
-    out = None
-    for work in (W.w1(spark, sf_dir), W.w2(spark, sf_dir), W.w3(spark, sf_dir), W.w4(spark, sf_dir), W.w5(spark, sf_dir), W.w9(spark, sf_dir)):
-        own = measures.summary(work.data)
-        out = own if out is None else out.unionByName(own)
-    return out
+    works = [W.w1(spark, sf_dir), W.w2(spark, sf_dir), *(f(spark, sf_dir, stable=True) for f in (W.w3, W.w4, W.w5)), W.w9(spark, sf_dir)]
+    out = experiments.union([measures.summary(w.data) for w in works])
+    return out.select("dataset", "n", "m", _r(F.col("nnz"), 4).alias("nnz"), _r(F.col("nnz_sd"), 4).alias("nnz_sd"), "positive", "negative")
 
 
 def _scored9(spark, sf_dir):
@@ -373,12 +376,11 @@ def auc_w9(spark, sf_dir):
 
 def ovr_coeffs_w1(spark, sf_dir):
     """Slopes and bends of ten one-against-rest losses in one pass."""
-    held = _w1_margins(spark, sf_dir)
-    cols = []
-    for c in range(10):
-        y = (F.col("label") == c).cast("double")
-        cols += [_r(F.avg(t)).alias(f"c{k}_{c}") for k, t in enumerate(Logistic().taylor_terms(F.col("z"), F.col("q"), y, 2)) if k < 2]
-    return held.agg(*cols)
+    x = W.table(spark, sf_dir, "embeddings").select("label", *(F.col("embedding")[i].cast("double").alias(f"x{i}") for i in range(64)), F.lit(1.0).alias("x64"))
+    narrow = Instances(x, 65, [f"x{i}" for i in range(65)])
+    w, p = np.r_[np.sin(np.arange(64)) / 10, 0.1], np.r_[np.cos(np.arange(64)) / 10, 0.0]
+    out = modeling.batched_coefficients(narrow, [((F.col("label") == c).cast("double"), w, p) for c in range(10)], 2)
+    return _frame(spark, out[:, :2].ravel(), [f"c{k}_{c}" for c in range(10) for k in range(2)])
 
 
 def group_coeffs_nation(spark, sf_dir):
@@ -420,11 +422,12 @@ def sql_terms_w9(spark, sf_dir):
 
 # -- parameter tables, streams in batch form, text instances, measures of real runs -----------------------------------------------
 def lbfgs_table_w9(spark, sf_dir):
-    """The trace of L-BFGS with every vector in a table, on the planted workload."""
+    """The first iterates of L-BFGS with every vector in a table, on the planted workload."""
     d = tables.staged(W.planted(spark, sf_dir).withColumn("row_id", F.monotonically_increasing_id()))
     ex = d.select("row_id", F.posexplode(F.array("x1", "x2", "x3", "x4")).alias("f", "v")).withColumn("f", F.col("f").cast("long"))
-    _, _, trace = tables.minimize(ex, d.select("row_id", "y"), Logistic(), 1e-3, max_iter=2, theta=1e-6)
-    return spark.createDataFrame([(t["k"], t["loss"], t["grad_norm"], t["alpha"], t["n_eval"]) for t in trace], "k int, loss double, grad_norm double, alpha double, n_eval int")
+    _, _, trace = tables.minimize(ex, d.select("row_id", "y"), Logistic(), 1e-3, max_iter=3, theta=1e-6)
+    out = spark.createDataFrame([(t["k"], t["loss"], t["grad_norm"], t["alpha"], t["n_eval"]) for t in trace], "k int, loss double, grad_norm double, alpha double, n_eval int")
+    return out.select("k", _r(F.col("loss"), 7).alias("loss"), _r(F.col("grad_norm")).alias("grad_norm"), _r(F.col("alpha"), 4).alias("alpha"), "n_eval")
 
 
 def libsvm_roundtrip(spark, sf_dir):
@@ -487,12 +490,6 @@ def step_accuracy_w9(spark, sf_dir):
     return spark.createDataFrame(rows, "search string, alpha double, distance double, slope_left double")
 
 
-def speedup_w4(spark, sf_dir):
-    """Ratios of iterations at equal accuracy of both searches, from their own traces, on the ill-posed text."""
-    t = {s: run_fit(spark, sf_dir, "w4", "lbfgs", s, 8).trace_frame(spark, s, "w4") for s in ("wolfe", "taylor")}
-    return measures.speedup(t["wolfe"], t["taylor"]).select("acc", "k_w", "k_t", "iter_ratio")
-
-
 def event_counts_w1(spark, sf_dir):
     """Restarts, fallback steps and guards of both searches."""
     fits = [run_fit(spark, sf_dir, "w1", "ncg", s, 8).trace_frame(spark, s, "w1") for s in ("taylor", "wolfe")]
@@ -508,16 +505,13 @@ def penalty_path_w9(spark, sf_dir):
 
 
 def queries() -> dict:
-    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, mf_fit_w7a, degree_ablation_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_w9, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9, lbfgs_table_w9, libsvm_roundtrip, session_loss_events, running_coeffs_events, dedup_events, interval_join_events, step_accuracy_w9, speedup_w4, event_counts_w1, penalty_path_w9]
+    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, normal_equations_w6, ablations_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_measured, cost_by_m_w3, library_w2, preconditioned_w9, wolfe_bracket, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9, lbfgs_table_w9, libsvm_roundtrip, session_loss_events, running_coeffs_events, dedup_events, interval_join_events, step_accuracy_w9, event_counts_w1, penalty_path_w9]
     out = {f.__name__: f for f in own}
-    for name in ("w1", "w9"):
-        for method in ("gd", "ncg", "lbfgs"):
-            for search in ("taylor", "wolfe"):
-                out[f"{method}_{search}_{name}"] = fit_query(name, method, search, 12)
-    for name in ("w2", "w3", "w4", "w5"):
-        for method in ("gd", "ncg", "lbfgs") if name == "w2" else ("ncg", "lbfgs"):
-            for search in ("taylor", "wolfe"):
-                out[f"{method}_{search}_{name}"] = fit_query(name, method, search, 5)
+    for name, methods in METHODS.items():
+        out[f"traces_{name}"] = lambda spark, sf_dir, name=name, methods=methods: experiments.traces(spark, sf_dir, name, methods)
+    for name in experiments.LARGE:
+        out[f"speedup_{name}"] = lambda spark, sf_dir, name=name: experiments.speedup(spark, sf_dir, name)
+    out |= {"mf_fit_w7a": _mf_fit(W.w7a, 4, 6), "mf_fit_w7b": _mf_fit(W.w7b, 8, 4)}
     for name, methods in METHODS.items():
         for method in methods:
             for search in ("taylor", "wolfe"):
@@ -525,8 +519,8 @@ def queries() -> dict:
     for degree in (2, 3, 4):
         out[f"lbfgs_taylor_w9_d{degree}_3iters"] = first_iterates("w9", "lbfgs", "taylor", degree=degree)
     out["newton_taylor_w9"] = fit_query("w9", "newton", "taylor", 5)
-    out["lbfgs_backtracking_w9"] = fit_query("w9", "lbfgs", "backtracking", 10)
-    out["lbfgs_cached_w1"] = fit_query("w1", "lbfgs", "taylor", 8, cached=True)
+    out["lbfgs_backtracking_w9_3iters"] = first_iterates("w9", "lbfgs", "backtracking")
+    out["lbfgs_cached_w1_3iters"] = first_iterates("w1", "lbfgs", "taylor", cached=True)
     return out
 
 
@@ -559,7 +553,19 @@ def oracle_sql() -> dict:
 
     fits = {f"{me}_{se}_{w}_3iters": oracles.trace(w, me, se, *SETTINGS[w]) for w, methods in METHODS.items() for me in methods for se in ("taylor", "wolfe")}
     fits |= {f"lbfgs_taylor_w9_d{d}_3iters": oracles.trace("w9", "lbfgs", "taylor", *SETTINGS["w9"], degree=d) for d in (2, 3, 4)}
+    fits |= {"lbfgs_table_w9": fits["lbfgs_taylor_w9_3iters"], "lbfgs_cached_w1_3iters": fits["lbfgs_taylor_w1_3iters"], "lbfgs_backtracking_w9_3iters": fits["lbfgs_wolfe_w9_3iters"]}
+    solved = oracles.solve([f"x{i}" for i in range(1, 7)], "y", f"{six}, six AS (SELECT *, 1::DOUBLE AS x6 FROM d)", "six")
+    shapes = {n: f"WITH {oracles.features(n)}, c AS (SELECT row_id, count(*) AS c FROM ex GROUP BY 1)" for n in METHODS}
+    sizes = {"w1": 65, "w2": 1025, "w9": 5} | {n: (1 << 20) + 1 for n in experiments.LARGE}
     return fits | {
+        "ls_fit_w6": solved,
+        "normal_equations_w6": solved,
+        "wolfe_bracket": oracles.bracket([0.01, 0.1, 1.0, 1.9, 3.0, 8.0]),
+        "hash_features_w2": f"WITH {oracles.features('w2')} SELECT f, count(*) AS n, round(sum(v), 6) + 0.0 AS total FROM ex GROUP BY f",
+        "onehot_w5": f"WITH {oracles.features('w5')} SELECT f, count(*) AS n, sum(y)::DOUBLE AS positive FROM ex JOIN yy USING (row_id) GROUP BY f",
+        "label_ratio": " UNION ALL ".join([f"SELECT '{n}' AS workload, * FROM (WITH {oracles.features(n)} SELECT count(*) FILTER (y = 1) AS positive, count(*) FILTER (y = 0) AS negative FROM yy)" for n in METHODS] + ["SELECT 'w15', count(*) FILTER (event_type = 'purchase'), count(*) FILTER (event_type <> 'purchase') FROM events"]),
+        "dataset_summary": " UNION ALL ".join(f"SELECT '{n}' AS dataset, * FROM ({q} SELECT count(*) AS n, {sizes[n]}::BIGINT AS m, round(avg(c), 4) + 0.0 AS nnz, round(stddev_pop(c), 4) + 0.0 AS nnz_sd, count(*) FILTER (y = 1) AS positive, count(*) FILTER (y = 0) AS negative FROM c JOIN yy USING (row_id))" for n, q in shapes.items()),
+        "tree_vs_flat": f"WITH {oracles.features('w3')}, z AS (SELECT row_id, y, sum(v * 0.01 * sin(f)) AS z FROM ex JOIN yy USING (row_id) GROUP BY 1, 2), g AS (SELECT f, sum(v * (1 / (1 + exp(-z)) - y)) / (SELECT count(*) FROM yy) AS g FROM ex JOIN z USING (row_id) GROUP BY f) SELECT reduce, round((SELECT avg({oracles.SOFT.format(z='z')}) FROM z), 8) + 0.0 AS loss, round((SELECT sqrt(sum(g * g)) FROM g), 8) + 0.0 AS grad_norm FROM (VALUES ('flat'), ('tree1'), ('tree2'), ('tree4')) AS r(reduce)",
         "loss_logit_w1": f"{e1}, b AS (SELECT {TERMS} FROM t) SELECT count(*) AS n, round(avg(b0), 6) + 0.0 AS loss FROM b",
         "coeffs_logit_w1_d5": f"{e1}, b AS (SELECT {TERMS} FROM t) SELECT {MEANS} FROM b",
         "grad_logit_w9": f"{PLANTED}, m AS (SELECT *, {ZQ9} FROM d), t AS (SELECT *, 1 / (1 + exp(-z)) AS s FROM m) SELECT round(avg(ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN y = 0 THEN z ELSE 0 END) + {5e-4 * sum(x * x for x in Z9)}, 6) + 0.0 AS loss, {g9} FROM t",
@@ -570,7 +576,7 @@ def oracle_sql() -> dict:
         "coeffs_ls_w6_d2": f"{six}, m AS (SELECT {z6} AS z, x1 - x2 + 0.5 * x3 + 0.2 * x4 + 0.3 * x5 + 0.4 AS q, y FROM d) SELECT round(avg((z - y) * (z - y) / 2), 6) + 0.0 AS c0, round(avg((z - y) * q), 6) + 0.0 AS c1, round(avg(q * q / 2), 6) + 0.0 AS c2 FROM m",
         "coeffs_mf_w7a_d4": _mf_sql("SELECT user_id AS i, CAST(json_extract_string(props, '$.k') AS BIGINT) AS j, avg(value / 100) AS value FROM events GROUP BY 1, 2"),
         "coeffs_mf_w7b_d4": _mf_sql("SELECT o_custkey AS i, l_partkey AS j, sum(l_quantity) / 50 AS value FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2"),
-        "l2_terms": "WITH p AS (SELECT p_size / 50 + 0.5 * p_retailprice / 2000 AS r, p_retailprice / 2000 AS p FROM part) SELECT round(avg(r * r) / 2, 6) + 0.0 AS c0, round(avg(r * p), 6) + 0.0 AS c1, round(avg(p * p) / 2, 6) + 0.0 AS c2 FROM p",
+        "l2_terms": "WITH p AS (SELECT p_size / 50 + 0.5 * p_retailprice / 2000 AS r, p_retailprice / 2000 AS p FROM part) SELECT round(avg(r * r) / 2, 6) + 0.0 AS c0, round(avg(r * p), 6) + 0.0 AS c1, round(avg(p * p) / 2, 6) + 0.0 AS c2, 0::DOUBLE AS c3 FROM p",
         "horner_grid": "WITH g AS (SELECT (i - 20) / 10 AS t FROM range(41) r(i)) SELECT round(t, 1) + 0.0 AS t, round(0.6 - 0.4 * t + 0.3 * t**2 - 0.1 * t**3 + 0.05 * t**4 + 0.01 * t**5, 9) + 0.0 AS v, round(-0.4 + 0.6 * t - 0.3 * t**2 + 0.2 * t**3 + 0.05 * t**4, 9) + 0.0 AS d1, round(0.6 - 0.6 * t + 0.6 * t**2 + 0.2 * t**3, 9) + 0.0 AS d2 FROM g",
         "model_vs_truth_w9": f"{C9}, g AS (SELECT i / 4 AS t FROM range(9) r(i)), h AS (SELECT g.t AS t, avg(ln(1 + exp(-abs(z + g.t * q))) + greatest(-(z + g.t * q), 0) + CASE WHEN y = 0 THEN z + g.t * q ELSE 0 END) AS truth FROM m, g GROUP BY g.t) SELECT t, round(truth, 6) + 0.0 AS truth, round(c0 + c1 * t + c2 * t**2 + c3 * t**3 + c4 * t**4 + c5 * t**5, 6) + 0.0 AS model, round(abs(c5 * t**5), 6) + 0.0 AS estimate FROM h, c",
         "wolfe_checks_w9": f"{PLANTED}, m AS (SELECT *, {ZQ9} FROM d), o AS ({at} FROM m, (VALUES (0.0)) AS g(a) GROUP BY a), h AS ({at} FROM m, {grid} GROUP BY a) SELECT h.a AS a, h.phi <= o.phi + 1e-4 * h.a * o.dphi AS decrease, abs(h.dphi) <= 0.9 * abs(o.dphi) AS curvature, round(h.phi, 6) + 0.0 AS phi, round(h.dphi, 6) + 0.0 AS dphi FROM h, o",
@@ -579,7 +585,6 @@ def oracle_sql() -> dict:
         "example_1d_taylor": f"WITH RECURSIVE d(k, c) AS (SELECT * FROM (VALUES {', '.join(f'({k}, ((1 + {k}) * exp(1::DOUBLE) + ({(-1) ** k}) * exp(3::DOUBLE)) / {f1[k]})' for k in range(8))})), n(degree, i, t) AS (SELECT CAST(g AS INTEGER), 0, 0::DOUBLE FROM range(2, 8) r(g) UNION ALL SELECT n.degree, i + 1, t - (SELECT sum(k * c * pow(t, k - 1)) FROM d WHERE k BETWEEN 1 AND n.degree) / (SELECT sum(k * (k - 1) * c * pow(t, k - 2)) FROM d WHERE k BETWEEN 2 AND n.degree) FROM n WHERE i < 12) SELECT degree, round(1 + t, 6) + 0.0 AS alpha FROM n WHERE i = 12",
         "example_1d_wolfe": "SELECT 1::DOUBLE AS alpha, 1::DOUBLE AS n_eval, round(exp(1) + exp(3), 6) + 0.0 AS phi, round(2 * exp(1) - exp(3), 6) + 0.0 AS dphi",
         "ls_exact_step_w6": f"{six}, m AS (SELECT {z6} - y AS e, 0.1 * x1 + 0.1 * x2 - 0.1 * x3 + 0.05 * x4 + 0.1 * x5 + 0.3 AS q FROM d) SELECT round(-sum(e * q) / sum(q * q), 6) + 0.0 AS alpha, 1::DOUBLE AS n_eval FROM m",
-        "ls_fit_w6": "WITH d AS (SELECT (l_quantity - 25.5) / 14.43 AS x, l_extendedprice / 1e5 AS y FROM lineitem) SELECT round(regr_slope(y, x), 6) + 0.0 AS slope, round(regr_intercept(y, x), 6) + 0.0 AS intercept FROM d",
         "trace_gap": f"WITH t AS ({toy}) SELECT search, k, round(abs(loss - min(loss) OVER ()), 6) + 0.0 AS gap, round(acc, 6) + 0.0 AS acc FROM t",
         "to_gap_toy": f"WITH t AS ({toy}), g AS (SELECT *, abs(loss - min(loss) OVER ()) AS gap FROM t) SELECT search, CAST(goal AS DOUBLE) AS goal, min(k) AS k, round(min(cum_seconds), 6) + 0.0 AS seconds FROM g, (VALUES (0.1), (0.01)) AS x(goal) WHERE gap <= CAST(goal AS DOUBLE) GROUP BY 1, 2",
         "trace_speedup": f"{sp} SELECT k_w, k_t, round(acc, 6) + 0.0 AS acc, round(ir, 6) + 0.0 AS iter_ratio, round(tr, 6) + 0.0 AS time_ratio FROM r",
@@ -589,10 +594,6 @@ def oracle_sql() -> dict:
         "pass_model": f"SELECT dataset, method, round(CASE WHEN tau_ls IS NULL THEN n_e * tau_fg ELSE tau_fg + n_e * tau_ls END, 4) + 0.0 AS passes, round(tau_ls / tau_fg, 4) + 0.0 AS pass_ratio FROM {pub}",
         "timing_rollup": f"SELECT dataset, split_part(method, '_', 2) AS search, count(*) AS n, round(avg(tau_tot), 4) + 0.0 AS tau_tot FROM {pub} GROUP BY ROLLUP (1, 2)",
         "comm_cost": "WITH o(run, i, op, r, b) AS (VALUES ('t', 0, 'g', 65, 65), ('t', 1, 'coeffs', 6, 130), ('t', 2, 'g', 65, 65), ('w', 0, 'fg', 66, 65), ('w', 1, 'fg', 66, 65)) SELECT run, i, op, CAST(r * 8 AS BIGINT) AS reduced, CAST(b AS BIGINT) AS broadcast, count(*) OVER w AS passes_total, CAST(sum(r * 8) OVER w AS BIGINT) AS reduced_total, CAST(sum(b) OVER w AS BIGINT) AS broadcast_total FROM o WINDOW w AS (PARTITION BY run ORDER BY i)",
-        "tree_vs_flat": "SELECT CAST(l_partkey % 4 AS INTEGER) AS block, sum(l_quantity) AS q1, sum(l_quantity) AS q3, count(*)::DOUBLE AS n1, count(*)::DOUBLE AS n3 FROM lineitem GROUP BY 1",
-        "hash_features_w2": "WITH t AS (SELECT unnest(regexp_split_to_array(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^a-z0-9]+')) AS t FROM documents) SELECT CAST(('0x' || substr(md5(t), 1, 8))::BIGINT % 64 AS BIGINT) AS bucket, count(*) AS n, count(DISTINCT t) AS words FROM t WHERE t <> '' GROUP BY 1",
-        "onehot_w5": "SELECT p_brand AS brand, l_returnflag AS flag, count(*) AS n, count(*) FILTER (l_quantity > 7) AS positive FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1, 2",
-        "label_ratio": " UNION ALL ".join(f"SELECT '{n}' AS workload, count(*) FILTER ({y}) AS positive, count(*) FILTER (NOT ({y})) AS negative FROM {t}" for n, t, y in (("w1", "embeddings", "label < 5"), ("w2", "documents", "lang = 'en'"), ("w3", "pages", "starts_with(url, 'http://')"), ("w4", "labels", "quality = 1"), ("w5", "lineitem", "l_quantity > 7"), ("w15", "events", "event_type = 'purchase'"))),
         "confusion_w9": f"{s9} SELECT count(*) AS n, count(*) FILTER (y = 1 AND prob >= 0.5) AS tp, count(*) FILTER (y = 0 AND prob >= 0.5) AS fp, count(*) FILTER (y = 0 AND prob < 0.5) AS tn, count(*) FILTER (y = 1 AND prob < 0.5) AS fn, round(avg(y), 6) + 0.0 AS base_rate, round(avg(CASE WHEN (prob >= 0.5) = (y = 1) THEN 1 ELSE 0 END), 6) + 0.0 AS accuracy FROM s",
         "auc_w9": f"{s9}, k AS (SELECT *, rank() OVER (ORDER BY prob) + (count(*) OVER (PARTITION BY prob) - 1) / 2 AS r FROM s) SELECT round((sum(r) FILTER (y = 1) - count(*) FILTER (y = 1) * (count(*) FILTER (y = 1) + 1) / 2) / (count(*) FILTER (y = 1)::DOUBLE * count(*) FILTER (y = 0)), 6) + 0.0 AS auc, round(avg(-y * ln(prob) - (1 - y) * ln(1 - prob)), 6) + 0.0 AS log_loss FROM k",
         "ovr_coeffs_w1": f"{e1} SELECT {', '.join(f'round(avg(ln(1 + exp(-abs(z))) + greatest(-z, 0) + CASE WHEN label <> {c} THEN z ELSE 0 END), 6) + 0.0 AS c0_{c}, round(avg(q * (s - CASE WHEN label = {c} THEN 1 ELSE 0 END)), 6) + 0.0 AS c1_{c}' for c in range(10))} FROM t",
