@@ -59,7 +59,9 @@ def _trigrams(words: Words) -> tuple[np.ndarray, np.ndarray]:
     np.add.at(inside, words.end, -1)
     inside = np.cumsum(inside[:-1]).astype(bool)
     inked[1:-1] = np.where(inside, words.data, 0)
-    code = (inked[:-2] << np.uint64(16)) | (inked[1:-1] << np.uint64(8)) | inked[2:]
+    before, after = inked[:-2].copy(), inked[2:].copy()
+    before[words.start] = after[words.end - 1] = 0  # the last word of a row touches the first one of the next
+    code = (before << np.uint64(16)) | (inked[1:-1] << np.uint64(8)) | after
     bucket = ((code[inside] * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - 17)).astype(np.int64)
     return bucket, np.r_[0, np.cumsum(words.end - words.start)][:-1].astype(np.int64)
 
