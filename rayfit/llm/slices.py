@@ -80,8 +80,8 @@ class Block:
         if self.widest > 2**40 or self.widest * sum(abs(int(w)) for w in weights) > LONG:
             own_out = np.flatnonzero(self.ids != own)
             score = (self.values[own_out].astype(object) @ weights.astype(object)).tolist()
-            best = sorted(zip((-x for x in score), self.ids[own_out].tolist(), strict=True))[:k]
-            return [(i, max(-LONG - 1, min(LONG, -x))) for x, i in best]
+            best = sorted(zip((-max(-LONG - 1, min(LONG, x)) for x in score), self.ids[own_out].tolist(), strict=True))[:k]
+            return [(i, -x) for x, i in best]
         if n > 4 * (k + 1) and weights.any():
             planes = self.sums(weights)
             sure, tied, wanted, last = np.zeros(self.words, np.uint64), self.all.copy(), k + 1, 0
@@ -136,7 +136,7 @@ def search(vectors: DataFrame, queries, k: int = 5, key: str = "vec_id", vector:
     """(query_id, rank, vec_id, score): the k best of all rows but its own for every row where queries, a column, holds.
 
     Vectors that are null or hold nulls or non-finite components take no part; vectors meet those of their own length.
-    Components beyond a long after scaling count as its ends; scores are exact, but one beyond a long is told as its end.
+    Components beyond a long after scaling count as its ends; scores are exact, and one beyond a long counts as its end.
     Every block of queries is sent to every block of rows, which is read once; only the k best of each leave it."""
     spark = vectors.sparkSession
     ship(spark)
