@@ -140,7 +140,7 @@ def signatures(sets: np.ndarray, offsets: np.ndarray, ids: np.ndarray, rule: Rul
 
 
 def _read(docs: DataFrame, key: str, text: str) -> DataFrame:
-    return docs.select(F.col(key).cast("long").alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+    return docs.filter(F.col(key).isNotNull()).select(F.col(key).cast("long").alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
 
 
 def _only(docs: DataFrame, ids: DataFrame, how: str) -> DataFrame:
@@ -446,6 +446,11 @@ def _linked(read: DataFrame, member: DataFrame, comps: DataFrame, width: int, ru
     return out
 
 
+def _with_unnamed(out: DataFrame, docs: DataFrame, key: str) -> DataFrame:
+    """out and, with nulls, the rows of docs whose key is null: they can be no one's link."""
+    return out.unionByName(docs.filter(F.col(key).isNull()).select(F.lit(None).cast("long").alias(key)), allowMissingColumns=True)
+
+
 def join(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5, rule: Rule | None = None) -> DataFrame:
     """(key, n_shingles, class_id, component_id, n_links) for every row, see classes; n_links: the other rows that it links
     with, those of an equal set included."""
@@ -454,7 +459,7 @@ def join(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int =
     sized = member.groupBy(F.col("rep").alias("id")).agg(F.count("*").alias("rows"))
     known = sized.join(comps, "id", "left").join(links, "id", "left").select(F.col("id").alias("rep"), "component", (F.col("rows") - 1 + F.coalesce("links", F.lit(0))).alias("links"))
     out = member.join(known, "rep")
-    return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.col("rep").alias("class_id"), F.coalesce("component", "rep").alias("component_id"), F.when(F.col("n") > 0, F.col("links")).otherwise(0).alias("n_links"))
+    return _with_unnamed(out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.col("rep").alias("class_id"), F.coalesce("component", "rep").alias("component_id"), F.when(F.col("n") > 0, F.col("links")).otherwise(0).alias("n_links")), docs, key)
 
 
 def pairs(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5, rule: Rule | None = None) -> DataFrame:
@@ -466,11 +471,11 @@ def classes(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int
     """(key, n_shingles, class_id, component_id) for every row, without the links within components.
 
     class_id: the smallest key with the same set; component_id: the smallest key reachable by links. Null and empty
-    texts have no shingles and link with nothing; repeated rows are equal sets; keys are taken to be unique integers.
+    texts have no shingles and link with nothing; repeated rows are equal sets; keys are taken to be unique integers. A row with a null key has nulls in all columns.
     Links between classes are exact for 64-bit shingle hashes. Extra columns of docs are not read."""
     _, member, comps = _grouped(docs, key, text, width, rule or Rule())
     out = member.join(comps.withColumnRenamed("id", "rep"), "rep", "left")
-    return out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.col("rep").alias("class_id"), F.coalesce("component", "rep").alias("component_id"))
+    return _with_unnamed(out.select(F.col("id").alias(key), F.col("n").alias("n_shingles"), F.col("rep").alias("class_id"), F.coalesce("component", "rep").alias("component_id")), docs, key)
 
 
 def _grouped(docs: DataFrame, key: str, text: str, width: int, rule: Rule) -> tuple[DataFrame, DataFrame, DataFrame]:
