@@ -42,7 +42,7 @@ def _tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 STAGES = [("language", _language), ("exact", _exact), ("near", _near), ("mixture", _mixture), ("tokens", _tokens)]
-#: The language model, the classifier and the tokenizer are not SQL; tests/llm holds the stages against brute force.
+#: The language model, the classifier and the tokenizer are not SQL; test_stages_against_loops holds run() against plain loops.
 ORACLE_SQL = None
 
 
