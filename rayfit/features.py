@@ -69,3 +69,31 @@ def to_vector(df: DataFrame, m: int) -> DataFrame:
 def exploded(df: DataFrame) -> DataFrame:
     """(row_id, f, v) of sparse rows."""
     return df.select("row_id", F.explode(F.arrays_zip("idx", "val")).alias("e")).select("row_id", F.col("e.idx").cast("long").alias("f"), F.col("e.val").alias("v"))
+
+
+def hash_sample(df: DataFrame, key: str, fractions, by: str | None = None, seed: int = 0) -> DataFrame:
+    """Rows whose md5 of key and seed falls into a share: one for all, or one for each value of column by (others: none).
+
+    The same rows in every run and engine, unlike sample and sampleBy."""
+    share = F.lit(float(fractions)) if by is None else F.coalesce(F.element_at(F.create_map(*[F.lit(x) for kv in fractions.items() for x in kv]), F.col(by)), F.lit(0.0))
+    return df.filter(F.conv(F.substring(F.md5(F.concat_ws("|", F.col(key).cast("string"), F.lit(str(seed))).cast("binary")), 1, 8), 16, 10).cast("double") < share * 4294967296.0)
+
+
+def idf(df: DataFrame) -> DataFrame:
+    """Sparse rows with each value times ln((1 + n) / (1 + rows with the feature)) + 1, and of length 1 again; the last feature,
+    the constant, stays. Frequencies are one grouped count, joined by feature."""
+    n = df.count()
+    pairs = exploded(df)
+    last = pairs.groupBy("row_id").agg(F.max("f").alias("last"))
+    weight = pairs.groupBy("f").agg((F.log((1 + n) / (1 + F.count("*"))) + 1).alias("idf"))
+    own = pairs.join(weight, "f").join(last, "row_id")
+    rows = own.groupBy("row_id").agg(F.array_sort(F.collect_list(F.struct("f", F.when(F.col("f") < F.col("last"), F.col("v") * F.col("idf")).alias("v")))).alias("x"))
+    norm = F.sqrt(F.aggregate("x", F.lit(0.0), lambda a, e: a + F.coalesce(e["v"] * e["v"], F.lit(0.0))))
+    scaled = rows.select("row_id", F.transform("x.f", lambda f: f.cast("int")).alias("idx"), F.transform("x", lambda e: F.coalesce(e["v"] / F.when(norm > 0, norm).otherwise(1.0), F.lit(1.0))).alias("val"))
+    return scaled.join(df.select("row_id", "y"), "row_id").select("row_id", "idx", "val", "y")
+
+
+def to_sparse(df: DataFrame, column: str = "x") -> DataFrame:
+    """Dense rows as pairs of those entries that are not 0, in place of the column."""
+    at = F.filter(F.sequence(F.lit(0), F.size(column) - 1), lambda i: F.get(column, i) != 0)
+    return df.withColumn("idx", at).withColumn("val", F.transform("idx", lambda i: F.get(column, i))).drop(column)

@@ -126,3 +126,14 @@ def normal_equations(data) -> "np.ndarray":
     for (i, j), v in zip(pairs, row, strict=False):
         a[i, j] = a[j, i] = v or 0.0
     return np.linalg.lstsq(a, np.array([v or 0.0 for v in row[len(pairs) :]]), rcond=None)[0]
+
+
+def exact_sum(df: DataFrame, column: str, digits: int = 6) -> DataFrame:
+    """The sum of a column in decimals of so many digits, which no order of the rows changes."""
+    return df.agg(F.sum(F.col(column).cast(f"decimal({min(38, 18 + digits)},{digits})")).alias("total"))
+
+
+def top_by_group(df: DataFrame, group: str, order: str, tie: str, k: int) -> DataFrame:
+    """The k rows of each group with the largest values, ties to the smaller tie column; partial tops come before the shuffle."""
+    w = Window.partitionBy(group).orderBy(F.desc(order), tie)
+    return df.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)

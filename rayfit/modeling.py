@@ -98,3 +98,18 @@ class RayModel(Model, _Shared):
         if self.getOrDefault(self.family) != "logistic":
             return out.withColumn(self.getPredictionCol(), F.col("margin"))
         return out.withColumn("probability", sigmoid(F.col("margin"))).withColumn(self.getPredictionCol(), (F.col("probability") >= 0.5).cast("double"))
+
+
+def cross_validate(df: DataFrame, key: str, lams: list[float], k: int = 3, m: int | None = None, kind: str = "dense", **options) -> DataFrame:
+    """(lam, fold, n, log_loss, accuracy) of models fitted without the fold, on it; penalties from the strongest, each warm."""
+    spark, held = df.sparkSession, folds(df, key, k).persist()
+    m = m or len(held.select("x").first()[0])
+    rows = []
+    for fold in range(k):
+        rest, own = (Instances(held.filter(c), m, kind=kind) for c in (F.col("fold") != fold, F.col("fold") == fold))
+        for lam, w, _ in path(rest, lams, **options):
+            p = F.least(F.greatest("prob", F.lit(1e-15)), F.lit(1 - 1e-15))
+            r = score(own, w).agg(F.count("*"), F.avg(F.when(F.col("y") != 0, -F.log(p)).otherwise(-F.log(1 - p))), F.avg((F.col("predicted") == (F.col("y") != 0).cast("int")).cast("double"))).first()
+            rows.append((float(lam), fold, r[0], r[1], r[2]))
+    held.unpersist()
+    return spark.createDataFrame(rows, "lam double, fold int, n long, log_loss double, accuracy double")

@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import experiments, factorization, measures, modeling, sources, sqlfuncs, streaming, tables, taylor, wolfe
@@ -504,8 +504,55 @@ def penalty_path_w9(spark, sf_dir):
     return spark.createDataFrame([(lam, loss, float(np.linalg.norm(w))) for lam, w, loss in out], "lam double, loss double, norm double")
 
 
+def sample_events(spark, sf_dir):
+    """A share of each kind of event, the same in every engine."""
+    e = W.table(spark, sf_dir, "events")
+    return X.hash_sample(e, "event_id", {"purchase": 0.5, "view": 0.1, "click": 0.25}, "event_type", 3).groupBy("event_type").agg(F.count("*").alias("n"), F.sum("event_id").alias("ids"))
+
+
+def exact_sum_lineitem(spark, sf_dir):
+    """A sum that no order of the rows changes."""
+    return measures.exact_sum(W.table(spark, sf_dir, "lineitem"), "l_extendedprice", 4).select(F.col("total").cast("string").alias("total"))
+
+
+def top_features_w2(spark, sf_dir):
+    """The three features of the hashed text with the largest sums, by label."""
+    df = W.w2(spark, sf_dir).data.df
+    own = X.exploded(df).join(df.select("row_id", "y"), "row_id").groupBy("y", "f").agg(_r(F.sum("v"), 5).alias("total"))
+    return measures.top_by_group(own.filter("f < 1024"), "y", "total", "f", 3)
+
+
+def stats_w9(spark, sf_dir):
+    """Moments, order statistics and cardinalities of the planted columns."""
+    d = W.planted(spark, sf_dir)
+    return d.agg(_r(F.corr("x1", "x2")).alias("corr"), _r(F.covar_samp("x1", "x2")).alias("covar"), _r(F.skewness("x2")).alias("skew"), _r(F.percentile("x2", 0.9)).alias("p90"), F.countDistinct("x1").alias("distinct_x1"), F.min_by("l_orderkey", F.struct("x2", "l_orderkey")).alias("first_order"))
+
+
+def document_sets(spark, sf_dir):
+    """Ids of documents and labels: shared, without a label, and quartiles by length."""
+    d, l = W.table(spark, sf_dir, "documents"), W.table(spark, sf_dir, "labels").select("doc_id")
+    both, rest = d.select("doc_id").intersect(l), d.select("doc_id").exceptAll(l)
+    quarter = d.select(F.ntile(4).over(Window.partitionBy("lang").orderBy("n_chars", "doc_id")).alias("q"), "n_chars")
+    parts = [both.agg(F.lit("both").alias("what"), F.count("*").alias("n")), rest.agg(F.lit("rest").alias("what"), F.count("*").alias("n"))]
+    return experiments.union(parts + [quarter.groupBy(F.concat(F.lit("q"), F.col("q").cast("string")).alias("what")).agg(F.max("n_chars").alias("n"))])
+
+
+def url_hosts(spark, sf_dir):
+    return W.table(spark, sf_dir, "pages").groupBy(F.parse_url("url", F.lit("HOST")).alias("host")).agg(F.count("*").alias("n"))
+
+
+def sql_functions(spark, sf_dir):
+    """Every registered function on a grid, and one step of the worked function by the table function."""
+    sqlfuncs.register(spark)
+    c = ", ".join(f"{(1 + k) * math.exp(1) / math.factorial(k) + (-1) ** k * math.exp(3) / math.factorial(k)!r}D" for k in range(6))
+    return spark.sql(f"""SELECT g.t, round(softplus_neg(g.t), 6) + 0D AS a, round(sigmoid(g.t), 6) + 0D AS b, round(horner(array(1D, 2D, 3D), g.t), 6) + 0D AS c,
+      round(horner_d1(array(1D, 2D, 3D), g.t), 6) + 0D AS d, round(horner_d2(array(1D, 2D, 3D), g.t), 6) + 0D AS e, round(dot(array(g.t, 2D), array(3D, g.t)), 6) + 0D AS f,
+      round(sparse_dot(array(2, 0), array(g.t, 1D), array(5D, 6D, 7D)), 6) + 0D AS g, round(ls_terms(g.t, 2D, 1D)[1], 6) + 0D AS h, round(mf_terms(g.t, 1D, 2D)[2], 6) + 0D AS i, wolfe_ok(1D, 2D, g.t, -1D, 0.5D) AS j, round(s.alpha + s.t, 6) + 0D AS k
+    FROM (SELECT (id - 10) / 4D AS t FROM range(21)) g, (SELECT * FROM line_search_step(array({c}), 1D)) s""")
+
+
 def queries() -> dict:
-    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, normal_equations_w6, ablations_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_measured, cost_by_m_w3, library_w2, preconditioned_w9, wolfe_bracket, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9, lbfgs_table_w9, libsvm_roundtrip, session_loss_events, running_coeffs_events, dedup_events, interval_join_events, step_accuracy_w9, event_counts_w1, penalty_path_w9]
+    own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, normal_equations_w6, ablations_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_measured, cost_by_m_w3, library_w2, preconditioned_w9, wolfe_bracket, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9, lbfgs_table_w9, libsvm_roundtrip, session_loss_events, running_coeffs_events, dedup_events, interval_join_events, step_accuracy_w9, event_counts_w1, penalty_path_w9, sample_events, exact_sum_lineitem, top_features_w2, stats_w9, document_sets, url_hosts, sql_functions]
     out = {f.__name__: f for f in own}
     for name, methods in METHODS.items():
         out[f"traces_{name}"] = lambda spark, sf_dir, name=name, methods=methods: experiments.traces(spark, sf_dir, name, methods)
@@ -558,6 +605,13 @@ def oracle_sql() -> dict:
     shapes = {n: f"WITH {oracles.features(n)}, c AS (SELECT row_id, count(*) AS c FROM ex GROUP BY 1)" for n in METHODS}
     sizes = {"w1": 65, "w2": 1025, "w9": 5} | {n: (1 << 20) + 1 for n in experiments.LARGE}
     return fits | {
+        "sample_events": "SELECT event_type, count(*) AS n, CAST(sum(event_id) AS BIGINT) AS ids FROM events WHERE ('0x' || substr(md5(event_id || '|3'), 1, 8))::BIGINT < 4294967296 * CASE event_type WHEN 'purchase' THEN 0.5 WHEN 'view' THEN 0.1 WHEN 'click' THEN 0.25 ELSE 0 END GROUP BY 1",
+        "exact_sum_lineitem": "SELECT CAST(sum(CAST(l_extendedprice AS DECIMAL(22, 4))) AS VARCHAR) AS total FROM lineitem",
+        "top_features_w2": f"WITH {oracles.features('w2')}, t AS (SELECT y::DOUBLE AS y, f, round(sum(v), 5) + 0.0 AS total FROM ex JOIN yy USING (row_id) WHERE f < 1024 GROUP BY 1, 2) SELECT y, f, total, CAST(row_number() OVER (PARTITION BY y ORDER BY total DESC, f) AS INTEGER) AS rank FROM t QUALIFY rank <= 3",
+        "stats_w9": f"{PLANTED} SELECT round(corr(x1, x2), 6) + 0.0 AS corr, round(covar_samp(x1, x2), 6) + 0.0 AS covar, round((avg(x2 * x2 * x2) - 3 * avg(x2) * avg(x2 * x2) + 2 * pow(avg(x2), 3)) / pow(var_pop(x2), 1.5), 6) + 0.0 AS skew, round(quantile_cont(x2, 0.9), 6) + 0.0 AS p90, count(DISTINCT x1) AS distinct_x1, arg_min(l_orderkey, (x2, l_orderkey)) AS first_order FROM d",
+        "document_sets": "SELECT 'both' AS what, count(*) AS n FROM (SELECT doc_id FROM documents INTERSECT SELECT doc_id FROM labels) UNION ALL SELECT 'rest', count(*) FROM (SELECT doc_id FROM documents EXCEPT ALL SELECT doc_id FROM labels) UNION ALL SELECT 'q' || q, max(n_chars) FROM (SELECT ntile(4) OVER (PARTITION BY lang ORDER BY n_chars, doc_id) AS q, n_chars FROM documents) GROUP BY 1",
+        "url_hosts": "SELECT regexp_extract(url, '://([^/?#:]+)', 1) AS host, count(*) AS n FROM pages GROUP BY 1",
+        "sql_functions": f"SELECT t, round(ln(1 + exp(-abs(t))) + greatest(-t, 0), 6) + 0.0 AS a, round(1 / (1 + exp(-t)), 6) + 0.0 AS b, round(1 + 2 * t + 3 * t * t, 6) + 0.0 AS c, round(2 + 6 * t, 6) + 0.0 AS d, 6::DOUBLE AS e, round(5 * t, 6) + 0.0 AS f, round(7 * t + 5, 6) + 0.0 AS g, round((t - 1) * 2, 6) + 0.0 AS h, round(2 * t + 0.5, 6) + 0.0 AS i, abs(t) <= 0.9 AS j, 1.535434::DOUBLE AS k FROM (SELECT (i - 10) / 4 AS t FROM range(21) r(i))",
         "ls_fit_w6": solved,
         "normal_equations_w6": solved,
         "wolfe_bracket": oracles.bracket([0.01, 0.1, 1.0, 1.9, 3.0, 8.0]),

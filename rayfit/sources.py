@@ -7,6 +7,7 @@ import json
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from .instances import Instances
 
@@ -64,3 +65,39 @@ def load_state(spark: SparkSession, path: str, history: int = 5) -> dict:
     s, y = ({r.i: np.array(r.v) for r in rows if r.name == n} for n in "sy")
     rule.pairs = [(s[i], y[i]) for i in sorted(s)]
     return {"w": np.array(next(r.v for r in rows if r.name == "w")), "rule": rule, "k": rows[0].k}
+
+
+class LibsvmSource(DataSource):
+    """format("rayfit_libsvm").option("m", ...).load(path): read_libsvm's rows, a task for each file; bad tokens end the read.
+
+    Files are opened by the workers, so that path is one that they can open; read_libsvm also splits large files."""
+
+    @classmethod
+    def name(cls):
+        return "rayfit_libsvm"
+
+    def schema(self):
+        return "idx array<int>, val array<double>, y double"
+
+    def reader(self, schema):
+        return LibsvmReader(self.options["path"], int(self.options["m"]))
+
+
+class LibsvmReader(DataSourceReader):
+    def __init__(self, path: str, m: int):
+        self.path, self.m = path.removeprefix("file://").removeprefix("file:"), m
+
+    def partitions(self):
+        import glob
+        import os
+
+        files = sorted(f for f in glob.glob(os.path.join(self.path, "*")) if os.path.basename(f)[0] not in "._") if os.path.isdir(self.path) else [self.path]
+        return [InputPartition(f) for f in files]
+
+    def read(self, partition):
+        with open(partition.value) as lines:
+            for line in lines:
+                y, *pairs = line.split("#")[0].split() or [None]
+                if y is not None:
+                    both = [p.split(":") for p in pairs]
+                    yield [int(i) - 1 for i, _ in both] + [self.m], [float(v) for _, v in both] + [1.0], float(y)

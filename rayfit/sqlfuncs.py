@@ -6,6 +6,8 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
+from .ship import ship
+
 FUNCTIONS = {
     "softplus_neg(z DOUBLE) RETURNS DOUBLE": "log1p(exp(-abs(z))) + greatest(-z, 0D)",
     "sigmoid(z DOUBLE) RETURNS DOUBLE": "1D / (1D + exp(-z))",
@@ -33,12 +35,37 @@ class LineSearchStep:
         yield alpha, list(coeffs), best.t, model.value(best.t), model.error_estimate(best.t), best.status
 
 
+@udtf(returnType="i int, w double")
+class FitLogistic:
+    """Weights of a logistic model of a small table with columns x (array) and y, constant last: SELECT * FROM
+    fit_logistic(TABLE(t) WITH SINGLE PARTITION, lam => 1e-3). The table is held by one worker; large ones go to RayRegression."""
+
+    def __init__(self):
+        self.x, self.y, self.lam = [], [], 0.0
+
+    def eval(self, row, lam: float = 0.0):
+        self.x.append([*row["x"], 1.0])
+        self.y.append(float(row["y"]))
+        self.lam = float(lam)
+
+    def terminate(self):
+        import numpy as np
+
+        from rayfit import losses, optim
+
+        if self.x:
+            fit = optim.minimize(optim.ArrayProblem(np.array(self.x, float), np.array(self.y), losses.Logistic(), self.lam), max_iter=60)
+            yield from ((i, float(v)) for i, v in enumerate(fit.w))
+
+
 def register(spark: SparkSession) -> list[str]:
     """Defines all of them in the session; their names."""
     for head, body in FUNCTIONS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {head} RETURN {body}")
+    ship(spark)
     spark.udtf.register("line_search_step", LineSearchStep)
-    return [h.split("(")[0] for h in FUNCTIONS] + ["line_search_step"]
+    spark.udtf.register("fit_logistic", FitLogistic)
+    return [h.split("(")[0] for h in FUNCTIONS] + ["line_search_step", "fit_logistic"]
 
 
 def horner_columns(coeffs, t):
