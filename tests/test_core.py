@@ -109,7 +109,7 @@ def test_queries_run_and_match_sql(spark):
     for t in ("lineitem", "part", "embeddings", "events", "orders", "customer"):
         con.execute(f"create view {t} as select * from read_parquet('{SF}/{t}.parquet')")
     sql = queries.oracle_sql()
-    for name in ("coeffs_logit_w9_d5", "coeffs_table_w9_d5", "coeffs_mf_w7a_d4", "auc_w9", "trace_speedup", "sql_terms_w9", "coeffs_logit_w1_d5"):
+    for name in ("coeffs_logit_w9_d5", "coeffs_table_w9_d5", "coeffs_mf_w7a_d4", "auc_w9", "trace_speedup", "sql_terms_w9", "coeffs_logit_w1_d5", "ncg_taylor_w1_3iters", "lbfgs_wolfe_w9_3iters", "wolfe_bracket", "sql_functions"):
         a, b = queries.queries()[name](spark, SF).toArrow(), con.execute(sql[name]).to_arrow_table()
         cols = sorted(a.column_names)
         assert cols == sorted(b.column_names)
@@ -170,3 +170,87 @@ def test_table_learner_takes_the_same_steps(spark):
     assert [r["w"] for r in params.orderBy("f").collect()] + [bias] == pytest.approx(list(fit.w), abs=1e-9)
     empty = tables.minimize(ex.limit(0), labels.limit(0), losses.Logistic())
     assert empty[2] == [] and empty[0].count() == 0
+
+
+def test_products_with_the_second_derivative(spark):
+    from rayfit import workloads as W
+    from rayfit.instances import Problem
+
+    data = W.w9(spark, SF).data
+    rows = data.df.select("x1", "x2", "x3", "x4", "x5", "y").toPandas().to_numpy()
+    same = optim.ArrayProblem(rows[:, :5], rows[:, 5], losses.Logistic(), 1e-3)
+    w, d = np.array([0.3, -0.2, 0.1, 0.0, 0.5]), np.array([1.0, 2.0, -1.0, 0.5, 0.1])
+    exact = same.curvature_product(w, d)
+    assert Problem(data, losses.Logistic(), 1e-3).curvature_product(w, d) == pytest.approx(exact, rel=1e-9)
+    assert (same.gradient(w + 1e-6 * d) - same.gradient(w - 1e-6 * d)) / 2e-6 == pytest.approx(exact, rel=1e-5)
+    fit = optim.minimize(same, "newton", "taylor", theta=1e-6, max_iter=12)
+    assert fit.trace[-1]["loss"] == pytest.approx(optim.minimize(same, "lbfgs", "taylor", theta=1e-6).trace[-1]["loss"], abs=1e-12)
+    assert optim.minimize(same, "ncg", "taylor", precondition=optim.diagonal(same, np.zeros(5)), max_iter=60).trace[-1]["grad_norm"] < 1e-4
+
+
+def test_accuracy_plateau_ends_a_fit():
+    stop = optim.stop_rule(100, acc_gain=1e-2, acc_span=2)
+    assert [stop(k, 1.0, None, x) for k, x in enumerate((0.6, 0.5, 0.4, 0.399, 0.398))] == [False, False, False, False, True]
+
+
+def test_factorization_plans_stay_short(spark):
+    """Each iteration reads staged factors: losses fall, and what the last one reads is no longer than the first."""
+    from rayfit import factorization
+
+    g = np.random.default_rng(0)
+    u, v = g.normal(size=(12, 2)), g.normal(size=(9, 2))
+    ratings = spark.createDataFrame([(i, j, float(u[i] @ v[j])) for i in range(12) for j in range(9) if (i + j) % 3], "i long, j long, value double")
+    a, _, trace = factorization.fit(ratings, 2, 1e-4, max_iter=3)
+    assert [t["loss"] for t in trace] == sorted((t["loss"] for t in trace), reverse=True)
+    assert len(a._jdf.queryExecution().logical().toString()) < 1000
+    assert factorization.fit(ratings.limit(0), 2)[2] == []
+
+
+def test_text_weights_samples_and_sources(spark, tmp_path):
+    from rayfit import features, measures, sources, sqlfuncs
+
+    df = spark.createDataFrame([(0, [0, 1, 4], [0.6, 0.8, 1.0], 1.0), (1, [0, 4], [1.0, 1.0], 0.0), (2, [4], [1.0], 1.0)], "row_id long, idx array<int>, val array<double>, y double")
+    got = {r.row_id: (r.idx, r.val) for r in features.idf(df).collect()}
+    a, b = 0.6 * (np.log(4 / 3) + 1), 0.8 * (np.log(4 / 2) + 1)
+    assert got[0][0] == [0, 1, 4] and got[0][1] == pytest.approx([a / np.hypot(a, b), b / np.hypot(a, b), 1.0]) and got[2] == ([4], [1.0])
+    assert features.to_sparse(spark.createDataFrame([([0.0, 2.0, 0.0, 3.0],)], "x array<double>")).first().asDict() == {"idx": [1, 3], "val": [2.0, 3.0]}
+    sources.write_libsvm(df, str(tmp_path / "svm"), 4)
+    spark.dataSource.register(sources.LibsvmSource)
+    back = spark.read.format("rayfit_libsvm").option("m", "4").load(str(tmp_path / "svm"))
+    assert sorted(map(tuple, back.collect())) == sorted(map(tuple, sources.read_libsvm(spark, str(tmp_path / "svm"), 4).collect()))
+    assert features.hash_sample(spark.range(2000), "id", 0.25).count() == pytest.approx(500, abs=80)
+    assert str(measures.exact_sum(spark.createDataFrame([(0.1,)] * 10, "x double"), "x", 3).first().total) == "1.000"
+    sqlfuncs.register(spark)
+    x = spark.createDataFrame([([float(k)], float(k > 3)) for k in range(8)], "x array<double>, y double")
+    x.createOrReplaceTempView("small")
+    w = [r.w for r in spark.sql("SELECT * FROM fit_logistic(TABLE(SELECT * FROM small) WITH SINGLE PARTITION, lam => 1e-2D) ORDER BY i").collect()]
+    assert len(w) == 2 and w[0] > 0 > w[1]
+
+
+def test_cross_validation_and_state(spark, tmp_path):
+    from rayfit import modeling, sources
+
+    g = np.random.default_rng(4)
+    x = np.c_[g.normal(size=(90, 2)), np.ones(90)]
+    y = (x @ [2, -1, 0.3] + g.logistic(size=90) > 0).astype(float)
+    df = spark.createDataFrame([(i, a.tolist(), float(b)) for i, (a, b) in enumerate(zip(x, y))], "id long, x array<double>, y double")
+    out = modeling.cross_validate(df, "id", [1.0, 1e-2], 2, max_iter=8).collect()
+    assert len(out) == 4 and sum(r.n for r in out) == 180 and min(r.log_loss for r in out) < 0.69
+    whole = optim.ArrayProblem(x, y, losses.Logistic(), 1e-3)
+    first = optim.minimize(whole, max_iter=4)
+    sources.save_state(spark, str(tmp_path / "state"), 4, first)
+    state = sources.load_state(spark, str(tmp_path / "state"))
+    rest = optim.minimize(whole, max_iter=3, state={k: state[k] for k in ("w", "rule")})
+    straight = optim.minimize(whole, max_iter=7)
+    assert rest.trace[-1]["loss"] == pytest.approx(straight.trace[-1]["loss"], abs=1e-13)
+
+
+def test_traces_by_wolfe_need_more_iterations(spark):
+    """What the experiments say: at equal accuracy the Taylor search needs fewer iterations where parameters outnumber rows."""
+    from rayfit import experiments
+
+    with experiments.prepared(spark, SF, "w3", m=1 << 14) as work:
+        fits = {s: experiments.fitted(work, "w3", "lbfgs", s, 8) for s in ("taylor", "wolfe")}
+        report = experiments.cost_report(fits["taylor"], work.data)
+    assert fits["taylor"].trace[-1]["loss"] < fits["wolfe"].trace[-1]["loss"]
+    assert report["iterations"] == 8 and report["passes"]["g"][0] >= 8 and report["plan"]
