@@ -20,7 +20,7 @@ from .losses import Logistic
 from .optim import minimize
 
 #: Workloads with more parameters than rows, whose fits end where exp(-loss) no longer gains ACC_GAIN over five iterations.
-LARGE, ACC_GAIN, MOST = ("w3", "w4", "w5"), 1e-3, 40
+LARGE, ACC_GAIN, MOST = ("w3", "w4", "w5"), 1e-3, 25
 
 
 @contextmanager

@@ -555,7 +555,7 @@ def queries() -> dict:
     own = [loss_logit_w1, coeffs_logit_w1_d5, grad_logit_w9, coeffs_logit_w9_d5, coeffs_ls_w6_d2, coeffs_mf_w7a_d4, coeffs_mf_w7b_d4, coeffs_table_w9_d5, coeffs_arrow_w9_d5, l2_terms, horner_grid, model_vs_truth_w9, wolfe_checks_w9, cubic_min_cases, fallback_step_w9, example_1d_taylor, example_1d_wolfe, ls_exact_step_w6, ls_fit_w6, normal_equations_w6, ablations_w9, minibatch_w15, trace_gap, to_gap_toy, trace_speedup, speedup_windows, plateau_toy, timing_table, pass_model, timing_rollup, comm_cost, timing_measured, cost_by_m_w3, library_w2, preconditioned_w9, wolfe_bracket, tree_vs_flat, hash_features_w2, onehot_w5, label_ratio, dataset_summary, confusion_w9, auc_w9, ovr_coeffs_w1, group_coeffs_nation, stream_window_loss, residual_topk_w9, labelled_documents, sql_terms_w9, lbfgs_table_w9, libsvm_roundtrip, session_loss_events, running_coeffs_events, dedup_events, interval_join_events, step_accuracy_w9, event_counts_w1, penalty_path_w9, sample_events, exact_sum_lineitem, top_features_w2, stats_w9, document_sets, url_hosts, sql_functions]
     out = {f.__name__: f for f in own}
     for name, methods in METHODS.items():
-        out[f"traces_{name}"] = lambda spark, sf_dir, name=name, methods=methods: experiments.traces(spark, sf_dir, name, methods)
+        out[f"traces_{name}"] = lambda spark, sf_dir, name=name, methods=methods: experiments.traces(spark, sf_dir, name, methods, 12 if name == "w9" else experiments.MOST)
     for name in experiments.LARGE:
         out[f"speedup_{name}"] = lambda spark, sf_dir, name=name: experiments.speedup(spark, sf_dir, name)
     out |= {"mf_fit_w7a": _mf_fit(W.w7a, 4, 6), "mf_fit_w7b": _mf_fit(W.w7b, 8, 4)}
