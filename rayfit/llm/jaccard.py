@@ -435,13 +435,16 @@ def _linked(read: DataFrame, member: DataFrame, comps: DataFrame, width: int, ru
     """All links between the classes of each component, see _within."""
     sized = member.groupBy(F.col("rep").alias("id")).agg(F.count("*").alias("rows"))
     own = staged(comps.join(sized, "id").select("component", "id", "rows"), "linked")
+    kinds = "a long, b long, inter long, na long, nb long" if told else "id long, links long"
+    if own.isEmpty():
+        return read.sparkSession.createDataFrame([], kinds)
     held = staged(_only(read, own.select("id"), "left_semi").mapInArrow(_sets(width), "id long, held binary").dropDuplicates(["id"]), "sets")
     count = F.ceil(F.col("m") / LINKED).cast("int")
     side = own.join(own.groupBy("component").agg(F.count("*").alias("m")), "component")
     side = side.withColumn("blk", F.pmod(F.xxhash64("id"), count).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), count - 1)))
     side = side.select("component", F.least("blk", "other").alias("bi"), F.greatest("blk", "other").alias("bj"), "blk", "id", "rows").join(held, "id").select("component", "bi", "bj", "blk", "id", "rows", "held")
     side = side.repartition(partitions(read.sparkSession), "component", "bi", "bj").sortWithinPartitions("component", "bi", "bj")
-    out = staged(side.mapInArrow(_within(rule, told), "a long, b long, inter long, na long, nb long" if told else "id long, links long"), "links")
+    out = staged(side.mapInArrow(_within(rule, told), kinds), "links")
     forget(held)
     return out
 
@@ -497,6 +500,8 @@ def _grouped(docs: DataFrame, key: str, text: str, width: int, rule: Rule) -> tu
     quiet = member.filter("id <> rep").select("id").distinct()
     signed = _only(read, quiet, "left_anti").mapInArrow(_sign(width, rule, common, parts), "part int, sigs binary, owners binary")
     found = staged(signed.repartition(parts, "part").mapInArrow(_buckets, "kind byte, bucket long, a long, b long"), "buckets")
+    if found.isEmpty():  # no two classes share a signature
+        return read, member, found.select(F.col("a").alias("id"), F.col("b").alias("component")).limit(0)
     sketch = rows.select("id", "n", "cells")
 
     def both(pairs: DataFrame, table: DataFrame, names: list[str]) -> DataFrame:
@@ -536,6 +541,8 @@ def _grouped(docs: DataFrame, key: str, text: str, width: int, rule: Rule) -> tu
     known = known.select("a", F.col("b").alias("c"), far(F.coalesce(F.col("inter").cast("double"), (F.col("na") + F.col("nb") - F.col("least")) / 2)).alias("low"), F.when(F.col("inter").isNotNull(), far(F.col("inter").cast("double"))).otherwise(1.0).alias("high"))
     # each document's first buckets, so that a pair of many shared buckets is told once; a document has no more buckets than signatures
     inside = staged(placed.join(mixed, "bucket"), "mixed")
+    if inside.isEmpty():
+        return read, member, comps
     first = inside.groupBy("b").agg(F.slice(F.array_sort(F.collect_set("bucket")), 1, FIRST).alias("least"))
     side = inside.join(first, "b").join(known, ["a", "c"], "left").join(one.withColumnRenamed("id", "b"), "b")
     side = side.select("bucket", "m", "b", "comp", "n", F.when(F.col("a") == F.col("c"), 0.0).otherwise(F.coalesce("low", F.lit(0.0))).alias("low"), F.when(F.col("a") == F.col("c"), 0.0).otherwise(F.coalesce("high", F.lit(1.0))).alias("high"), "cells", "least")
