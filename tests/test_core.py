@@ -116,6 +116,23 @@ def test_queries_run_and_match_sql(spark):
         assert sorted(zip(*[a[c].to_pylist() for c in cols])) == sorted(zip(*[b[c].to_pylist() for c in cols])), name
 
 
+@pytest.mark.parametrize(("search", "share", "each", "longest"), [("taylor", 8, 500, 7)])
+def test_searches_longer_than_the_sql_are_whole(spark, tmp_path, monkeypatch, search, share, each, longest):
+    """Where a search takes more steps than the SQL is unrolled to, the rows are those of SQL unrolled further."""
+    duckdb = pytest.importorskip("duckdb")
+    from rayfit import oracles, queries
+
+    con, path = duckdb.connect(), f"{tmp_path}/embeddings.parquet"
+    con.execute(f"""copy (select vec_id, label, list_transform(embedding, lambda x: (x / {share})::float) as embedding from '{SF}/embeddings.parquet'
+      qualify row_number() over (partition by label < 5 order by vec_id) <= {each} order by vec_id) to '{path}' (format parquet)""")
+    con.execute(f"create view embeddings as from '{path}'")
+    ours = sorted(map(tuple, queries.first_iterates("w1", "ncg", search)(spark, str(tmp_path)).collect()))
+    assert max(row[4] for row in ours) == longest > {"taylor": oracles.EXPANSIONS, "wolfe": oracles.EVALUATIONS}[search]
+    monkeypatch.setattr(oracles, "EXPANSIONS", 10)
+    monkeypatch.setattr(oracles, "EVALUATIONS", 25)
+    assert ours == sorted(con.execute(oracles.trace("w1", "ncg", search, *queries.SETTINGS["w1"])).fetchall())
+
+
 def test_libsvm_round_trip(spark, tmp_path):
     from rayfit import sources
 
