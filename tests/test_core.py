@@ -116,7 +116,7 @@ def test_queries_run_and_match_sql(spark):
         assert sorted(zip(*[a[c].to_pylist() for c in cols])) == sorted(zip(*[b[c].to_pylist() for c in cols])), name
 
 
-@pytest.mark.parametrize(("search", "share", "each", "longest"), [("taylor", 8, 500, 7)])
+@pytest.mark.parametrize(("search", "share", "each", "longest"), [("taylor", 8, 500, 7), ("wolfe", 4, 100, 10)])
 def test_searches_longer_than_the_sql_are_whole(spark, tmp_path, monkeypatch, search, share, each, longest):
     """Where a search takes more steps than the SQL is unrolled to, the rows are those of SQL unrolled further."""
     duckdb = pytest.importorskip("duckdb")
